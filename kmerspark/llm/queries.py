@@ -27,6 +27,17 @@ def op4_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.select("doc_id", "n_lines", "n_dropped", F.sha2("kept_text", 256).alias("kept_sha256"))
 
 
+def op5_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .toxicity import THRESHOLD, fit, score_documents
+
+    docs = _table(spark, sf_dir, "documents").select("doc_id", "text")
+    remainder = F.pmod(F.crc32(F.col("doc_id").cast("string")), F.lit(4))
+    held_out = F.coalesce(remainder == 2, F.lit(False))
+    model = fit(docs, _table(spark, sf_dir, "labels").filter(~held_out))
+    out = score_documents(docs, model)
+    return out.select("doc_id", held_out.alias("held_out"), "score", (F.col("score") >= THRESHOLD).cast("int").alias("predicted"))
+
+
 def op9_mixing_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .mixing import mix_sources
 
@@ -49,7 +60,7 @@ FROM marked GROUP BY doc_id
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_harmonic_packing, op4_line_dedup, op9_mixing_sources)}
+    return {f.__name__: f for f in (op1_harmonic_packing, op4_line_dedup, op5_toxicity, op9_mixing_sources)}
 
 
 def oracle_sql() -> dict[str, str]:
