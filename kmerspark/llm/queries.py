@@ -20,6 +20,17 @@ def op1_harmonic_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return harmonic_packing(_table(spark, sf_dir, "documents"), public_tokenizers.path("word_bpe_49k.json"))
 
 
+def _every_50th(vectors: DataFrame) -> DataFrame:
+    return vectors.filter(F.pmod("vec_id", F.lit(50)) == 0)
+
+
+def op2_kmeans_tree(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .kmeans_tree import nearest
+
+    vectors = _table(spark, sf_dir, "embeddings")
+    return nearest(vectors, _every_50th(vectors))
+
+
 def op4_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .line_dedup import line_dedup
 
@@ -38,6 +49,13 @@ def op5_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.select("doc_id", held_out.alias("held_out"), "score", (F.col("score") >= THRESHOLD).cast("int").alias("predicted"))
 
 
+def op8_exact_top_k(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .ball_tree import exact_top_k
+
+    vectors = _table(spark, sf_dir, "embeddings")
+    return exact_top_k(vectors, _every_50th(vectors))
+
+
 def op9_mixing_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .mixing import mix_sources
 
@@ -59,9 +77,23 @@ FROM marked GROUP BY doc_id
 """
 
 
+OP8_SQL = """
+WITH v AS (
+  SELECT vec_id, list_transform(embedding, lambda x: floor(256 * x::DOUBLE)::BIGINT) AS e FROM embeddings
+  WHERE embedding IS NOT NULL AND len(list_filter(embedding, lambda x: x IS NULL OR NOT isfinite(x))) = 0
+), scored AS (
+  SELECT q.vec_id AS query_id, c.vec_id, list_sum(list_transform(list_zip(q.e, c.e), lambda p: p[1] * p[2]))::BIGINT AS score
+  FROM v q JOIN v c ON q.vec_id <> c.vec_id WHERE q.vec_id % 50 = 0
+), ranked AS (
+  SELECT query_id, row_number() OVER (PARTITION BY query_id ORDER BY score DESC, vec_id)::INTEGER AS rank, vec_id, score FROM scored
+)
+SELECT * FROM ranked WHERE rank <= 5
+"""
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_harmonic_packing, op4_line_dedup, op5_toxicity, op9_mixing_sources)}
+    return {f.__name__: f for f in (op1_harmonic_packing, op2_kmeans_tree, op4_line_dedup, op5_toxicity, op8_exact_top_k, op9_mixing_sources)}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op4_line_dedup": OP4_SQL}
+    return {"op4_line_dedup": OP4_SQL, "op8_exact_top_k": OP8_SQL}
