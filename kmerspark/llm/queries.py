@@ -49,6 +49,12 @@ def op5_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.select("doc_id", held_out.alias("held_out"), "score", (F.col("score") >= THRESHOLD).cast("int").alias("predicted"))
 
 
+def op6_ngram_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .ngram_join import ngram_components
+
+    return ngram_components(_table(spark, sf_dir, "documents"))
+
+
 def op8_exact_top_k(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .ball_tree import exact_top_k
 
@@ -92,7 +98,7 @@ SELECT * FROM ranked WHERE rank <= 5
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_harmonic_packing, op2_kmeans_tree, op4_line_dedup, op5_toxicity, op8_exact_top_k, op9_mixing_sources)}
+    return {f.__name__: f for f in (op1_harmonic_packing, op2_kmeans_tree, op4_line_dedup, op5_toxicity, op6_ngram_join, op8_exact_top_k, op9_mixing_sources)}
 
 
 def oracle_sql() -> dict[str, str]:
