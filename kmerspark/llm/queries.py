@@ -55,6 +55,12 @@ def op6_ngram_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return ngram_components(_table(spark, sf_dir, "documents"))
 
 
+def op7_suffix_array_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .suffix_array_dedup import repeated_passages
+
+    return repeated_passages(_table(spark, sf_dir, "documents"))
+
+
 def op8_exact_top_k(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .ball_tree import exact_top_k
 
@@ -68,6 +74,12 @@ def op9_mixing_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mix_sources(_table(spark, sf_dir, "documents"))
 
 
+def op10_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .substring_dedup import substring_dedup
+
+    return substring_dedup(_table(spark, sf_dir, "documents")).drop("kept_text")
+
+
 OP4_SQL = """
 WITH lines AS (
   SELECT doc_id, i, line, trim(translate(line, 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), chr(32) || chr(9) || chr(10) || chr(11) || chr(12) || chr(13)) AS k
@@ -98,7 +110,7 @@ SELECT * FROM ranked WHERE rank <= 5
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_harmonic_packing, op2_kmeans_tree, op4_line_dedup, op5_toxicity, op6_ngram_join, op8_exact_top_k, op9_mixing_sources)}
+    return {f.__name__: f for f in (op1_harmonic_packing, op2_kmeans_tree, op4_line_dedup, op5_toxicity, op6_ngram_join, op7_suffix_array_dedup, op8_exact_top_k, op9_mixing_sources, op10_substring_dedup)}
 
 
 def oracle_sql() -> dict[str, str]:
