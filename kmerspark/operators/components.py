@@ -11,20 +11,20 @@ from pyspark.sql import functions as F
 def connected_components(edges: DataFrame, store: Callable[[DataFrame], DataFrame], src: str = "src", dst: str = "dst", max_rounds: int = 200) -> DataFrame:
     """(node, component) for every node of an edge: the smallest node that can be reached.
 
-    A round lowers each label to the least of its neighbours' and then to its label's label, so paths halve. `store`
-    writes a table and reads it back, which ends the lineage of each round. Edges are dealt by both ends, and a
-    node's neighbours are reduced before the shuffle, so a hub costs no more than its edges. The driver sees counts.
+    Nodes of equal label form a group. A round gives every group the least label next to any of its nodes, and then
+    that label's own new one, so groups merge as wholes and paths halve. `store` writes a table and reads it back,
+    which ends the lineage of each round. Neighbours are reduced before each shuffle. The driver sees counts.
     """
     pairs = edges.select(F.col(src).alias("u"), F.col(dst).alias("v"))
     both = store(pairs.unionByName(pairs.select(F.col("v").alias("u"), F.col("u").alias("v"))).distinct())
     labels = store(both.groupBy(F.col("u").alias("node")).agg(F.min("v").alias("m")).select("node", F.least("node", "m").alias("component")))
     for _ in range(max_rounds):
         near = both.join(labels.select(F.col("node").alias("v"), F.col("component").alias("c")), "v").groupBy("u").agg(F.min("c").alias("c"))
-        low = labels.join(near, labels["node"] == near["u"]).select("node", F.col("component").alias("old"), F.least("component", "c").alias("c"))
-        jump = labels.select(F.col("node").alias("at"), F.col("component").alias("further"))
-        fresh = store(low.join(jump, low["c"] == jump["at"]).select("node", "old", F.least("c", "further").alias("component")))
-        moved = fresh.filter("component <> old").limit(1).count()
-        labels = fresh.select("node", "component")
-        if not moved:
+        low = labels.join(near, labels["node"] == near["u"]).select(F.col("component").alias("old"), F.least("component", "c").alias("c"))
+        moves = store(low.groupBy("old").agg(F.min("c").alias("c")).filter("c < old"))
+        if moves.isEmpty():
             return labels
+        onward = moves.select(F.col("old").alias("at"), F.col("c").alias("further"))
+        jumps = moves.join(onward, moves["c"] == onward["at"], "left").select("old", F.coalesce("further", "c").alias("to"))
+        labels = store(labels.join(jumps, labels["component"] == jumps["old"], "left").select("node", F.coalesce("to", "component").alias("component")))
     raise RuntimeError(f"components did not settle in {max_rounds} rounds")
