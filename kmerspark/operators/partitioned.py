@@ -145,7 +145,7 @@ _DIGITS = bytes.maketrans(b"ACGTacgt", b"01230123")
 def pack_bases(bases: bytes) -> bytes:
     """Two bits a base, after the length in two bytes."""
     n = len(bases)
-    return n.to_bytes(2, "little") + int(bases.translate(_DIGITS), 4).to_bytes(-(-n // 4), "little")
+    return n.to_bytes(2, "little") + int(bases.translate(_DIGITS) or b"0", 4).to_bytes(-(-n // 4), "little")
 
 
 def unpack_bases(packed: bytes) -> np.ndarray:

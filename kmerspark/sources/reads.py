@@ -67,9 +67,9 @@ def read_fasta(spark: SparkSession, path: str) -> DataFrame:
 
 def read_fastq(spark: SparkSession, path: str, offset: int = 33) -> DataFrame:
     """read_id, source, seq, qual from four-line FASTQ records; whole files stay together, one task each."""
-    files = spark.read.option("wholetext", True).text(path)
+    files = spark.read.text(path, wholetext=True)
     lines = F.split(F.rtrim("value"), "\n")
-    records = files.select(lines.alias("l")).select("l", F.explode(F.sequence(F.lit(0), (F.size("l") / 4).cast("int") - 1)).alias("i"))
+    records = files.select(lines.alias("l")).filter(F.size("l") >= 4).select("l", F.explode(F.sequence(F.lit(0), (F.size("l") / 4).cast("int") - 1)).alias("i"))
     line = lambda k: F.element_at("l", F.col("i") * 4 + k)
     qual = F.transform(F.filter(F.split(line(4), ""), lambda c: c != ""), lambda c: (F.ascii(c) - offset).cast("tinyint"))
     return records.select(F.monotonically_increasing_id().alias("read_id"), F.substr(line(1), F.lit(2)).alias("source"), line(2).alias("seq"), qual.alias("qual"))
