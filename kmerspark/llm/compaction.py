@@ -69,7 +69,7 @@ class TieredStore:
         batch = f"b{version + 1}"
         data = rows.select(F.struct(*(rows[c] for c in rows.columns)).alias("payload"), arrival.cast("long").alias("_a"), weight.cast("long").alias("weight"))
         data = data.withColumn("shard", F.concat(F.lit(f"{batch}-"), F.coalesce(F.col("_a").cast("string"), F.lit("none"))))
-        data.drop("_a").repartition("shard").write.mode("append").partitionBy("shard").parquet(f"{self.path}/data")
+        data.drop("_a").repartition("shard").write.mode("append").option("compression", "zstd").partitionBy("shard").parquet(f"{self.path}/data")
         own = self._data().filter(F.col("shard").startswith(f"{batch}-")).groupBy("shard").agg(F.count("*").alias("n_rows"), F.sum("weight").alias("n_bytes"))
         by_arrival = Window.orderBy(F.regexp_extract("shard", "-(-?[0-9]+)$", 1).try_cast("long").asc_nulls_last())  # a row per shard
         fresh = own.select("shard", (F.row_number().over(by_arrival) - 1 + start).cast("long").alias("ordinal"), F.lit(0).alias("generation"), "n_rows", "n_bytes")
@@ -109,7 +109,7 @@ class TieredStore:
             return False
         name = F.concat(F.lit(f"m{version + 1}-"), F.col("run"))
         merged = self._data().join(F.broadcast(plan), "shard").drop("shard").withColumn("shard", name)
-        merged.drop("run").repartition(max(2 * n_runs, 2), "shard").write.mode("append").partitionBy("shard").parquet(f"{self.path}/data")
+        merged.drop("run").repartition(max(2 * n_runs, 2), "shard").write.mode("append").option("compression", "zstd").partitionBy("shard").parquet(f"{self.path}/data")
         old = self.manifest(version)
         sums = old.join(F.broadcast(plan), "shard").groupBy("run").agg(F.max("generation").alias("g"), F.sum("n_rows").alias("n_rows"), F.sum("n_bytes").alias("n_bytes"))
         fresh = sums.select(name.alias("shard"), F.col("run").alias("ordinal"), (F.col("g") + 1).alias("generation"), "n_rows", "n_bytes")
