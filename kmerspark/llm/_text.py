@@ -12,7 +12,7 @@ import pyarrow as pa
 import xxhash
 
 #: Text bytes that one kernel call holds at a time (a single longer text is held whole).
-BLOCK_BYTES = 8 << 20
+BLOCK_BYTES = 4 << 20
 
 _SPACE = np.zeros(256, dtype=bool)
 _SPACE[[0x20, *range(0x09, 0x0E)]] = True
@@ -66,7 +66,7 @@ class Words:
         first[starts] = inside[starts]
         at = np.flatnonzero(first)
         self.counts = np.diff(np.searchsorted(at, offsets))
-        letters = np.concatenate([[0], np.cumsum(inside, dtype=np.int64)])
+        letters = np.concatenate([[0], np.cumsum(inside, dtype=np.int64 if len(raw) >> 31 else np.int32)])
         bounds = np.append(letters[at], letters[-1])
         packed = raw[inside]
         words = pa.Array.from_buffers(pa.large_binary(), len(at), [None, pa.py_buffer(bounds.astype(np.int64)), pa.py_buffer(packed)])

@@ -28,6 +28,8 @@ CLASSES = 8
 END_ID = 1
 #: Word encodings that a worker keeps; beyond it the store starts anew.
 CACHE_WORDS = 300_000
+#: Bytes of text that are packed together.
+BLOCK_BYTES = 8 << 20
 
 SCHEMA = "doc_id bigint, start bigint, length bigint, ids_crc32 bigint, doc_tokens bigint, sequence_id bigint, offset bigint"
 
@@ -145,7 +147,7 @@ def _pack_partition(path: str, text_col: str, id_col: str, capacity: int, classe
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         base = TaskContext.get().partitionId() << 36
         for batch in batches:
-            for block in text_blocks(batch, text_col):
+            for block in text_blocks(batch, text_col, BLOCK_BYTES):
                 ids, lengths = encode_block(column(block, text_col), path, end_id)
                 p = pack_lengths(lengths, capacity, classes)
                 first = np.cumsum(lengths) - lengths
