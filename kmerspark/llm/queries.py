@@ -115,9 +115,46 @@ SELECT * FROM ranked WHERE rank <= 5
 """
 
 
+_WORDS = r"list_filter(regexp_split_to_array({0}, '[\x20\x09-\x0D]+'), lambda x: x <> '')"
+_UP, _LOW = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
+
+OP6_SQL = f"""
+WITH RECURSIVE w AS (SELECT doc_id, {_WORDS.format(f"translate(coalesce(text, ''), '{_UP}', '{_LOW}')")} AS ws FROM documents),
+s AS (
+  SELECT DISTINCT doc_id, array_to_string(list_slice(ws, i, i + 4), ' ') AS g
+  FROM (SELECT doc_id, ws, unnest(range(1, greatest(len(ws) - 3, 2))) AS i FROM w WHERE len(ws) > 0)
+), n AS (SELECT doc_id, count(*) AS n FROM s GROUP BY doc_id),
+pairs AS (SELECT a.doc_id AS x, b.doc_id AS y, count(*) AS k FROM s a JOIN s b ON a.g = b.g AND a.doc_id < b.doc_id GROUP BY ALL),
+links AS (SELECT x, y FROM pairs JOIN n p ON p.doc_id = x JOIN n q ON q.doc_id = y WHERE 100 * k >= 75 * (p.n + q.n - k)),
+sides AS (SELECT x, y FROM links UNION SELECT y, x FROM links),
+reach AS (SELECT doc_id, doc_id AS c FROM documents UNION SELECT r.doc_id, b.y FROM reach r JOIN sides b ON b.x = r.c)
+SELECT r.doc_id, any_value(coalesce(n.n, 0)) AS n_shingles, min(r.c) AS component_id FROM reach r LEFT JOIN n ON n.doc_id = r.doc_id GROUP BY r.doc_id
+"""
+
+_WINDOWS = f"""w AS (SELECT doc_id, {_WORDS.format("coalesce(text, '')")} AS ws FROM documents),
+win AS (SELECT doc_id, s, array_to_string(list_slice(ws, s, s + 49), ' ') AS k FROM (SELECT doc_id, ws, unnest(range(1, len(ws) - 48)) AS s FROM w)),
+held AS (SELECT k, min(doc_id) AS lo, max(doc_id) AS hi FROM win GROUP BY k)"""
+
+OP7_SQL = f"""
+WITH {_WINDOWS},
+marked AS (SELECT doc_id, s, lo FROM win JOIN held USING (k) WHERE lo < hi),
+runs AS (SELECT *, CASE WHEN s <= lag(s) OVER (PARTITION BY doc_id ORDER BY s) + 50 THEN 0 ELSE 1 END AS new FROM marked),
+spans AS (SELECT *, sum(new) OVER (PARTITION BY doc_id ORDER BY s ROWS UNBOUNDED PRECEDING) AS span FROM runs)
+SELECT doc_id, min(s) - 1 AS start, max(s) + 50 - min(s) AS length, min(lo) AS first_doc, any_value(len(ws)) AS n_words FROM spans JOIN w USING (doc_id) GROUP BY doc_id, span
+"""
+
+OP10_SQL = f"""
+WITH {_WINDOWS},
+gone AS (SELECT DISTINCT doc_id, s + i AS p FROM (SELECT doc_id, s FROM win JOIN held USING (k) WHERE lo < doc_id), range(0, 50) t(i)),
+placed AS (SELECT doc_id, unnest(ws) AS x, generate_subscripts(ws, 1) AS p FROM w),
+left_over AS (SELECT a.doc_id, count(*) AS n, count(g.p) AS n_gone, string_agg(a.x, ' ' ORDER BY a.p) FILTER (g.p IS NULL) AS kept FROM placed a LEFT JOIN gone g ON g.doc_id = a.doc_id AND g.p = a.p GROUP BY a.doc_id)
+SELECT w.doc_id, coalesce(n, 0) AS n_words, coalesce(n_gone, 0) AS n_removed, sha256(coalesce(kept, '')) AS kept_sha256 FROM w LEFT JOIN left_over l ON l.doc_id = w.doc_id
+"""
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {f.__name__: f for f in (op1_harmonic_packing, op2_kmeans_tree, op3_size_tiered_compaction, op4_line_dedup, op5_toxicity, op6_ngram_join, op7_suffix_array_dedup, op8_exact_top_k, op9_mixing_sources, op10_substring_dedup)}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op4_line_dedup": OP4_SQL, "op8_exact_top_k": OP8_SQL}
+    return {"op4_line_dedup": OP4_SQL, "op6_ngram_join": OP6_SQL, "op7_suffix_array_dedup": OP7_SQL, "op8_exact_top_k": OP8_SQL, "op10_substring_dedup": OP10_SQL}
