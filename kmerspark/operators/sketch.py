@@ -26,6 +26,8 @@ from .kmers import combined_kmers, md5_60
 BLOCK = 65_536
 #: Bytes of dense tables up to which a probe may broadcast them; beyond it keys travel to the counters.
 BROADCAST_BYTES = 256 << 20
+#: Bytes of a task's own arrays up to which reads are counted in place rather than shuffled.
+DENSE_BYTES = 128 << 20
 WIDTHS = (1, 2, 4, 8, 16, 32, 64)
 
 
@@ -100,8 +102,8 @@ class SketchSpec:
 class PrimeSketch:
     """A spec and its counters in use: table_id, cell, cnt (at most the cap)."""
 
-    def __init__(self, spec: SketchSpec, cells: DataFrame, n_updates: int | None = None, overflow: DataFrame | None = None):
-        self.spec, self.cells, self.n_updates, self.overflow = spec, cells, n_updates, overflow
+    def __init__(self, spec: SketchSpec, cells: DataFrame, n_updates: int | None = None, overflow: DataFrame | None = None, dense: DataFrame | None = None):
+        self.spec, self.cells, self.n_updates, self.overflow, self.dense = spec, cells, n_updates, overflow, dense
         self._arrays: list[np.ndarray] | None = None
         self._broadcast = None
 
@@ -122,6 +124,9 @@ class PrimeSketch:
 
     @classmethod
     def build(cls, reads: DataFrame, spec: SketchSpec) -> PrimeSketch:
+        """From reads: dense arrays per task if they are small, else by shuffled words."""
+        if spec.layout == "primes" and spec.counter_bits <= 16 and 4 * sum(spec.primes) <= DENSE_BYTES:
+            return cls.build_dense(reads, spec)
         return cls.of_counts(combined_kmers(reads, spec.k, spec.stranded).groupBy("kmer").agg(F.sum("cnt").alias("cnt")), spec)
 
     @classmethod
@@ -149,12 +154,12 @@ class PrimeSketch:
 
         def add(key: tuple, table: pa.Table) -> pa.Table:
             total = np.sum([np.frombuffer(x, np.uint32).astype(np.int64) for x in table["counters"].to_pylist()], axis=0)
-            at = np.flatnonzero(total)
-            i, b = (int(x.as_py()) for x in key)
-            return pa.table({"table_id": pa.array([i] * len(at), pa.int8()), "cell": pa.array(at + b * BLOCK), "cnt": pa.array(np.minimum(total[at], spec.cap))})
+            counters = np.minimum(total, spec.cap).astype(f"<u{max(8, spec.counter_bits) // 8}").tobytes()
+            return pa.table({"table_id": pa.array([key[0].as_py()], pa.int8()), "block": pa.array([key[1].as_py()], pa.int32()), "counters": pa.array([counters], pa.binary())})
 
         blocks = reads.select("read_id", "seq").mapInArrow(run, "table_id tinyint, block int, counters binary")
-        return cls(spec, blocks.groupBy("table_id", "block").applyInArrow(add, "table_id tinyint, cell long, cnt long"))
+        dense = blocks.groupBy("table_id", "block").applyInArrow(add, "table_id tinyint, block int, counters binary")
+        return cls(spec, cells_of(dense, spec), dense=dense)
 
     @classmethod
     def from_column(cls, df: DataFrame, column: str, spec: SketchSpec, portable: bool = False) -> PrimeSketch:
@@ -177,12 +182,17 @@ class PrimeSketch:
         return PrimeSketch(self.spec, cells.groupBy("table_id", "cell").agg(F.least(F.sum("cnt"), F.lit(self.spec.cap)).alias("cnt")))
 
     def stored(self, store: Callable[[DataFrame], DataFrame]) -> PrimeSketch:
+        if self.dense is not None:
+            dense = store(self.dense)
+            return PrimeSketch(self.spec, cells_of(dense, self.spec), self.n_updates, self.overflow, dense)
         return PrimeSketch(self.spec, store(self.cells), self.n_updates, self.overflow)
 
     # -- saving --
 
     def blocks(self) -> DataFrame:
         """table_id, block, counters: dense bytes (whole bytes a counter) of the blocks in use."""
+        if self.dense is not None:
+            return self.dense
         width = max(8, self.spec.counter_bits) // 8
 
         def pack(key: tuple, table: pa.Table) -> pa.Table:
@@ -201,17 +211,8 @@ class PrimeSketch:
     @classmethod
     def load(cls, spark: SparkSession, path: str) -> PrimeSketch:
         spec = SketchSpec.from_json(spark.read.text(f"{path}/spec").first()[0])
-        width = max(8, spec.counter_bits) // 8
-
-        def unpack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            for batch in batches:
-                for i, b, raw in zip(*(c.to_pylist() for c in batch.columns), strict=True):
-                    own = np.frombuffer(raw, f"<u{width}")
-                    at = np.flatnonzero(own)
-                    yield pa.RecordBatch.from_arrays([pa.array([i] * len(at), pa.int8()), pa.array(at + b * BLOCK), pa.array(own[at].astype(np.int64))], names=["table_id", "cell", "cnt"])
-
         blocks = spark.read.parquet(f"{path}/blocks").select("table_id", "block", "counters")
-        return cls(spec, blocks.mapInArrow(unpack, "table_id tinyint, cell long, cnt long"))
+        return cls(spec, cells_of(blocks, spec), dense=blocks)
 
     # -- judging --
 
@@ -246,6 +247,13 @@ class PrimeSketch:
             width = max(8, spec.counter_bits) // 8
             sizes = spec.primes[:1] if spec.layout == "single" else spec.primes
             out = [np.zeros(p, f"u{width}") for p in sizes]
+            if self.dense is not None:
+                for r in self.dense.collect():  # within the bound that was checked above
+                    own = np.frombuffer(r["counters"], f"<u{width}")
+                    at = r["block"] * BLOCK
+                    out[r["table_id"]][at : at + BLOCK] = own[: len(out[r["table_id"]]) - at]
+                self._arrays = out
+                return out
             rows = self.cells.toArrow()
             table, cell, cnt = (rows[c].to_numpy() for c in ("table_id", "cell", "cnt"))
             for i, a in enumerate(out):
@@ -263,6 +271,20 @@ class PrimeSketch:
             a[at] = min(int(a[at[0]]) + 1, self.spec.cap)
 
 
+def cells_of(blocks: DataFrame, spec: SketchSpec) -> DataFrame:
+    """table_id, cell, cnt of the counters in use in dense blocks."""
+    width = max(8, spec.counter_bits) // 8
+
+    def unpack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for i, b, raw in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+                own = np.frombuffer(raw, f"<u{width}")
+                at = np.flatnonzero(own)
+                yield pa.RecordBatch.from_arrays([pa.array([i] * len(at), pa.int8()), pa.array(at + b * BLOCK), pa.array(own[at].astype(np.int64))], names=["table_id", "cell", "cnt"])
+
+    return blocks.select("table_id", "block", "counters").mapInArrow(unpack, "table_id tinyint, cell long, cnt long")
+
+
 def _code(word: str | int, spec: SketchSpec) -> int:
     from ..functions.dna import windows_of
 
