@@ -21,9 +21,9 @@ from .operators.kmers import exact_counts, explode_kmers, hash_kmers, md5_60
 from .operators.lookup import lookup, with_overflow
 from .operators.normalize import normalize_batch, normalize_batches, normalize_sequential
 from .operators.sketch import PrimeSketch, SketchSpec
-from .operators.store import stored
+from .operators.store import shared_path, stored
 from .operators.trim import error_profile, filter_reads, trim_iterative, trim_reads, window_counts
-from .plans import sizing
+from .plans import costs, sizing
 from .plans import workloads as W
 from .plans.sizing import prime_table_sizes
 from .sources import reads as R
@@ -719,8 +719,6 @@ def sharded_lookup(spark, d):
 
 @query(f"{BASE} {PARTS.format(c='kmer', where='')}")
 def parts_one_after_another(spark, d):
-    from .operators.store import shared_path
-
     return _slots(par.run_parts(docs(spark, d), shared_path(spark), K, 4, "iterative").select("kmer", "cnt"))
 
 
@@ -825,6 +823,45 @@ def retrieval_sets(spark, d):
     return W.retrieval_sets(spark, d)
 
 
+@query()
+def scaling_slope(spark, d):
+    """Distinct words against words over the growing subsets: slope and R squared."""
+    return acc.linear_fit(W.growing_subsets(spark, d), "n_words", "n_distinct")
+
+
+@query()
+def disk_use(spark, d):
+    return costs.disk_use(docs(spark, d), spec())
+
+
+@query()
+def counter_times(spark, d):
+    return costs.counter_times(docs(spark, d), K)
+
+
+@query()
+def lookup_cost(spark, d):
+    return costs.lookup_cost(docs(spark, d), passages(spark, d), spec())
+
+
+@query()
+def partition_scaling(spark, d):
+    return costs.partition_scaling(docs(spark, d), spec())
+
+
+TURNS = f"""WITH t AS (SELECT conv_id * 100 + turn AS tid, role, text FROM conversations), {reads_sql('t', 'tid', 'text', 'role')},\n{occ_sql()},\n{counts_sql()},\n{cells_sql()} """
+
+
+@query(TURNS + " UNION ALL ".join(BLOCKS.format(i=i) for i in range(4)))
+def stream_sketch_equals_batch(spark, d):
+    """Turns counted as a stream into a versioned sketch: the counters of a batch."""
+    turns = W.table(spark, d, "conversations")
+    stream = spark.readStream.schema(turns.schema).parquet(f"{d}/conversations.parquet*")
+    sketch = online.VersionedSketch(spark, shared_path(spark), spec())
+    online.count_stream(R.from_conversations(stream), sketch, shared_path(spark)).awaitTermination()
+    return _blocks(sketch.current())
+
+
 # -- relational surface ---------------------------------------------------------------------------------------------
 
 
