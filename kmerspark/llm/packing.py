@@ -26,7 +26,7 @@ from ._text import Words, column, text_blocks
 CAPACITY = 2048
 CLASSES = 8
 END_ID = 1
-#: Word encodings that a worker keeps; beyond it the store starts anew.
+#: Word encodings after which a worker drops those not met again since the last time; it holds two such sets.
 CACHE_WORDS = 300_000
 #: Bytes of text that are packed together.
 BLOCK_BYTES = 8 << 20
@@ -105,12 +105,20 @@ def _encoder(path: str) -> Callable[[pa.Array], tuple[np.ndarray, np.ndarray]]:
 
     tokenizer = Tokenizer.from_file(path)
     known: dict[bytes, bytes] = {}
+    older: dict[bytes, bytes] = {}
 
     def encode(words: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+        nonlocal known, older
         words = words.to_pylist()
-        if len(known) > CACHE_WORDS:
-            known.clear()
-        fresh = [w for w in words if w not in known]
+        if len(known) > CACHE_WORDS:  # what was not met again since the last turn goes
+            known, older = {}, known
+        fresh = []
+        for w in words:
+            if w not in known:
+                if (run := older.get(w)) is None:
+                    fresh.append(w)
+                else:
+                    known[w] = run
         for i in range(0, len(fresh), 20_000):
             part = fresh[i : i + 20_000]
             found = tokenizer.encode_batch_fast([w.decode() for w in part], add_special_tokens=False)
