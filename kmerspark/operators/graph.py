@@ -8,6 +8,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.dna import decode_kmer, encode_kmer, reverse_complement
+from ..sources.reads import text_of
 from .components import connected_components
 from .kmers import explode_kmers
 from .lookup import lookup
@@ -46,7 +47,7 @@ def graph_components(reads: DataFrame, k: int, store: Callable[[DataFrame], Data
     return every.join(labels, F.col("read_id") == F.col("node"), "left").select("read_id", F.coalesce("component", "read_id").alias("component"))
 
 
-def containment(reads: DataFrame, passages: DataFrame, k: int = 22, per_read: int = 10_000) -> DataFrame:
+def containment(reads: DataFrame, passages: DataFrame, k: int = 22) -> DataFrame:
     """doc_id, contig_id, shared, share: how many of a passage's distinct words a text holds.
 
     `reads` cut from texts carry the text in their id; `passages` are (contig_id, seq). The passages' words are a
@@ -54,7 +55,7 @@ def containment(reads: DataFrame, passages: DataFrame, k: int = 22, per_read: in
     """
     own = explode_kmers(passages.select(F.col("contig_id").alias("read_id"), "seq"), k).select(F.col("read_id").alias("contig_id"), "kmer").distinct()
     sizes = own.groupBy("contig_id").agg(F.count("*").alias("n"))
-    doc = F.floor(F.col("read_id") / per_read)
+    doc = text_of(F.col("read_id"))
     hits = explode_kmers(reads, k).select(doc.alias("doc_id"), "kmer").join(own, "kmer").distinct()
     shared = hits.groupBy("doc_id", "contig_id").agg(F.count("*").alias("shared"))
     return shared.join(sizes, "contig_id").select("doc_id", "contig_id", "shared", F.round(F.col("shared") / F.col("n"), 6).alias("share"))

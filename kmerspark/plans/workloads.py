@@ -15,7 +15,7 @@ from ..operators.normalize import normalize_batch, normalize_batches, normalize_
 from ..operators.sketch import PrimeSketch, SketchSpec
 from ..operators.store import stored
 from ..operators.trim import error_profile, trim_iterative, trim_reads
-from ..sources.reads import from_conversations, from_documents, from_pages, genome_of, with_arrival
+from ..sources.reads import from_conversations, from_documents, from_pages, genome_of, text_of, with_arrival
 from ..sources.simulate import genome_string, random_kmers, simulate_reads
 from .sizing import size_for_fpr
 
@@ -48,7 +48,7 @@ def growing_subsets(spark: SparkSession, sf_dir: str, counters: tuple[str, ...]
 
     Time is taken by bench.py; `counters` adds the number of distinct words that each of these counters finds.
     """
-    rows = document_reads(spark, sf_dir).withColumn("fifth", F.pmod(F.floor(F.col("read_id") / 10_000), F.lit(5)))
+    rows = document_reads(spark, sf_dir).withColumn("fifth", F.pmod(text_of(F.col("read_id")), F.lit(5)))
     out = None
     for i in range(1, 6):
         own = rows.filter(F.col("fifth") < i)
@@ -179,7 +179,7 @@ def large_reduction(spark: SparkSession, sf_dir: str, coverage: int = 20, f: flo
 def retrieval_sets(spark: SparkSession, sf_dir: str) -> DataFrame:
     """A fixed set of words, present and absent, looked up in the sketches of the five growing subsets."""
     queries = stored(explode_kmers(genome_of(table(spark, sf_dir, "benchmark")).select(F.col("contig_id").alias("read_id"), "seq"), K).select("kmer").distinct())
-    rows = document_reads(spark, sf_dir).withColumn("fifth", F.pmod(F.floor(F.col("read_id") / 10_000), F.lit(5)))
+    rows = document_reads(spark, sf_dir).withColumn("fifth", F.pmod(text_of(F.col("read_id")), F.lit(5)))
     spec = SketchSpec.for_memory(16 << 20, k=K)
     out = None
     for i in range(1, 6):

@@ -571,7 +571,7 @@ def error_profile_documents(spark, d):
 @query(f"{PLACED}, p AS (SELECT f.est, coalesce(l.toxic, -1) AS toxic, length(r.seq) - 22 - f.pos AS end_pos FROM found f JOIN reads r USING (read_id) LEFT JOIN labels l ON l.doc_id = r.read_id // 10000) SELECT toxic, end_pos::INTEGER AS end_pos, count(*) AS n, count_if(est <= 1)::BIGINT AS n_rare, round(count_if(est <= 1) / count(*), 6) AS share FROM p GROUP BY ALL")
 def error_profile_by_label(spark, d):
     labels = W.table(spark, d, "labels").select(F.col("doc_id").alias("_d"), "toxic")
-    reads = docs(spark, d).join(labels, F.floor(F.col("read_id") / 10_000) == F.col("_d"), "left").withColumn("toxic", F.coalesce("toxic", F.lit(-1))).drop("_d")
+    reads = docs(spark, d).join(labels, R.text_of(F.col("read_id")) == F.col("_d"), "left").withColumn("toxic", F.coalesce("toxic", F.lit(-1))).drop("_d")
     return error_profile(reads, PrimeSketch.build(reads, spec()), by="end_pos", group_cols=("toxic",))
 
 

@@ -8,8 +8,29 @@ from pyspark.sql import functions as F
 from ..functions.dna import project_text
 
 READ_LEN = 100
-#: Reads that one text may give; ids are text id * READS_PER_TEXT + number.
+#: The first reads of a text have the ids text id * READS_PER_TEXT + number. Those of longer texts lie in a range of
+#: their own, below LATER, by text (32 bits) and number (30 bits).
 READS_PER_TEXT = 10_000
+LATER, LATER_BITS = -(2**62), 30
+#: Likewise for turns of a conversation: conv_id * 100 + turn, and from LATER_TURN for later ones (19 bits).
+TURNS, LATER_TURN, LATER_TURN_BITS = 100, -(2**48), 19
+
+
+def read_id_of(text_id: Column, number: Column) -> Column:
+    """A read's id, different for any two reads of any texts; an error where a long has no room for it."""
+    number = number.cast("long")
+    first = text_id * READS_PER_TEXT + number
+    later = F.shiftleft(text_id, LATER_BITS) + (number - READS_PER_TEXT) - 2**62 - 2**61
+    room = (text_id >= -(2**31)) & (text_id < 2**31) & (number < READS_PER_TEXT + 2**LATER_BITS)
+    refused = F.raise_error(F.concat(F.lit("no read id for text "), text_id.cast("string"), F.lit(", read "), number.cast("string"))).cast("long")
+    return F.when(text_id.isNull(), F.lit(None).cast("long")).when(number < READS_PER_TEXT, F.when(text_id >= LATER // READS_PER_TEXT + 1, first).otherwise(refused)).when(room, later).otherwise(refused)
+
+
+def text_of(read_id: Column) -> Column:
+    """The id of the text that a read was cut from."""
+    later = F.shiftright(read_id + 2**62 + 2**61, LATER_BITS)
+    per = F.lit(READS_PER_TEXT)
+    return F.when(read_id < LATER, later).otherwise(F.call_function("div", read_id - F.pmod(read_id, per), per))
 
 
 def cut_reads(df: DataFrame, id_col: str, seq: Column, source: Column | None = None, read_len: int = READ_LEN, stride: int | None = None) -> DataFrame:
@@ -18,7 +39,7 @@ def cut_reads(df: DataFrame, id_col: str, seq: Column, source: Column | None = N
     base = df.select(F.col(id_col).cast("long").alias("_id"), (source if source is not None else F.lit(None).cast("string")).alias("source"), seq.alias("_s")).filter(F.length("_s") > 0)
     at = F.explode(F.sequence(F.lit(0), F.floor((F.length("_s") - 1) / stride).cast("int")))
     cut = base.select("_id", "source", "_s", at.alias("_i"))
-    return cut.select((F.col("_id") * READS_PER_TEXT + F.col("_i")).alias("read_id"), "source", F.substr("_s", F.col("_i") * stride + 1, F.lit(read_len)).alias("seq"))
+    return cut.select(read_id_of(F.col("_id"), F.col("_i")).alias("read_id"), "source", F.substr("_s", F.col("_i") * stride + 1, F.lit(read_len)).alias("seq"))
 
 
 def from_documents(df: DataFrame, text_col: str = "text", id_col: str = "doc_id", junk: str = "drop", **cut) -> DataFrame:
@@ -34,8 +55,12 @@ def from_pages(df: DataFrame, **cut) -> DataFrame:
 
 
 def from_conversations(df: DataFrame, **cut) -> DataFrame:
-    """Reads of turns; a turn's id is conv_id * 100 + turn."""
-    turn = df.withColumn("_turn", F.col("conv_id") * 100 + F.col("turn"))
+    """Reads of turns; a turn's id is conv_id * 100 + turn, and one of a range of its own from the hundredth turn on."""
+    conv, number = F.col("conv_id").cast("long"), F.col("turn").cast("long")
+    room = (conv >= 0) & (conv < 2**28) & (number < TURNS + 2**LATER_TURN_BITS)
+    refused = F.raise_error(F.concat(F.lit("no id for turn "), number.cast("string"), F.lit(" of conversation "), conv.cast("string"))).cast("long")
+    later = F.when(room, F.shiftleft(conv, LATER_TURN_BITS) + (number - TURNS) + LATER_TURN).otherwise(refused)
+    turn = df.withColumn("_turn", F.when(number >= TURNS, later).otherwise(conv * TURNS + number))
     return cut_reads(turn, "_turn", project_text(F.col("text")), F.col("role"), **cut)
 
 

@@ -217,3 +217,21 @@ def test_late_rows_are_dropped(spark, tmp_path):
     q.awaitTermination()
     got = {r.w_start.hour: r.n for r in spark.sql("SELECT * FROM late").collect()}
     assert got[0] == 1
+
+
+def test_reads_of_long_texts_keep_to_their_text(spark):
+    from kmerspark.operators.graph import containment
+
+    rng = random.Random(5)
+    long = "".join(rng.choices("ACGT", k=1_000_450))
+    docs = spark.createDataFrame([(1, long), (2, "ACGT" * 30), (-1, "GATTACA" * 20), (10**14, "CCGT" * 30), (None, "ACCT" * 30)], "doc_id long, text string")
+    reads = stored(R.from_documents(docs).withColumn("doc", R.text_of(F.col("read_id"))))
+    assert {r.doc: r.n for r in reads.groupBy("doc").agg(F.countDistinct("read_id").alias("n")).collect()} == {1: 10_005, 2: 2, -1: 2, 10**14: 2, None: 0}
+    assert reads.filter("doc = 1 AND read_id BETWEEN 10000 AND 19999").count() == 10_000
+    tail = reads.filter("doc = 1 AND read_id < 0").orderBy("read_id").limit(2).select(F.lit(7).cast("long").alias("contig_id"), "seq")
+    assert [(r.doc_id, r.share) for r in containment(reads, tail).collect()] == [(1, 1.0)]
+    turns = spark.createDataFrame([(c, t, "user", "ACGT") for c in (3, 4) for t in (0, 99, 100, 101, 250)], "conv_id long, turn int, role string, text string")
+    ids = [r.read_id for r in R.from_conversations(turns).collect()]
+    assert len(set(ids)) == 10 and {3_000_000, 3_990_000, 4_000_000, 4_990_000} <= set(ids)
+    with pytest.raises(Exception, match="no read id"):
+        R.from_documents(docs.filter("doc_id = 1").withColumn("doc_id", F.lit(2**40))).collect()
