@@ -30,15 +30,22 @@ def to_matrix(vectors: pa.Array) -> np.ndarray:
 
 
 def distinct_rows(rows: np.ndarray, ids: np.ndarray, keep: int) -> np.ndarray:
-    """Places of the rows to keep: of equal rows, those with the `keep` smallest ids.
+    """Places of the rows to keep: of equal rows, those with the `keep` smallest distinct ids, keep - 1 of each id.
 
     Equal rows score alike against any query and ties go to the smaller id, so no other copy can be among a query's
-    keep - 1 best (a query may itself be one of the copies).
+    keep - 1 best. A query may itself be one of the copies: all rows of its id are then out, however many they are.
     """
     order = np.lexsort((ids, *_words(rows).T))
     same = np.concatenate([[False], (rows[order][1:] == rows[order][:-1]).all(axis=1)]) if len(rows) else np.zeros(0, bool)
-    start = np.maximum.accumulate(np.where(same, 0, np.arange(len(rows))))
-    return np.sort(order[np.arange(len(rows)) - start < keep])
+    at = np.arange(len(rows))
+    again = same & np.concatenate([[False], ids[order][1:] == ids[order][:-1]]) if len(rows) else same
+    nth = np.cumsum(~again)  # by distinct id
+    return np.sort(order[(nth - nth[_starts(same)] < keep) & (at - _starts(again) < max(keep - 1, 1))])
+
+
+def _starts(follows: np.ndarray) -> np.ndarray:
+    """For each place, the first place of its run."""
+    return np.maximum.accumulate(np.where(follows, 0, np.arange(len(follows))))
 
 
 def _words(rows: np.ndarray) -> np.ndarray:

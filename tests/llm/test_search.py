@@ -90,6 +90,16 @@ def test_copies_beyond_the_smallest_ids_are_dropped():
     assert distinct_rows(rows, np.array([9, 3, 5, 1, 8, 7, 2]), 3).tolist() == [1, 2, 3, 6]
 
 
+def test_repeated_query_rows_leave_enough_copies(spark):
+    ids = [100, 100, 200, 300, 400, 500, 600, 600, 600, 700]
+    rows = np.array([[3.0, 4.0]] * 9 + [[1.0, 1.0]])
+    assert distinct_rows(rows, np.array(ids), 6).tolist() == list(range(10))
+    assert distinct_rows(rows, np.array(ids), 2).tolist() == [0, 2, 9]
+    df = spark.createDataFrame([(i, r.tolist()) for i, r in zip(ids, rows, strict=True)], "vec_id long, embedding array<float>")
+    for f in (exact_top_k, nearest):
+        assert [r.vec_id for r in sorted(f(df, df.filter("vec_id = 100")).collect(), key=lambda r: r.rank)] == [200, 300, 400, 500, 600], f
+
+
 def test_order_visits_every_leaf_once():
     rows = vectors(600)
     tree = KMeansTree.fit(rows.astype(np.float64), leaf_rows=20)
