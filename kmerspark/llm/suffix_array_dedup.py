@@ -2,8 +2,9 @@
 
 Only suffixes that begin at a content-selected anchor (a window's minimiser) are kept. The suffixes of one anchor
 are sorted by the words that follow; neighbours are compared, and each match is extended to the right by the common
-words and to the left by the words before the anchor. Windows that no neighbour accounts for are then looked up
-among all suffixes of the anchor, so the result is exact.
+words and to the left by the words before the anchor. That decides anchors with two slices. With more, equal windows
+need not be neighbours: all windows of the anchor are looked up in a hash table, and the look-up decides. An anchor
+with one slice (exact copies) is answered by its digest, without a comparison.
 """
 
 from __future__ import annotations
