@@ -3,12 +3,12 @@
 from __future__ import annotations
 
 import public_tokenizers
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from kmerspark.llm._state import stored
 from kmerspark.llm.line_dedup import line_dedup
-from kmerspark.llm.mixing import mix_sources
+from kmerspark.llm.mixing import mix_sources, word_count
 from kmerspark.llm.ngram_join import ngram_components
 from kmerspark.llm.packing import harmonic_packing
 from kmerspark.llm.toxicity import THRESHOLD, fit, score_documents
@@ -42,9 +42,19 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
 
 def source_mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents as often as the mix takes them; those it leaves out, and those without words, go."""
-    times = mix_sources(docs).filter("taken > 0").select("doc_id", F.expr("taken div size").alias("_times"))
-    ranked = times.groupBy("doc_id").agg(F.max("_times").alias("_times"))
-    taken = docs.join(ranked, docs["doc_id"].eqNullSafe(ranked["doc_id"])).drop(ranked["doc_id"])
+    times = mix_sources(docs).filter("taken > 0").select("doc_id", F.col("source").alias("_source"), F.col("size").alias("_size"), F.expr("taken div size").alias("_times"))
+    unnamed = docs.filter("doc_id IS NULL")
+    some = not unnamed.isEmpty()
+    if some:
+        times = stored(times)
+    ranked = times.filter("doc_id IS NOT NULL").groupBy("doc_id").agg(F.max("_times").alias("_times"))
+    taken = docs.join(ranked, "doc_id").select(*docs.columns, "_times")
+    if some:  # rows without an id that have one source and one size can stand for each other
+        nth = lambda by, order: F.row_number().over(Window.partitionBy(*by).orderBy(*order))
+        own = times.filter("doc_id IS NULL").withColumn("_nth", nth(("_source", "_size"), (F.desc("_times"),)))
+        rows = unnamed.withColumn("_words", word_count(F.col("text"))).withColumn("_i", nth(("source", "_words"), ("text",)))
+        met = rows.join(own.drop("doc_id"), F.col("source").eqNullSafe(F.col("_source")) & (F.col("_words") == F.col("_size")) & (F.col("_i") == F.col("_nth")))
+        taken = taken.unionByName(met.select(*docs.columns, "_times"))
     return taken.withColumn("_copy", F.explode(F.sequence(F.lit(1).cast("long"), F.col("_times")))).select(*(taken[c] for c in docs.columns))
 
 

@@ -48,3 +48,16 @@ def test_odd_documents(spark):
     for _, stage in pipeline.STAGES:
         none = stored(stage(spark, none, SF))
     assert none.count() == 0
+
+
+def test_the_mix_holds_for_rows_without_an_id(spark):
+    import corpus_pipeline as P
+    from kmerspark.llm.mixing import mix_sources
+
+    rows = [(None if i % 3 else i, s, " ".join(["w"] * (2 + i % 5) + [str(i)])) for s, n in (("a", 60), ("b", 20), ("c", 40), (None, 5)) for i in range(1000 * (s or "z").encode()[0], 1000 * (s or "z").encode()[0] + n)]
+    docs = spark.createDataFrame(rows, "doc_id long, source string, text string")
+    want = {r.source: r.w for r in mix_sources(docs).groupBy("source").sum("taken").toDF("source", "w").collect()}
+    got = {}
+    for r in P.source_mix(spark, docs, "").collect():
+        got[r.source] = got.get(r.source, 0) + len(r.text.split())
+    assert got == {s: w for s, w in want.items() if w}
