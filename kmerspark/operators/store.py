@@ -1,4 +1,4 @@
-"""Tables written to the shared folder and read back, to end the lineage of iterative methods."""
+"""Tables written to the shared folder and read back, to end the lineage of iterative methods; files that appear at once."""
 
 from __future__ import annotations
 
@@ -8,13 +8,21 @@ import uuid
 from pyspark.sql import DataFrame, SparkSession
 
 
-def shared_path(spark: SparkSession) -> str:
-    """A new path in spark.checkpoint.dir, or in an own folder where that is unset (tests)."""
+def shared_dir(spark: SparkSession) -> str:
+    """The folder that driver and executors share: spark.checkpoint.dir. Where it is unset, local mode takes an own one."""
     where = spark.conf.get("spark.checkpoint.dir", None) or spark.conf.get("spark.kmerspark.local.dir", None)
-    if not where:
-        where = tempfile.mkdtemp(prefix="kmerspark-")
-        spark.conf.set("spark.kmerspark.local.dir", where)
-    return f"{where}/kmerspark-{uuid.uuid4().hex}"
+    if where:
+        return where
+    if not spark.sparkContext.master.split("[")[0] == "local":
+        raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+    where = tempfile.mkdtemp(prefix="kmerspark-")
+    spark.conf.set("spark.kmerspark.local.dir", where)
+    return where
+
+
+def shared_path(spark: SparkSession) -> str:
+    """A new path in the shared folder."""
+    return f"{shared_dir(spark)}/kmerspark-{uuid.uuid4().hex}"
 
 
 def stored(df: DataFrame) -> DataFrame:
@@ -22,3 +30,33 @@ def stored(df: DataFrame) -> DataFrame:
     path = shared_path(df.sparkSession)
     df.write.parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
+
+
+def publish(spark: SparkSession, path: str, text: str) -> bool:
+    """Write a small file that readers see whole or not at all; False if the path is taken.
+
+    The text goes to a hidden file beside it, which is then renamed without overwriting: one atomic step on HDFS and
+    its like. A local file is linked instead, since Java's rename would replace what another writer has just put there.
+    """
+    jvm = spark._jvm
+    hadoop = jvm.org.apache.hadoop.fs
+    final = hadoop.Path(path)
+    fs = final.getFileSystem(spark._jsc.hadoopConfiguration())
+    hidden = hadoop.Path(final.getParent(), f".{uuid.uuid4().hex}")
+    out = fs.create(hidden, False)
+    out.write(bytearray(text.encode()))
+    out.close()
+    try:
+        if fs.getScheme() == "file":
+            local = lambda p: jvm.java.io.File(fs.makeQualified(p).toUri().getPath()).toPath()
+            jvm.java.nio.file.Files.createLink(local(final), local(hidden))
+        else:
+            options = spark.sparkContext._gateway.new_array(getattr(hadoop, "Options$Rename"), 0)
+            hadoop.FileContext.getFileContext(fs.getUri(), spark._jsc.hadoopConfiguration()).rename(hidden, final, options)
+    except Exception:
+        if not fs.exists(final):
+            raise
+        return False
+    finally:
+        fs.delete(hidden, False)
+    return True

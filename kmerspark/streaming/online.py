@@ -19,6 +19,7 @@ from ..operators.kmers import combined_kmers
 from ..operators.lookup import lookup
 from ..operators.normalize import decide
 from ..operators.sketch import PrimeSketch, SketchSpec
+from ..operators.store import publish
 
 ROCKSDB = "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider"
 
@@ -51,10 +52,7 @@ class VersionedSketch:
             return False
         name = f"v{batch_id}-{uuid.uuid4().hex}"
         self.current().merge(PrimeSketch.of_counts(counts, self.spec)).cells.write.parquet(f"{self.path}/{name}")
-        out = self._fs.create(self._at(f"commits/{batch_id:010d}"), False)
-        out.write(bytearray(name.encode()))
-        out.close()
-        return True
+        return publish(self.spark, f"{self.path}/commits/{batch_id:010d}", name)
 
 
 def count_stream(stream: DataFrame, sketch: VersionedSketch, checkpoint: str, available_now: bool = True):
