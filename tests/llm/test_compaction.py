@@ -48,6 +48,7 @@ def test_versions_and_conflicts(spark, tmp_path):
     assert b.read().count() == 11
     with pytest.raises(ConflictError):
         b._commit(b.manifest(1), 2)
+    assert b.read().count() == 11 and b.version() == 2
     assert a.compact() and a.version() == 3 and a.manifest(2).count() == 11 and a.read().count() == 11
     a.vacuum()
     assert a.read().count() == 11 and not a.compact()
@@ -58,3 +59,56 @@ def test_odd_rows(spark):
     got = compact_documents(spark.createDataFrame(rows, "doc_id long, text string"))
     assert sorted(str(r.doc_id) for r in got.collect()) == ["-3", "5", "5", "None", "None"]
     assert compact_documents(spark.createDataFrame([], "doc_id long, text string")).count() == 0
+
+
+def test_two_writers_at_once(spark, tmp_path):
+    """The one that loses leaves no row behind, and appends its rows once when it tries again."""
+    a, b = (TieredStore(spark, str(tmp_path / "w"), target=1000, base=10, min_run=2) for _ in range(2))
+    rows = lambda low, high: spark.range(low, high).withColumn("text", F.lit("abcdefghij"))
+    a.append(rows(0, 3), F.col("id"), F.length("text"))
+    commit = a._commit
+
+    def late(manifest, version):  # another writer commits between this one's write and its commit
+        a._commit = commit
+        b.append(rows(10, 14), F.col("id"), F.length("text"))
+        commit(manifest, version)
+
+    a._commit = late
+    with pytest.raises(ConflictError):
+        a.append(rows(20, 28), F.col("id"), F.length("text"))
+    held = lambda s: sorted(r.id for r in s.read().select("payload.id").collect())
+    assert held(a) == held(b) == [0, 1, 2, 10, 11, 12, 13]
+    a.append(rows(20, 28), F.col("id"), F.length("text"))
+    want = [0, 1, 2, 10, 11, 12, 13, *range(20, 28)]
+    assert held(a) == want and a.manifest().agg(F.sum("n_rows")).first()[0] == len(want)
+    a._commit = late
+    with pytest.raises(ConflictError):
+        a.compact()
+    while b.compact():
+        pass
+    assert held(a) == held(b) == sorted(want + [10, 11, 12, 13])
+
+
+def test_vacuum_spares_what_is_not_committed_yet(spark, tmp_path):
+    a, b = (TieredStore(spark, str(tmp_path / "u"), target=1000, base=10, min_run=2) for _ in range(2))
+    rows = spark.range(6).withColumn("text", F.lit("abcdefghij"))
+    a.append(rows, F.when(F.col("id") > 0, F.col("id")), F.length("text"))
+    assert a.compact()  # the first batch is dead now
+    commit = a._commit
+
+    def late(manifest, version):
+        b.vacuum()
+        commit(manifest, version)
+
+    a._commit = late
+    before = len(a._names("data"))
+    a.append(rows, F.col("id"), F.length("text"))  # its shards are written, then the other vacuums
+    assert len(a._names("data")) == before == 2 and a.versions() == [2, 3]
+    assert a.read().count() == a.manifest().agg(F.sum("n_rows")).first()[0] == 12
+
+
+def test_a_half_written_commit_is_not_seen(spark, tmp_path):
+    a = TieredStore(spark, str(tmp_path / "h"))
+    a.append(spark.range(3).withColumn("text", F.lit("x")), F.col("id"), F.length("text"))
+    (tmp_path / "h" / "commits" / ".0123").write_text("manif")
+    assert a.version() == 1 and a.read().count() == 3
