@@ -5,7 +5,7 @@ All kernels work on Arrow buffers: whole texts in, NumPy arrays out, no Python l
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -49,7 +49,7 @@ class Words:
     A null text has no words.
     """
 
-    def __init__(self, text: pa.Array, lower: bool = False):
+    def __init__(self, text: pa.Array, lower: bool = False, cuts: Callable[[np.ndarray], np.ndarray] | None = None):
         text = text.cast(pa.large_string())
         if text.null_count:
             text = text.fill_null("")
@@ -64,6 +64,8 @@ class Words:
         first[1:] &= ~inside[:-1]
         starts = offsets[:-1][np.diff(offsets) > 0]
         first[starts] = inside[starts]
+        if cuts is not None:  # bytes at which a word is cut in two
+            first |= cuts(raw)
         at = np.flatnonzero(first)
         self.counts = np.diff(np.searchsorted(at, offsets))
         letters = np.concatenate([[0], np.cumsum(inside, dtype=np.int64 if len(raw) >> 31 else np.int32)])

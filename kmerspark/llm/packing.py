@@ -12,7 +12,9 @@ the same result.
 from __future__ import annotations
 
 import os
+import re
 import zlib
+from array import array
 from collections.abc import Callable, Iterator
 from functools import lru_cache
 
@@ -122,20 +124,42 @@ def _encoder(path: str) -> Callable[[pa.Array], tuple[np.ndarray, np.ndarray]]:
         for i in range(0, len(fresh), 20_000):
             part = fresh[i : i + 20_000]
             found = tokenizer.encode_batch_fast([w.decode() for w in part], add_special_tokens=False)
-            known.update((w, np.array(e.ids, dtype="<u4").tobytes()) for w, e in zip(part, found, strict=True))
+            known.update((w, array("I", e.ids).tobytes()) for w, e in zip(part, found, strict=True))
         runs = [known[w] for w in words]
         return np.frombuffer(b"".join(runs), dtype="<u4"), np.fromiter(map(len, runs), np.int64, len(runs)) // 4
 
     return encode
 
 
+#: What the tokenizer reads with an eye to what stands around: its own marks, and the capital sigma.
+MARK = re.compile(rb"<\|(start|end)oftext\|>|\xce\xa3", re.IGNORECASE)
+#: 1: ASCII letter, 2: ASCII sign, 3: ASCII digit, 0: anything else.
+_KIND = np.zeros(256, np.uint8)
+_KIND[0x21:0x7F] = 2
+_KIND[[*range(65, 91), *range(97, 123)]] = 1
+_KIND[48:58] = 3
+#: By the kinds of two neighbours: a letter ends before a sign or digit, and a digit is always alone.
+_CUT = np.zeros(16, dtype=bool)
+_CUT[[4 + 2, 4 + 3, 8 + 3, 12 + 1, 12 + 2]] = True
+
+
+def _cuts(raw: np.ndarray) -> np.ndarray:
+    """Where the tokenizer splits a word whatever stands around; in ASCII, so that no cut parts what its normaliser joins."""
+    out = np.zeros(len(raw), dtype=bool)
+    kind = _KIND[raw]
+    out[1:] = _CUT[4 * kind[:-1] + kind[1:]]
+    return out
+
+
 def encode_block(text: pa.Array, path: str, end_id: int = END_ID) -> tuple[np.ndarray, np.ndarray]:
     """All ids of a block, each document's followed by `end_id`, and the number of ids of each document.
 
-    The tokenizer drops white space and no token spans it, so a text's ids are those of its words in turn; each
-    distinct word is encoded once.
+    The tokenizer drops white space and case, and no token spans white space or a cut, so a text's ids are those of
+    its pieces in turn; each distinct piece is encoded once. A block with a MARK is not cut.
     """
-    words = Words(text)
+    data = text.cast(pa.large_string()).buffers()[2]
+    plain = data is None or not MARK.search(memoryview(data))
+    words = Words(text, lower=plain, cuts=_cuts if plain else None)
     pool, sizes = _encoder(path)(words.distinct)
     begins = np.cumsum(sizes) - sizes
     per_word = sizes[words.codes]

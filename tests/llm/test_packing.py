@@ -1,4 +1,5 @@
 import zlib
+from functools import lru_cache
 
 import numpy as np
 import pytest
@@ -48,6 +49,25 @@ def test_ids_are_the_tokenizer_s():
     assert ids.tolist() == sum(want, [])
 
 
+@lru_cache
+def plain_tokenizer():
+    from tokenizers import Tokenizer
+
+    return Tokenizer.from_file(PATH)
+
+
+PARTS = ["a", "Zé", "s", "'s", "'LL", "'", "12", "½", "٣", ".", "...", "…", "́", "ß", "Σ", "σ", "<|endoftext|>", "<|ENDOFTEXT|>", "<|", "中", " ", "\n", "\u00a0", "\u0085", "\u3000", "≠", "@x_y"]
+
+
+@settings(max_examples=300, deadline=None)
+@given(st.lists(st.lists(st.sampled_from(PARTS), max_size=12).map("".join), min_size=1, max_size=4))
+def test_ids_of_any_text(texts):
+    import pyarrow as pa
+
+    t = plain_tokenizer()
+    assert encode_block(pa.array(texts), PATH)[0].tolist() == sum([t.encode(x, add_special_tokens=False).ids + [1] for x in texts], [])
+
+
 def test_rows(spark):
     from tokenizers import Tokenizer
 
