@@ -1,13 +1,12 @@
 """Passages that stand word for word in several documents: the plan that the substring operators share.
 
-1. All grams of GRAM words are counted by cell of a hash space, as in the n-gram join; a bounded bit map of the
-   cells that two documents hit is broadcast.
-2. A window (`window` words) can only repeat if all its grams hit the map. The windows that pass are cut into runs
-   with the same minimiser (least gram hash of the window), which is the same wherever the window stands. A run is
-   a slice of words around its anchor; equal slices are one.
+1. All grams of GRAM words are counted by cell of a hash space that grows with the input (`_blocks`); each block
+   learns which of its grams occur elsewhere.
+2. A window (`window` words) can only repeat if all its grams do. The windows that pass are cut into runs with the
+   same minimiser (least gram hash of the window), which is the same wherever the window stands. A run is a slice of
+   words around its anchor; equal slices of a block are one.
 3. Slices with the same anchor meet; an operator finds, for each window, the least and the largest id that hold it.
-   Where an anchor has one slice there is nothing to search.
-4. What was found goes back to the documents by slice and is gathered for each document.
+4. What was found goes back to the blocks, where documents are read again.
 
 Hot passages cost one slice a block, and their holders are reduced before each shuffle.
 """
@@ -18,40 +17,46 @@ from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
-import xxhash
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ._blocks import Blocks, by_block, read_payload, repeated
 from ._state import stored
-from ._text import Words, column, gram_hashes, text_blocks
-from .ngram_join import CELL_BITS, encode_gaps, global_order
+from ._text import Rolling, Words, column, mix64
 
 WINDOW = 50
+#: Slices that a task searches at a time, whole anchors.
+CHUNK_SLICES = 4_096
+NONE_LO, NONE_HI = np.iinfo(np.int64).max, np.iinfo(np.int64).min
 
-#: For the slices of one anchor: words of each, place of the anchor in each, least and largest id of their holders,
+#: For slices of whole anchors: words of each, place of the anchor in each, least and largest id of their holders,
 #: and the window's length; gives the least and largest id that hold each window of each slice.
 Search = Callable[[list[list[bytes]], list[int], list[int], list[int], int], list[tuple[np.ndarray, np.ndarray]]]
 
 
-def _count_grams(window: int, ranges: int):
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for block in text_blocks(batch, "text"):
-                words = Words(column(block, "text"))
-                n = window // 2
-                grams, ends, counts = gram_hashes(words.hashes(), n), words.ends(), words.counts
-                own = [np.unique((grams[e - c : e - n + 1] >> np.uint64(64 - CELL_BITS)).astype(np.uint32)) for e, c in zip(ends.tolist(), counts.tolist(), strict=True) if c >= window]
-                cells = np.sort(np.concatenate(own)) if own else np.zeros(0, np.uint32)
-                edge = np.searchsorted(cells, np.arange(1, ranges, dtype=np.uint64) * np.uint64(2**CELL_BITS // ranges))
-                parts = [(r, encode_gaps(p)) for r, p in enumerate(np.split(cells, edge)) if len(p)]
-                yield pa.RecordBatch.from_arrays([pa.array([len(cells)] * len(parts), pa.int64()), pa.array([r for r, _ in parts], pa.int32()), pa.array([b for _, b in parts], pa.binary())], names=["n", "range", "cells"])
+class Block:
+    """The words of a block's documents and the hashes of their grams of half a window."""
 
-    return run
+    def __init__(self, batch: pa.RecordBatch, window: int):
+        self.ids = column(batch, "id")
+        self.words = Words(column(batch, "text"))
+        self.ends, self.counts = self.words.ends(), self.words.counts
+        self.hashed = self.words.hashes()
+        self.rolling = Rolling(self.hashed)
+        self.gram = window // 2
+        self.grams = self.rolling.windows(self.gram)
+        self.left = np.repeat(self.ends, self.counts) - np.arange(len(self.hashed))  # words to the end of the text
+        long = np.repeat(self.counts >= window, self.counts)
+        self.at = np.flatnonzero((self.left >= self.gram) & long)
 
+    def items(self) -> np.ndarray:
+        return self.grams[self.at]
 
-def _first_least(values: np.ndarray, width: int) -> np.ndarray:
+
+def first_least(values: np.ndarray, width: int) -> np.ndarray:
     """For each window of `width` values, the place of the first least one."""
-    at = np.arange(len(values))
+    at = np.arange(len(values), dtype=np.int32)
     have = 1
     while have < width:
         step = min(have, width - have)
@@ -61,126 +66,125 @@ def _first_least(values: np.ndarray, width: int) -> np.ndarray:
     return at
 
 
-def _slices(window: int, order):
-    """Two kinds of rows: slices (key, anchor, at, slice, id), one a block; and where they stand (key, id, row, start)."""
-    n = window // 2
+def runs_of(block: Block, hit: np.ndarray, window: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """First and last window of each run that may repeat, and the place of its anchor."""
+    known = np.zeros(len(block.hashed) + 1, bool)
+    known[block.at] = hit
+    width = window - block.gram + 1
+    bad = np.concatenate([[0], np.cumsum(~known[: len(block.grams)], dtype=np.int32)])
+    good = bad[width:] == bad[:-width]
+    owned = np.repeat(np.asarray(block.ids.is_valid()), block.counts)
+    good &= (block.left[: len(good)] >= window) & owned[: len(good)]
+    start = np.flatnonzero(good)
+    if not len(start):
+        return start, start, start
+    anchor = first_least(block.grams, width)
+    new = np.concatenate([[True], (np.diff(start) > 1) | (np.diff(anchor[start]) != 0)])
+    first, last = start[new], start[np.append(np.flatnonzero(new)[1:], len(start)) - 1]
+    return first, last, anchor[first].astype(np.int64)
+
+
+FOUND = "k1 long, k2 long, block long, id long, start int, n int, anchor long, at int, slice string, lo long, hi long"
+
+
+def _slices(window: int, space):
+    """Two kinds of rows: where slices stand (key, block, id, start, n), and slices (key, anchor, at, slice, lo, hi)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for block in text_blocks(batch, "text"):
-                words = Words(column(block, "text"))
-                hashed, ends, counts = words.hashes(), words.ends(), words.counts
-                if len(hashed) < window:
+            for name, raw, parts in zip(column(batch, "block").to_pylist(), column(batch, "payload"), column(batch, "parts"), strict=True):
+                block = Block(read_payload(raw.as_buffer()), window)
+                first, last, anchor = runs_of(block, repeated(space, block.items(), parts.as_py()), window)
+                if not len(first):
                     continue
-                grams = gram_hashes(hashed, n)
-                bad = np.concatenate([[0], np.cumsum(order.value.repeated(grams) == 0, dtype=np.int32)])
-                width = window - n + 1
-                good = bad[width:] == bad[:-width]  # window starts
-                left = np.repeat(ends, counts) - np.arange(len(hashed))  # words to the end of the text
-                good &= left[: len(good)] >= window
-                if not good.any():
-                    continue
-                anchor = _first_least(grams, width)
-                start = np.flatnonzero(good)
-                new = np.concatenate([[True], (np.diff(start) > 1) | (np.diff(anchor[start]) != 0)])
-                first, last = start[new], start[np.append(np.flatnonzero(new)[1:], len(start)) - 1]
-                doc = np.searchsorted(ends, first, side="right")
-                ids, rows = column(block, "id"), column(block, "row")
-                id_list = ids.take(pa.array(doc)).to_pylist()
-                spelled = words.words.to_pylist()
-                keys, seen = [], {}
-                for a, b, i, d in zip(first.tolist(), last.tolist(), anchor[first].tolist(), id_list, strict=True):
-                    text = b" ".join(spelled[a : b + window])
-                    key = xxhash.xxh3_128_digest(text)
-                    keys.append(key)
-                    if held := seen.get(key):
-                        held[3], held[4] = min(held[3], d), max(held[4], d)
-                    else:
-                        seen[key] = [i, i - a, text, d, d]
-                m, k = len(keys), len(seen)
-                held = list(seen.values())
+                end = last + window
+                k1, k2 = block.rolling.runs(first, end), Rolling(mix64(block.hashed ^ np.uint64(0x2545F4914F6CDD1D))).runs(first, end)
+                own = np.asarray(block.ids.take(pa.array(np.searchsorted(block.ends, first, side="right"))))
+                order = np.lexsort((own, k2, k1))
+                new = np.concatenate([[True], (np.diff(k1[order]) != 0) | (np.diff(k2[order]) != 0)])
+                head = order[new]  # of each distinct slice, the place with the least id
+                tail = order[np.append(np.flatnonzero(new)[1:], len(order)) - 1]
+                spaced = memoryview(block.words.spaced())
+                begin = block.words.bounds.astype(np.int64) + np.arange(len(block.words.bounds))
+                text = [bytes(spaced[a : b - 1]) for a, b in zip(begin[first[head]].tolist(), begin[end[head]].tolist(), strict=True)]
+                m, k = len(first), len(head)
+                both = lambda a, b, t: pa.concat_arrays([pa.nulls(m, t) if a is None else pa.array(a, t), pa.nulls(k, t) if b is None else pa.array(b, t)])
+                long, short = pa.int64(), pa.int32()
                 yield pa.RecordBatch.from_arrays([
-                    pa.array([*keys, *seen], pa.binary()),
-                    pa.concat_arrays([pa.array(id_list, pa.int64()), pa.nulls(k, pa.int64())]),
-                    pa.concat_arrays([rows.take(pa.array(doc)), pa.nulls(k, pa.int64())]),
-                    pa.concat_arrays([pa.array(first - (ends - counts)[doc], pa.int64()), pa.nulls(k, pa.int64())]),
-                    pa.concat_arrays([pa.array(last - first + 1, pa.int32()), pa.nulls(k, pa.int32())]),
-                    pa.concat_arrays([pa.nulls(m, pa.int64()), pa.array(grams[[h[0] for h in held]].view(np.int64))]),
-                    pa.concat_arrays([pa.nulls(m, pa.int32()), pa.array([h[1] for h in held], pa.int32())]),
-                    pa.array([None] * m + [h[2].decode() for h in held], pa.string()),
-                    pa.concat_arrays([pa.nulls(m, pa.int64()), pa.array([h[3] for h in held], pa.int64())]),
-                    pa.concat_arrays([pa.nulls(m, pa.int64()), pa.array([h[4] for h in held], pa.int64())]),
-                ], names=["key", "id", "row", "start", "n", "anchor", "at", "slice", "lo", "hi"])
+                    pa.array(np.concatenate([k1, k1[head]]).view(np.int64)), pa.array(np.concatenate([k2, k2[head]]).view(np.int64)),
+                    both(np.full(m, name), None, long), both(own, None, long), both(first, None, short), both(last - first + 1, None, short),
+                    both(None, block.grams[anchor[head]].view(np.int64), long), both(None, (anchor - first)[head], short),
+                    pa.concat_arrays([pa.nulls(m, pa.binary()), pa.array(text, pa.binary())]).cast(pa.string()),
+                    both(None, own[head], long), both(None, own[tail], long),
+                ], names=[x.split()[0] for x in FOUND.split(", ")])
 
     return run
 
 
 def _search(find: Search, window: int):
-    """Rows are sorted by anchor; a group ends where the anchor changes."""
+    """Rows are sorted by anchor; whole anchors are searched together, about CHUNK_SLICES slices at a time."""
+    names = ("k1", "k2", "at", "slice", "lo", "hi")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        anchor, group = None, []
+        anchor, held = None, []
 
         def flush() -> pa.RecordBatch:
-            keys, at, text, lo, hi = (list(x) for x in zip(*group, strict=True))
+            k1, k2, at, text, lo, hi = (list(x) for x in zip(*held, strict=True))
             found = find([t.encode().split(b" ") for t in text], at, lo, hi, window)
+            short = [(x[:1] if (x == x[0]).all() else x) for f in found for x in f]
             kind = pa.list_(pa.int64())
-            return pa.RecordBatch.from_arrays([pa.array(keys, pa.binary()), pa.array([f[0].tolist() for f in found], kind), pa.array([f[1].tolist() for f in found], kind)], names=["key", "los", "his"])
+            listed = lambda xs: pa.ListArray.from_arrays(np.concatenate([[0], np.cumsum([len(x) for x in xs])]).astype(np.int32), pa.array(np.concatenate(xs))).cast(kind)
+            return pa.RecordBatch.from_arrays([pa.array(k1), pa.array(k2), listed(short[::2]), listed(short[1::2])], names=["k1", "k2", "los", "his"])
 
         for batch in batches:
-            for own, *row in zip(*(column(batch, c).to_pylist() for c in ("anchor", "key", "at", "slice", "lo", "hi")), strict=True):
-                if own != anchor:
-                    if group:
-                        yield flush()
-                    anchor, group = own, []
-                group.append(row)
-        if group:
+            for own, *row in zip(*(column(batch, c).to_pylist() for c in ("anchor", *names)), strict=True):
+                if own != anchor and len(held) >= CHUNK_SLICES:
+                    yield flush()
+                    held = []
+                anchor = own
+                held.append(row)
+        if held:
             yield flush()
 
     return run
 
 
-def repeated_windows(docs: DataFrame, find: Search, window: int = WINDOW) -> DataFrame:
-    """(id, row, hits): for each document with a window that another id holds too, its hits (start, n, los, his).
+def repeated_windows(docs: DataFrame, find: Search, window: int = WINDOW) -> tuple[Blocks, DataFrame]:
+    """The blocks of `docs` (id, text), and for each block with windows that another id holds too its hits.
 
-    `docs` has id, row (a hash of the text) and text. A hit is a run of n windows from `start` on with the least and
-    the largest id that hold each; a single entry stands for all windows of the run.
+    A hit (start, n, los, his) is a run of n windows from word `start` of the block on, with the least and the
+    largest id that hold each; a single entry stands for all windows of the run.
     """
-    spark = docs.sparkSession
-    ranges = min(2**16, 1 << (4 * int(spark.conf.get("spark.sql.shuffle.partitions")) - 1).bit_length())
-    counted = stored(docs.select("text").mapInArrow(_count_grams(window, ranges), "n long, range int, cells binary"))
-    total = counted.filter(F.col("range").isNotNull()).agg(F.sum(F.length("cells") / 2)).first()[0] or 0
-    order = spark.sparkContext.broadcast(global_order(counted.select("range", "cells"), int(total), ranges))
-
-    found = stored(docs.filter("id IS NOT NULL").select("id", "row", "text").mapInArrow(_slices(window, order), "key binary, id long, row long, start long, n int, anchor long, at int, slice string, lo long, hi long"))
+    blocks = Blocks(docs)
+    answers = blocks.counted(lambda batch: Block(batch, window).items())
+    found = stored(blocks.with_rows(by_block(answers)).mapInArrow(_slices(window, blocks.space), FOUND))
     slices = found.filter("slice IS NOT NULL")
-    held = stored(slices.groupBy("key", "anchor").agg(F.min("lo").alias("lo"), F.max("hi").alias("hi")))
-    several = held.groupBy("anchor").agg(F.count("*").alias("n"), F.min("lo").alias("least"), F.max("hi").alias("most")).filter("least < most").select("anchor", "n")
-    marked = stored(held.join(several, "anchor"))
-    single = marked.filter("n = 1").select("key", F.array("lo").alias("los"), F.array("hi").alias("his"))
-    busy = marked.filter("n > 1").select("key", "anchor", "lo", "hi")
-    texts = slices.join(busy.select("key"), "key", "left_semi").groupBy("key", "slice").agg(F.first("at").alias("at"))
-    groups = texts.join(busy, "key").repartition("anchor").sortWithinPartitions("anchor")
-    searched = groups.mapInArrow(_search(find, window), "key binary, los array<long>, his array<long>")
-    results = stored(single.unionByName(searched).withColumnRenamed("key", "_key"))
-    places = found.filter("slice IS NULL").select("key", "id", "row", "start", "n")
-    hits = places.join(results, F.col("key") == F.col("_key")).filter(F.exists("los", lambda x: x < F.col("id")) | F.exists("his", lambda x: x > F.col("id")))
-    return hits.groupBy("id", "row").agg(F.collect_list(F.struct("start", "n", "los", "his")).alias("hits"))
-
-
-def holders(hits: list[dict], n_words: int, window: int = WINDOW) -> tuple[np.ndarray, np.ndarray]:
-    """The least and the largest id that hold the window from each word on; the own id's place is taken by none."""
-    lo, hi = np.full(n_words, np.iinfo(np.int64).max), np.full(n_words, np.iinfo(np.int64).min)
-    for h in hits:
-        lo[h["start"] : h["start"] + h["n"]] = h["los"]
-        hi[h["start"] : h["start"] + h["n"]] = h["his"]
+    key = ["k1", "k2"]
+    held = stored(slices.groupBy(*key, "anchor").agg(F.min("lo").alias("lo"), F.max("hi").alias("hi")))
+    several = held.groupBy("anchor").agg(F.min("lo").alias("least"), F.max("hi").alias("most")).filter("least < most").select("anchor")
+    busy = held.join(several, "anchor").select(*key, "anchor", "lo", "hi")
+    texts = slices.select(*key, "slice", "at").join(busy.select(*key), key, "left_semi").groupBy(*key).agg(F.first("slice").alias("slice"), F.first("at").alias("at"))
+    groups = texts.join(busy, key).repartition("anchor").sortWithinPartitions("anchor")
+    results = groups.mapInArrow(_search(find, window), "k1 long, k2 long, los array<long>, his array<long>")
+    places = found.filter("slice IS NULL").select(*key, "block", "id", "start", "n")
+    hits = places.join(results, key).filter(F.exists("los", lambda x: x < F.col("id")) | F.exists("his", lambda x: x > F.col("id")))
+    return blocks, hits.groupBy("block").agg(F.collect_list(F.struct("start", "n", "los", "his")).alias("hits"))
+
+
+def holders(hits: pa.ListScalar, n_words: int) -> tuple[np.ndarray, np.ndarray]:
+    """The least and the largest id that hold the window from each word of a block on; none where nothing was found."""
+    lo, hi = np.full(n_words, NONE_LO), np.full(n_words, NONE_HI)
+    if hits.values is not None and len(hits.values):
+        start, n = (np.asarray(hits.values.field(c)).astype(np.int64) for c in ("start", "n"))
+        at = np.arange(n.sum()) + np.repeat(start - (np.cumsum(n) - n), n)
+        for out, name in ((lo, "los"), (hi, "his")):
+            lists = hits.values.field(name)
+            sizes = np.asarray(pc.list_value_length(lists))
+            out[at] = np.repeat(np.asarray(lists.flatten()), np.repeat(np.where(sizes == n, 1, n), sizes))
     return lo, hi
 
 
-def covered(starts: np.ndarray, window: int = WINDOW) -> np.ndarray:
+def covered(marked: np.ndarray, window: int = WINDOW) -> np.ndarray:
     """Words that a marked window covers, given for each word whether its window is marked."""
-    edge = np.zeros(len(starts) + window + 1, np.int64)
-    at = np.flatnonzero(starts)
-    np.add.at(edge, at, 1)
-    np.add.at(edge, at + window, -1)
-    return np.cumsum(edge)[: len(starts)] > 0
+    n = np.concatenate([[0], np.cumsum(marked)])
+    return n[1:] > n[np.maximum(np.arange(len(marked)) + 1 - window, 0)]

@@ -6,6 +6,7 @@ All kernels work on Arrow buffers: whole texts in, NumPy arrays out, no Python l
 from __future__ import annotations
 
 from collections.abc import Callable, Iterator
+from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
@@ -75,12 +76,20 @@ class Words:
         coded = words.dictionary_encode()
         self.codes = np.asarray(coded.indices)
         self.distinct = coded.dictionary
-        self.words = words
+        self.words, self._packed, self.bounds = words, packed, bounds
 
     def ends(self) -> np.ndarray:
         """For each text, the place after its last word."""
         return np.cumsum(self.counts)
 
+    def spaced(self) -> np.ndarray:
+        """All words end to end, a space after each; word i begins at bounds[i] + i."""
+        out = np.full(len(self._packed) + len(self.bounds) - 1, 0x20, np.uint8)
+        letter = np.ones(len(out), bool)
+        letter[self.bounds[1:].astype(np.int64) + np.arange(len(self.bounds) - 1)] = False
+        out[letter] = self._packed
+        return out
+
     def hashes(self) -> np.ndarray:
         """A 64-bit hash for each word."""
         own = np.fromiter((xxhash.xxh3_64_intdigest(w) for w in self.distinct.to_pylist()), dtype=np.uint64, count=len(self.distinct))
@@ -109,6 +118,34 @@ def gram_hashes(words: np.ndarray, n: int) -> np.ndarray:
     return mix64(out)
 
 
+@lru_cache(maxsize=4)
+def _powers(base: int, n: int) -> np.ndarray:
+    out = np.full(n, base, np.uint64)
+    out[0] = 1
+    return np.multiply.accumulate(out)
+
+
+class Rolling:
+    """Hashes of any runs of words, from sums over all words before: two steps a run, however long it is."""
+
+    BASE = 0x9FB21C651E98DF25
+
+    def __init__(self, words: np.ndarray, base: int = BASE):
+        room = 1 << max(12, len(words).bit_length())  # the same powers serve texts of about the same length
+        self.inverse = _powers(pow(base, -1, 2**64), room)
+        self.sums = np.concatenate([np.zeros(1, np.uint64), np.add.accumulate(words * _powers(base, room)[: len(words)])])
+
+    def runs(self, a: np.ndarray, b: np.ndarray) -> np.ndarray:
+        """The hash of the words from each a to before b."""
+        return mix64((self.sums[b] - self.sums[a]) * self.inverse[a] + (b - a).astype(np.uint64))
+
+    def windows(self, n: int) -> np.ndarray:
+        """The hash of the n words from each place on, across text borders too."""
+        if len(self.sums) <= n:
+            return np.zeros(0, np.uint64)
+        return mix64((self.sums[n:] - self.sums[:-n]) * self.inverse[: len(self.sums) - n] + np.uint64(n))
+
+
 def column(batch: pa.RecordBatch, name: str) -> pa.Array:
     """A column by name, the first if names clash."""
     return batch.column(batch.schema.get_field_index(name))

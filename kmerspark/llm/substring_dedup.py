@@ -15,14 +15,13 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
-from pyspark.sql import functions as F
 
-from ._repeats import WINDOW, covered, holders, repeated_windows
-from ._text import column, text_blocks
+from ._blocks import read_payload
+from ._repeats import NONE_HI, NONE_LO, WINDOW, covered, holders, repeated_windows
+from ._text import Words, column
 
 #: Passages of one automaton; an anchor with more has several, and its passages stream through each.
 SHARD_PASSAGES = 4_096
-NONE_LO, NONE_HI = np.iinfo(np.int64).max, np.iinfo(np.int64).min
 
 
 class SuffixAutomaton:
@@ -106,15 +105,6 @@ def search_automata(passages: list[list[bytes]], at: list[int], lo: list[int], h
     return out
 
 
-def with_hits(docs: DataFrame, text_col: str, id_col: str, find, window: int) -> DataFrame:
-    """The columns of `docs` and _hits, what repeated_windows found for the row."""
-    out = docs.drop("_id", "_row", "_hits")
-    row = F.xxhash64(out[text_col].cast("string"))
-    hits = repeated_windows(out.select(out[id_col].cast("long").alias("id"), row.alias("row"), out[text_col].cast("string").alias("text")), find, window)
-    hits = hits.select(F.col("id").alias("_id"), F.col("row").alias("_row"), F.col("hits").alias("_hits"))
-    return out.join(hits, (out[id_col].cast("long") == F.col("_id")) & (row == F.col("_row")), "left").drop("_id", "_row")
-
-
 def substring_dedup(docs: DataFrame, text_col: str = "text", id_col: str = "doc_id", window: int = WINDOW) -> DataFrame:
     """doc_id, n_words, n_removed, kept_text and kept_sha256 of every row.
 
@@ -126,18 +116,20 @@ def substring_dedup(docs: DataFrame, text_col: str = "text", id_col: str = "doc_
 
     def apply(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for block in text_blocks(batch, text_col):
-                ids, n, gone, kept = column(block, id_col).cast(pa.int64()), [], [], []
-                for own, text, hits in zip(ids.to_pylist(), column(block, text_col).to_pylist(), column(block, "_hits").to_pylist(), strict=True):
-                    words = (text or "").encode().split()
-                    n.append(len(words))
-                    if hits:
-                        out = covered(holders(hits, len(words), window)[0] < own, window)
-                        words = [w for w, x in zip(words, out.tolist(), strict=True) if not x]
-                    gone.append(n[-1] - len(words))
-                    kept.append(b" ".join(words))
+            for raw, hits in zip(column(batch, "payload"), column(batch, "hits"), strict=True):
+                own = read_payload(raw.as_buffer())
+                ids, words = column(own, "id"), Words(column(own, "text"))
+                ends, counts = words.ends(), words.counts
+                lo = holders(hits, len(words.codes))[0]
+                gone = covered(lo < np.repeat(np.asarray(ids.fill_null(NONE_HI)), counts), window)
+                sizes = np.diff(words.bounds.astype(np.int64)) + 1
+                text = memoryview(words.spaced()[np.repeat(~gone, sizes)])
+                until = np.concatenate([[0], np.cumsum(np.where(gone, 0, sizes))])
+                n_gone = np.concatenate([[0], np.cumsum(gone)])
+                kept = [bytes(text[a : max(a, b - 1)]) for a, b in zip(until[ends - counts].tolist(), until[ends].tolist(), strict=True)]
                 digest = [hashlib.sha256(k).hexdigest() for k in kept]
-                yield pa.RecordBatch.from_arrays([ids, pa.array(n, pa.int64()), pa.array(gone, pa.int64()), pa.array([k.decode() for k in kept], pa.string()), pa.array(digest, pa.string())], names=["doc_id", "n_words", "n_removed", "kept_text", "kept_sha256"])
+                yield pa.RecordBatch.from_arrays([ids, pa.array(counts, pa.int64()), pa.array(n_gone[ends] - n_gone[ends - counts], pa.int64()), pa.array(kept, pa.binary()).cast(pa.string()), pa.array(digest, pa.string())], names=["doc_id", "n_words", "n_removed", "kept_text", "kept_sha256"])
 
-    slim = docs.select(docs[id_col].alias(id_col), docs[text_col].cast("string").alias(text_col))
-    return with_hits(slim, text_col, id_col, search_automata, window).mapInArrow(apply, "doc_id long, n_words long, n_removed long, kept_text string, kept_sha256 string")
+    slim = docs.select(docs[id_col].cast("long").alias("id"), docs[text_col].cast("string").alias("text"))
+    blocks, hits = repeated_windows(slim, search_automata, window)
+    return blocks.with_rows(hits, "left").mapInArrow(apply, "doc_id long, n_words long, n_removed long, kept_text string, kept_sha256 string")

@@ -1,10 +1,10 @@
 """Repeated passages by sparse suffix arrays.
 
-Only suffixes that begin at a content-selected anchor (a window's minimiser) are kept. The suffixes of one anchor
-are sorted by the words that follow; neighbours are compared, and each match is extended to the right by the common
-words and to the left by the words before the anchor. That decides anchors with two slices. With more, equal windows
-need not be neighbours: all windows of the anchor are looked up in a hash table, and the look-up decides. An anchor
-with one slice (exact copies) is answered by its digest, without a comparison.
+Only suffixes that begin at a content-selected anchor (a window's minimiser) are kept. The suffixes of a task's
+anchors are sorted by the words that follow, and once more by the words before the anchor, read backwards. In each
+order neighbours are compared. Two windows at the same distance from their anchors are equal just if no neighbours
+between them part before the window's end on the right, nor before its start on the left: so the common lengths of
+neighbours alone say which windows of the whole array are the same, and the ids of their holders are joined.
 """
 
 from __future__ import annotations
@@ -16,9 +16,9 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ._repeats import WINDOW, covered, holders
-from ._text import column, text_blocks
-from .substring_dedup import NONE_HI, NONE_LO, with_hits
+from ._blocks import read_payload
+from ._repeats import NONE_LO, WINDOW, Block, covered, holders, repeated_windows
+from ._text import column
 
 
 def _common(a: list[bytes], b: list[bytes]) -> int:
@@ -30,30 +30,34 @@ def _common(a: list[bytes], b: list[bytes]) -> int:
     return n
 
 
+def _order(parts: list[list[bytes]]) -> tuple[np.ndarray, np.ndarray]:
+    """The order of lists of words, and how many leading words each shares with the one before."""
+    order = sorted(range(len(parts)), key=parts.__getitem__)
+    common = [_common(parts[i], parts[j]) for i, j in zip(order[:-1], order[1:], strict=True)]
+    return np.array(order), np.array([0, *common])
+
+
 def search_suffixes(passages: list[list[bytes]], at: list[int], lo: list[int], hi: list[int], window: int) -> list[tuple[np.ndarray, np.ndarray]]:
     """The least and largest id that hold each window of each passage."""
-    out = [(np.full(len(p) - window + 1, x), np.full(len(p) - window + 1, y)) for p, x, y in zip(passages, lo, hi, strict=True)]
-    order = sorted(range(len(passages)), key=lambda i: passages[i][at[i] :])
-    for i, j in zip(order[:-1], order[1:], strict=True):
-        p, q = passages[i], passages[j]
-        right = _common(p[at[i] :], q[at[j] :])
-        left = _common(p[: at[i]][::-1], q[: at[j]][::-1])
-        for n in range(left + right - window + 1):
-            a, b = at[i] - left + n, at[j] - left + n
-            x, y = min(out[i][0][a], out[j][0][b]), max(out[i][1][a], out[j][1][b])
-            out[i][0][a] = out[j][0][b] = x
-            out[i][1][a] = out[j][1][b] = y
-    if len(passages) > 2:
-        seen: dict[bytes, tuple[int, int]] = {}
-        spelled = [[b" ".join(p[s : s + window]) for s in range(len(p) - window + 1)] for p in passages]
-        for keys, (los, his) in zip(spelled, out, strict=True):
-            for s, key in enumerate(keys):
-                x, y = seen.get(key, (NONE_LO, NONE_HI))
-                seen[key] = min(x, int(los[s])), max(y, int(his[s]))
-        for keys, (los, his) in zip(spelled, out, strict=True):
-            for s, key in enumerate(keys):
-                los[s], his[s] = seen[key]
-    return out
+    m = len(passages)
+    begin, size = np.array(at), np.array([len(p) for p in passages])
+    ahead, right = _order([p[a:] for p, a in zip(passages, at, strict=True)])
+    back, left = _order([p[:a][::-1] for p, a in zip(passages, at, strict=True)])
+    far = np.arange(begin.max() + 1)  # words of a window before its anchor
+    ends, starts = np.empty((m, len(far)), np.int64), np.empty((m, len(far)), np.int64)
+    ends[ahead] = np.cumsum(right[:, None] < window - far[None, :], axis=0)  # windows of one class agree from the anchor on
+    starts[back] = np.cumsum(left[:, None] < far[None, :], axis=0)  # and before it
+    which, l = np.nonzero((begin[:, None] >= far) & (size[:, None] - begin[:, None] >= window - far))
+    classes = (l * (m + 1) + ends[which, l]) * (m + 1) + starts[which, l]
+    order = np.argsort(classes, kind="stable")
+    edge = np.flatnonzero(np.concatenate([[True], np.diff(classes[order]) != 0]))
+    own = np.repeat(np.arange(len(edge)), np.diff(np.append(edge, len(order))))
+    low, high = np.empty(len(order), np.int64), np.empty(len(order), np.int64)
+    low[order] = np.minimum.reduceat(np.array(lo)[which[order]], edge)[own]
+    high[order] = np.maximum.reduceat(np.array(hi)[which[order]], edge)[own]
+    place = np.lexsort((-l, which))  # by passage, and by start
+    cuts = np.cumsum(size - window + 1)[:-1]
+    return list(zip(np.split(low[place], cuts), np.split(high[place], cuts), strict=True))
 
 
 def repeated_passages(docs: DataFrame, text_col: str = "text", id_col: str = "doc_id", window: int = WINDOW) -> DataFrame:
@@ -68,18 +72,22 @@ def repeated_passages(docs: DataFrame, text_col: str = "text", id_col: str = "do
 
     def spans(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for block in text_blocks(batch, text_col):
-                rows = []
-                for own, text, hits in zip(column(block, id_col).cast(pa.int64()).to_pylist(), column(block, text_col).to_pylist(), column(block, "_hits").to_pylist(), strict=True):
-                    n = len(text.encode().split())
-                    lo, hi = holders(hits, n, window)
-                    marked = (lo < own) | (hi > own)
-                    edge = np.flatnonzero(np.diff(covered(marked, window).astype(np.int8), prepend=0, append=0))
-                    for a, b in zip(edge[::2].tolist(), edge[1::2].tolist(), strict=True):
-                        inside = lo[a : b - window + 1][marked[a : b - window + 1]]
-                        rows.append((own, a, b - a, int(inside.min()), n))
-                yield pa.RecordBatch.from_arrays([pa.array([r[k] for r in rows], pa.int64()) for k in range(5)], names=["doc_id", "start", "length", "first_doc", "n_words"])
-
-    slim = docs.select(docs[id_col].alias(id_col), docs[text_col].cast("string").alias(text_col))
-    found = with_hits(slim, text_col, id_col, search_suffixes, window).filter(F.col("_hits").isNotNull())
-    return found.mapInArrow(spans, "doc_id long, start long, length long, first_doc long, n_words long")
+            for raw, hits in zip(column(batch, "payload"), column(batch, "hits"), strict=True):
+                block = Block(read_payload(raw.as_buffer()), window)
+                n = len(block.hashed)
+                lo, hi = holders(hits, n)
+                doc = np.repeat(np.arange(len(block.counts)), block.counts)
+                own = np.asarray(block.ids.fill_null(0))[doc]
+                marked = (lo < own) | (hi > own)
+                inside = covered(marked, window)
+                new = np.concatenate([[True], doc[1:] != doc[:-1]])
+                first = np.flatnonzero(inside & (new | ~np.concatenate([[False], inside[:-1]])))
+                last = np.flatnonzero(inside & (np.append(new[1:], True) | ~np.append(inside[1:], False)))
+                least = np.minimum.reduceat(np.where(marked, lo, NONE_LO), np.stack([first, last + 1], axis=1).ravel()[: 2 * len(first) - 1 if len(last) and last[-1] + 1 == n else None])[::2] if len(first) else first
+                d = doc[first]
+                columns = (own[first], first - (block.ends - block.counts)[d], last + 1 - first, least, block.counts[d])
+                yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in columns], names=["doc_id", "start", "length", "first_doc", "n_words"])
+
+    slim = docs.select(docs[id_col].cast("long").alias("id"), docs[text_col].cast("string").alias("text"))
+    blocks, hits = repeated_windows(slim, search_suffixes, window)
+    return blocks.with_rows(hits).mapInArrow(spans, "doc_id long, start long, length long, first_doc long, n_words long")
