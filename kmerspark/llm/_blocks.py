@@ -24,7 +24,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ._state import shared_dir, stored
-from ._text import column, text_blocks
+from ._text import column, give_back, text_blocks
 
 #: Bytes of text of a block, at least and at most; between them a block is BLOCK_SHARE of the input.
 BLOCK_BYTES = 4 << 20
@@ -113,6 +113,7 @@ def _write(limit: int):
 
 
 def read_payload(raw: bytes) -> pa.RecordBatch:
+    give_back()
     table = pa.ipc.open_stream(raw).read_all().combine_chunks()
     return table.to_batches()[0] if table.num_rows else pa.RecordBatch.from_pylist([], table.schema)
 
@@ -135,33 +136,42 @@ class Blocks:
         """block, payload and the columns of `rows`, which has a row a block at most. The blocks stay where they are."""
         return self.rows.join(rows.hint("shuffle_hash"), "block", how)
 
-    def counted(self, items: Items, level: int | None = None) -> DataFrame:
-        """block, parts: a bit for each distinct cell of the block, by range (range, n, bits).
-
-        With `level`, also rows without a block: the cells that occur 2^level times or more (level, n, cells).
-        """
+    def counted(self, items: Items) -> DataFrame:
+        """block, range, n, payload: for each distinct cell of a block, range by range, a bit: it occurs elsewhere too."""
         space = self.space
 
         def send(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             for batch in batches:
                 for block, raw in zip(column(batch, "block").to_pylist(), column(batch, "payload"), strict=True):
-                    cells, count, _, edges = space.sort(items(read_payload(raw.as_buffer())))
-                    shift = space.bits - space.range_bits
-                    cells &= np.uint64((1 << shift) - 1)
-                    rows, a = [], 0
-                    for r, b in enumerate(edges.tolist()):
-                        if b > a:
-                            many = np.flatnonzero(count[a:b] > 1)
-                            more = many.astype("<u4").tobytes() + np.minimum(count[a:b][many], 2**32 - 1).astype("<u4").tobytes()
-                            rows.append((r, b - a, encode_gaps(cells[a:b]), more))
-                        a = b
-                    if rows:
-                        r, n, coded, more = zip(*rows, strict=True)
-                        yield pa.RecordBatch.from_arrays([pa.array(r, pa.int32()), pa.array([block] * len(r), pa.int64()), pa.array(n, pa.int32()), pa.array(coded, pa.binary()), pa.array(more, pa.binary())], names=["range", "block", "n", "cells", "more"])
-
-        sent = self.rows.mapInArrow(send, "range int, block long, n int, cells binary, more binary")
-        answers = sent.groupBy("range").applyInArrow(_add_up(level, space.bits - space.range_bits), "block long, range int, n int, payload binary")
-        return stored(answers) if level is not None else answers
+                    yield cell_rows(space, block, items(read_payload(raw.as_buffer())))
+
+        return add_up(self.rows.mapInArrow(send, CELLS), space)
+
+
+CELLS = "range int, block long, n int, cells binary, more binary"
+
+
+def cell_rows(space: Space, block: int, items: np.ndarray) -> pa.RecordBatch:
+    """What a block sends: for each range its distinct cells, and which of them it holds how often beyond once."""
+    cells, count, _, edges = space.sort(items)
+    cells &= np.uint64((1 << space.bits - space.range_bits) - 1)
+    rows, a = [], 0
+    for r, b in enumerate(edges.tolist()):
+        if b > a:
+            many = np.flatnonzero(count[a:b] > 1)
+            more = many.astype("<u4").tobytes() + np.minimum(count[a:b][many], 2**32 - 1).astype("<u4").tobytes()
+            rows.append((r, block, b - a, encode_gaps(cells[a:b]), more))
+        a = b
+    kinds = (pa.int32(), pa.int64(), pa.int32(), pa.binary(), pa.binary())
+    return pa.RecordBatch.from_arrays([pa.array([x[i] for x in rows], t) for i, t in enumerate(kinds)], names=[x.split()[0] for x in CELLS.split(", ")])
+
+
+def add_up(sent: DataFrame, space: Space, level: int | None = None) -> DataFrame:
+    """block, range, n, payload: the answers to the rows that blocks have sent.
+
+    With `level`, also rows without a block: the cells that occur 2^level times or more (level, n, cells).
+    """
+    return sent.groupBy("range").applyInArrow(_add_up(level, space.bits - space.range_bits), "block long, range int, n int, payload binary")
 
 
 def _add_up(level: int | None, bits: int):

@@ -5,6 +5,7 @@ All kernels work on Arrow buffers: whole texts in, NumPy arrays out, no Python l
 
 from __future__ import annotations
 
+import ctypes
 from collections.abc import Callable, Iterator
 from functools import lru_cache
 
@@ -21,8 +22,19 @@ _LOWER = np.arange(256, dtype=np.uint8)
 _LOWER[65:91] += 32
 
 
+@lru_cache(maxsize=1)
+def give_back() -> None:
+    """Let this process return freed arrays to the system at once: workers live long, and share their machine."""
+    pa.set_memory_pool(pa.system_memory_pool())
+    try:
+        ctypes.CDLL(None).mallopt(-3, 1 << 20)  # M_MMAP_THRESHOLD of glibc; other libraries have no such call
+    except (AttributeError, OSError):
+        pass
+
+
 def text_blocks(batch: pa.RecordBatch, column: str, limit: int = BLOCK_BYTES) -> Iterator[pa.RecordBatch]:
     """Cut a batch into runs of rows whose text is about `limit` bytes; a longer text is a run of its own."""
+    give_back()
     if not batch.num_rows:
         return
     text = batch.column(batch.schema.get_field_index(column)).cast(pa.large_string())

@@ -1,10 +1,10 @@
 """Nearest neighbours by a hierarchical k-means tree with best-bin-first traversal.
 
-The tree is fitted on a bounded sample; every row is then assigned to a leaf. A query walks the tree through a
-priority queue of branches by distance and visits leaves in that order. How many leaves is calibrated: visits are
+The tree is fitted on a bounded sample; every row is then assigned to a leaf. A query walks the tree, in a task, through
+a priority queue of branches by distance and visits leaves in that order. How many leaves is calibrated: visits are
 widened until sample queries reach the wanted recall against brute force, and for each query further until its
-leaves hold enough rows. Rows are read once per block of queries and scored only by the queries that visit their
-leaf; nothing is shuffled but the ranked lists.
+leaves hold enough rows. Queries travel to the leaves they visit; a leaf's rows are dealt to several tasks if they are
+many, and each is read once for all queries. What leaves a task is k rows a query and leaf.
 """
 
 from __future__ import annotations
@@ -19,7 +19,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ._search import TopK, clean_vectors, distinct_rows, merge_ranked, query_blocks, to_matrix
+from ._search import TopK, clean_vectors, distinct_rows, merge_ranked, to_matrix
 from ._state import stored
 
 #: Rows that the tree is fitted on at most, the first by a seeded hash of their ids.
@@ -27,7 +27,9 @@ SAMPLE_ROWS = 20_000
 BRANCHES = 8
 LEAF_ROWS = 64
 CALIBRATION_QUERIES = 400
-RECALL = 0.97
+RECALL = 0.95
+#: Rows of a leaf that one task holds; queries stream past them.
+PART_ROWS = 16_384
 SEED = 42
 
 
@@ -147,14 +149,16 @@ def nearest(rows: DataFrame, queries: DataFrame, k: int = 5, id_col: str = "vec_
         tree = KMeansTree.fit(sample)
         tree.calibrate(sample, k, recall)
         shared = spark.sparkContext.broadcast(tree)  # at most SAMPLE_ROWS leaves
-        index = stored(own.mapInArrow(_assign(shared, k), "id long, v array<double>, leaf long"))
-        sizes = np.zeros(tree.leaves, np.int64)
-        for r in index.groupBy("leaf").agg(F.count("*").alias("n")).collect():  # a row per leaf
-            sizes[r["leaf"]] = r["n"]
-        for ids, vectors in query_blocks(stored(every.filter(F.size("v") == dim))):
-            visits = _visits(tree, _unit(vectors), sizes, k)
-            block = spark.sparkContext.broadcast((ids, vectors, visits))
-            parts.append(index.mapInArrow(_score(block, k), "query_id long, vec_id long, score double"))
+        index = stored(own.mapInArrow(_assign(shared, k), "id long, v array<double>, leaf int"))
+        sizes = index.groupBy("leaf").agg(F.count("*").alias("n")).withColumn("wide", F.ceil(F.col("n") / PART_ROWS).cast("int"))
+        sizes = stored(sizes)
+        held = np.zeros((2, tree.leaves), np.int64)
+        for r in sizes.collect():  # a row per leaf, SAMPLE_ROWS at most
+            held[:, r["leaf"]] = r["n"], r["wide"]
+        dealt = index.join(F.broadcast(sizes.select("leaf", "wide")), "leaf").select("leaf", F.pmod(F.xxhash64("id"), F.col("wide")).cast("int").alias("part"), F.lit(0).alias("kind"), "id", "v")
+        asked = every.filter(F.size("v") == dim).mapInArrow(_route(shared, held, k), "leaf int, part int, kind int, id long, v array<double>")
+        met = dealt.unionByName(asked).repartition("leaf", "part").sortWithinPartitions("leaf", "part", "kind")
+        parts.append(met.mapInArrow(_score(k), "query_id long, vec_id long, score double"))
     return merge_ranked(parts, k, lambda: spark.createDataFrame([], "query_id long, rank int, vec_id long, score double"))
 
 
@@ -172,55 +176,73 @@ def _assign(shared, k: int):
                 keep = distinct_rows(rows, ids, k + 1)
                 leaf = shared.value.assign(_unit(rows[keep]))
                 order = np.argsort(leaf, kind="stable")
-                yield pa.RecordBatch.from_arrays([*(c.take(pa.array(keep[order])) for c in batch.columns), pa.array(leaf[order])], names=["id", "v", "leaf"])
+                yield pa.RecordBatch.from_arrays([*(c.take(pa.array(keep[order])) for c in batch.columns), pa.array(leaf[order], pa.int32())], names=["id", "v", "leaf"])
 
     return run
 
 
-def _visits(tree: KMeansTree, queries: np.ndarray, sizes: np.ndarray, k: int) -> dict[int, np.ndarray]:
-    """For each leaf, the queries that visit it."""
-    out: dict[int, list[int]] = {}
-    for i, q in enumerate(queries):
-        held = 0
-        for n, leaf in enumerate(tree.order(q), 1):
-            out.setdefault(leaf, []).append(i)
-            held += int(sizes[leaf])
-            if n >= tree.visits and held > k:
-                break
-    return {leaf: np.array(x) for leaf, x in out.items()}
+def _route(shared, held: np.ndarray, k: int):
+    """Each query once for every part of every leaf that it visits."""
 
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        tree = shared.value
+        for batch in batches:
+            for at in range(0, batch.num_rows, 256):
+                own = batch.slice(at, 256)
+                goes: list[tuple[int, int, int]] = []
+                for i, q in enumerate(_unit(to_matrix(own.column(1)))):
+                    seen = 0
+                    for n, leaf in enumerate(tree.order(q), 1):
+                        goes += [(i, leaf, part) for part in range(held[1, leaf])]
+                        seen += int(held[0, leaf])
+                        if n >= tree.visits and seen > k:
+                            break
+                who, leaf, part = np.array(goes, np.int64).reshape(-1, 3).T
+                yield pa.RecordBatch.from_arrays([pa.array(leaf, pa.int32()), pa.array(part, pa.int32()), pa.array(np.ones(len(who)), pa.int32()), *(c.take(pa.array(who)) for c in own.columns)], names=["leaf", "part", "kind", "id", "v"])
+
+    return run
+
+
+def _score(k: int):
+    """Rows come by part of a leaf: first the part's rows, then the queries that visit it."""
+
+    def ranked(rows: np.ndarray, ids: np.ndarray, queries: np.ndarray, query_ids: np.ndarray) -> pa.RecordBatch:
+        best = TopK(len(query_ids), k)
+        near = _unit(queries) @ _unit(rows).T
+        near[ids[None, :] == query_ids[:, None]] = -np.inf
+        floor = np.full(len(query_ids), -np.inf)
+        if len(ids) > k:
+            floor = -np.partition(-near, k - 1, axis=1)[:, k - 1]
+        q, r = np.nonzero((near >= floor[:, None] - 1e-9) & (near > -np.inf))
+        if len(q):
+            exact = cosine(queries[q], rows[r])
+            width = np.bincount(q, minlength=len(query_ids)).max()
+            place = np.arange(len(q)) - np.searchsorted(q, q)
+            score, found = np.full((len(query_ids), width), -np.inf), np.full((len(query_ids), width), np.iinfo(np.int64).max)
+            score[q, place], found[q, place] = exact, ids[r]
+            best.add(np.arange(len(query_ids)), score, found)
+        return best.batch(query_ids)
 
-def _score(block, k: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        ids, queries, visits = block.value
-        unit = _unit(queries)
-        best, some = TopK(len(ids), k), False
+        cell, ids, rows, ready = None, [], [], None
         for batch in batches:
             if not batch.num_rows:
                 continue
-            some = True
-            own, rows, leaf = np.asarray(batch.column(0)), to_matrix(batch.column(1)), np.asarray(batch.column(2))
-            rows_unit = _unit(rows)
-            for at in np.unique(leaf).tolist():
-                who = visits.get(at)
-                if who is None:
-                    continue
-                members = np.flatnonzero(leaf == at)
-                near = unit[who] @ rows_unit[members].T
-                near[own[members][None, :] == ids[who][:, None]] = -np.inf
-                floor = best.floor()[who]
-                if len(members) > k:
-                    floor = np.maximum(floor, -np.partition(-near, k - 1, axis=1)[:, k - 1])
-                q, r = np.nonzero((near >= floor[:, None] - 1e-9) & (near > -np.inf))
-                if not len(q):
+            keys = np.stack([np.asarray(batch.column(i)) for i in range(3)], axis=1)
+            edges = np.flatnonzero(np.concatenate([[True], (np.diff(keys, axis=0) != 0).any(axis=1), [True]]))
+            for a, b in zip(edges[:-1].tolist(), edges[1:].tolist(), strict=True):
+                leaf, part, kind = keys[a].tolist()
+                if (leaf, part) != cell:
+                    cell, ids, rows, ready = (leaf, part), [], [], None
+                own, vectors = np.asarray(batch.column(3))[a:b], to_matrix(batch.column(4).slice(a, b - a))
+                if kind == 0:
+                    ids.append(own)
+                    rows.append(vectors)
                     continue
-                exact = cosine(queries[who[q]], rows[members[r]])
-                width = np.bincount(q, minlength=len(who)).max()
-                place = np.arange(len(q)) - np.searchsorted(q, q)
-                score, found = np.full((len(who), width), -np.inf), np.full((len(who), width), np.iinfo(np.int64).max)
-                score[q, place], found[q, place] = exact, own[members[r]]
-                best.add(who, score, found)
-        if some:
-            yield best.batch(ids)
+                if ready is None and ids:
+                    ready = np.concatenate(ids), np.concatenate(rows)
+                if ready is not None:
+                    for c in range(0, len(own), 512):
+                        yield ranked(ready[1], ready[0], vectors[c : c + 512], own[c : c + 512])
 
     return run

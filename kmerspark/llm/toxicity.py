@@ -14,7 +14,7 @@ from dataclasses import dataclass, field
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
@@ -25,8 +25,8 @@ ORDER = 5
 DISCOUNT = 0.75
 #: Labelled documents of each class that a model learns from at most, chosen by a seeded hash of their ids.
 MAX_TRAIN = 6_000
-#: Distinct n-grams that a model keeps at most, the most frequent first (a bound of what is broadcast).
-MAX_GRAMS = 2_000_000
+#: Bytes of text of each class that it learns from at most: documents beyond, in the order of that hash, are not taken.
+MAX_TRAIN_BYTES = 64 << 20
 WINDOWS = (16, 128)
 THRESHOLD = 0.3
 FOLDS = 2
@@ -157,10 +157,10 @@ def _rows(letters: np.ndarray) -> np.ndarray:
 def fit(docs: DataFrame, labels: DataFrame, text_col: str = "text", id_col: str = "doc_id", label_col: str = "toxic", order: int = ORDER, max_train: int = MAX_TRAIN) -> ToxicModel:
     """Learn from labelled documents: at most `max_train` of each class, the first by a seeded hash of their ids.
 
-    Labels other than 0 and 1 and null ids are left out. If a class has no document, every score is the share of
-    toxic labels.
+    All n-grams of these documents are counted. Labels other than 0 and 1 and null ids are left out; an id with both
+    labels counts as toxic. If a class has no document, every score is the share of toxic labels.
     """
-    known = labels.select(labels[id_col].cast("long").alias("id"), labels[label_col].cast("int").alias("y")).filter("id IS NOT NULL AND y IN (0, 1)").dropDuplicates(["id"])
+    known = labels.select(labels[id_col].cast("long").alias("id"), labels[label_col].cast("int").alias("y")).filter("id IS NOT NULL AND y IN (0, 1)").groupBy("id").agg(F.max("y").alias("y"))
     known = stored(known)
     shares = {r["y"]: r["n"] for r in known.groupBy("y").agg(F.count("*").alias("n")).collect()}
     picked = None
@@ -169,7 +169,11 @@ def fit(docs: DataFrame, labels: DataFrame, text_col: str = "text", id_col: str
         picked = part if picked is None else picked.unionByName(part)
     picked = stored(picked)  # at most 2 * max_train rows of two numbers: small enough to broadcast
     texts = docs.select(docs[id_col].cast("long").alias("id"), docs[text_col].cast("string").alias("text"))
-    train = stored(texts.join(F.broadcast(picked), "id").withColumn("fold", F.pmod(F.xxhash64(F.lit(SEED + 1), "id"), F.lit(FOLDS)).cast("int")).repartition(24))
+    train = texts.join(F.broadcast(picked), "id").withColumn("fold", F.pmod(F.xxhash64(F.lit(SEED + 1), "id"), F.lit(FOLDS)).cast("int"))
+    train = stored(train.repartition(24))
+    sizes = train.groupBy("id", "y").agg(F.sum(F.octet_length("text")).alias("n"))  # 2 * max_train rows
+    before = F.sum("n").over(Window.partitionBy("y").orderBy(F.xxhash64(F.lit(SEED), "id"), "id").rowsBetween(Window.unboundedPreceding, -1))
+    train = train.join(F.broadcast(sizes.withColumn("before", before).filter(F.coalesce("before", F.lit(0)) < MAX_TRAIN_BYTES).select("id")), "id")
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -188,7 +192,7 @@ def fit(docs: DataFrame, labels: DataFrame, text_col: str = "text", id_col: str
 
     fields = [f"c{g}" for g in range(2 * FOLDS)]
     counts = train.mapInArrow(count, "gram binary, " + ", ".join(f"{c} long" for c in fields)).groupBy("gram").agg(*(F.sum(c).alias(c) for c in fields))
-    rows = counts.withColumn("n", sum((F.col(c) for c in fields[1:]), F.col(fields[0]))).orderBy(F.desc("n"), "gram").limit(MAX_GRAMS).drop("n").toArrow()
+    rows = counts.toArrow()  # of MAX_TRAIN_BYTES of text a class
     grams = np.frombuffer(b"".join(rows["gram"].to_pylist()), dtype="<u4").reshape(-1, order)
     c = np.stack([rows[x].to_numpy() for x in fields], axis=1).astype(float) if rows.num_rows else np.zeros((0, 2 * FOLDS))
 
@@ -241,7 +245,7 @@ def score_documents(docs: DataFrame, model: ToxicModel, text_col: str = "text")
 
     An empty table gives an empty result; repeated rows get equal scores.
     """
-    shared = docs.sparkSession.sparkContext.broadcast(model)  # at most MAX_GRAMS entries
+    shared = docs.sparkSession.sparkContext.broadcast(model)  # the n-grams of MAX_TRAIN_BYTES of text a class
     slim = docs.drop("score")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

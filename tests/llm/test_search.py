@@ -48,6 +48,41 @@ def test_ball_tree_prunes():
     assert taken < 0.3 * 20 * 4000
 
 
+def test_cones_prune_unit_vectors():
+    """Of clustered vectors of length 1 under half of the products are taken; of unclustered ones nearly all must be."""
+    rng = np.random.default_rng(2)
+    unit = lambda x: np.floor(256 * x / np.sqrt((x * x).sum(axis=1, keepdims=True)))
+    centres = rng.normal(size=(40, 64))
+    rows = unit(centres[rng.integers(0, 40, 4000)] + 0.4 * rng.normal(size=(4000, 64)))
+    queries = rows[::50]
+    best = TopK(80, 5, np.int64)
+    assert BallTree(rows, np.arange(4000)).search(queries, np.arange(0, 4000, 50), best, np.full(80, -np.inf)) < 0.5 * 80 * 4000
+    assert sorted(zip(np.repeat(np.arange(0, 4000, 50), 5).tolist(), np.tile(np.arange(1, 6), 80).tolist(), best.id.ravel().tolist(), best.score.ravel().tolist())) == brute((queries @ rows.T).astype(np.int64), np.arange(4000), np.arange(0, 4000, 50))
+
+
+@pytest.mark.parametrize("seed", range(6))
+def test_any_norms_and_signs(seed):
+    rng = np.random.default_rng(seed)
+    rows = np.floor(rng.normal(size=(500, 3)) * rng.choice([0, 1, 30, 900], (500, 1)) + rng.choice([0, -400], (500, 1)))
+    best = TopK(25, 5, np.int64)
+    BallTree(rows, np.arange(500), 4).search(rows[:25], np.arange(25), best, np.full(25, -np.inf))
+    want = brute((rows[:25] @ rows.T).astype(np.int64), np.arange(500), np.arange(25))
+    assert best.score.ravel().tolist() == [x[3] for x in want] and best.id.ravel().tolist() == [x[2] for x in want]
+
+
+def test_large_leaves_are_dealt_out(spark, monkeypatch):
+    import kmerspark.llm.kmeans_tree as m
+
+    monkeypatch.setattr(m, "PART_ROWS", 50)
+    rows = vectors(seed=4)
+    df = frame(spark, rows, ODD)
+    got = nearest(df, df.filter("vec_id % 50 = 0")).collect()
+    x = rows.astype(np.float64)
+    q = np.arange(0, 900, 50)
+    want = {(a, c) for a, _, c, _ in brute(cosine(x[q][:, None, :], x[None, :, :]), np.arange(900), q)}
+    assert len(got) == 5 * len(q) and len(want & {(r.query_id, r.vec_id) for r in got}) >= 0.9 * len(want)
+
+
 def test_nearest(spark):
     rows = vectors(seed=2)
     zero = [(3000, [0.0] * 12, 1)]

@@ -1,4 +1,6 @@
+import math
 import zlib
+from collections import defaultdict
 
 import duckdb
 import numpy as np
@@ -19,6 +21,49 @@ def test_classes_are_distributions_and_backoff_is_shared():
     assert np.isfinite(m.gram_ratio).all() and (np.diff(m.grams.astype(object)) > 0).all()
 
 
+def brute_kneser_ney(toxic, ordinary, order, discount=0.75):
+    """Log-likelihood ratios of words, by the textbook recursion over dictionaries of n-grams."""
+    pad = lambda w: "\x01" * (order - 1) + w.lower() + "\x02"
+    counts = [defaultdict(int), defaultdict(int)]
+    for c, words in zip(counts, (ordinary, toxic), strict=True):
+        for w in words:
+            for i in range(order - 1, len(pad(w))):
+                c[pad(w)[i - order + 1 : i + 1]] += 1
+    seen = set(counts[0]) | set(counts[1])
+
+    def shared(letter, context):  # continuation counts of both classes together
+        n = len(context) + 1
+        kinds = {g[order - n - 1 :] for g in seen}  # one more letter on the left
+        after = [g for g in kinds if g[1:-1] == context]
+        lower = shared(letter, context[1:]) if context else 1 / len({g[-1] for g in seen})
+        if not after:
+            return lower
+        mine = sum(g[-1] == letter for g in after)
+        return max(mine - discount, 0) / len(after) + discount * len({g[-1] for g in after}) / len(after) * lower
+
+    def log_p(c, gram):
+        own = {g: v for g, v in c.items() if g[:-1] == gram[:-1] and v}
+        lower = shared(gram[-1], gram[1:-1])
+        if not own:
+            return math.log(lower)
+        total = sum(own.values())
+        return math.log(max(c.get(gram, 0) - discount, 0) / total + discount * len(own) / total * lower)
+
+    return lambda w: sum(log_p(counts[1], pad(w)[i - order + 1 : i + 1]) - log_p(counts[0], pad(w)[i - order + 1 : i + 1]) for i in range(order - 1, len(pad(w))))
+
+
+def test_ratios_against_the_textbook_recursion(spark):
+    toxic, ordinary = "scum scam cum bad badly scum idiot".split(), "good mood bad calm scan idea good moon".split()
+    for order in (2, 3, 4):
+        every = ["\x01" * (order - 1) + w + "\x02" for w in toxic + ordinary]
+        grams = sorted({w[i - order + 1 : i + 1] for w in every for i in range(order - 1, len(w))})
+        count = lambda words, g: sum(("\x01" * (order - 1) + w + "\x02")[i : i + order] == g for w in words for i in range(len(w) + 1))  # noqa: B023, E731
+        m = kneser_ney_ratios(np.array([[ord(x) for x in g] for g in grams], "<u4"), np.array([count(toxic, g) for g in grams], float), np.array([count(ordinary, g) for g in grams], float))
+        want = brute_kneser_ney(toxic, ordinary, order)
+        words = ["scum", "bad", "good", "moom", "SCAM", "madly"]
+        assert np.allclose(m.word_ratios(pa.array([w.encode() for w in words])), [want(w) for w in words]), order
+
+
 def test_windows_do_not_cross_documents():
     m = ToxicModel(*(np.zeros(0, np.uint64), np.zeros(0)) * 2)
     m.word_ratios = lambda words: np.array([5.0 if w == b"bad" else -1.0 for w in words.to_pylist()])
