@@ -89,7 +89,7 @@ def decode_gaps(raw: bytes) -> np.ndarray:
     return np.cumsum(gaps)
 
 
-def _write(limit: int):
+def _write(limit: int, text: str = "text"):
     def packed(parts: list[pa.RecordBatch], block: int) -> pa.RecordBatch:
         sink = pa.BufferOutputStream()
         table = pa.Table.from_batches(parts).combine_chunks()
@@ -100,7 +100,7 @@ def _write(limit: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         block, held, size = TaskContext.get().partitionId() << 32, [], 0
         for batch in batches:
-            for part in text_blocks(batch, "text", limit):
+            for part in text_blocks(batch, text, limit):
                 held.append(part)
                 size += part.nbytes
                 if size >= 0.8 * limit:
@@ -119,17 +119,16 @@ def read_payload(raw: bytes) -> pa.RecordBatch:
 
 
 class Blocks:
-    """The table of blocks (block, payload) of documents (id, text), and the hash space for their items."""
+    """The table of blocks (block, payload) of documents, and the hash space for their items. `text` names the column by whose bytes blocks are cut."""
 
-    def __init__(self, docs: DataFrame, spare: int = SPARE_BITS):
+    def __init__(self, docs: DataFrame, text: str = "text", spare: int = SPARE_BITS):
         spark = docs.sparkSession
-        docs = docs.select("id", F.coalesce("text", F.lit("")).alias("text"))
-        n_bytes = docs.agg(F.sum(F.octet_length("text"))).first()[0] or 0
+        n_bytes = docs.agg(F.sum(F.octet_length(text))).first()[0] or 0
         partitions = int(spark.conf.get("spark.sql.shuffle.partitions"))
         limit = min(MOST_BLOCK_BYTES, max(BLOCK_BYTES, n_bytes // BLOCK_SHARE))
         buckets = min(MOST_BUCKETS, max(partitions, n_bytes // limit // 4))
         name = f"kmerspark_blocks_{uuid.uuid4().hex}"
-        docs.mapInArrow(_write(limit), "block long, payload binary").write.bucketBy(buckets, "block").option("path", f"{shared_dir(spark)}/{name}").option("compression", "none").saveAsTable(name)
+        docs.mapInArrow(_write(limit, text), "block long, payload binary").write.bucketBy(buckets, "block").option("path", f"{shared_dir(spark)}/{name}").option("compression", "none").saveAsTable(name)
         self.rows, self.space, self.n_bytes = spark.table(name), Space.of(n_bytes, partitions, spare), n_bytes
 
     def with_rows(self, rows: DataFrame, how: str = "inner") -> DataFrame:

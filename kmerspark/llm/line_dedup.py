@@ -1,14 +1,15 @@
 """Line deduplication by sharded cuckoo filters over exact reference-count tables.
 
-The exact table holds, for each line key, in how many documents it stands and the largest of their ids. Keys over
-the threshold go into cuckoo filters, one per shard of the key space. A document's lines are tested against the
-filters in place; only hits travel to the exact table, which decides. The filters support deletion, and
-`ReversibleLineIndex` keeps them and the tables up to date as documents come and go.
+The exact table holds, for each line key, in how many documents it stands and the largest of their ids. It is kept in
+shards of the key space that grow in number with the input; a block of documents sends each of its distinct keys once
+to the shard. There, keys over the threshold go into a cuckoo filter; what a block has sent is tested against the
+filter, and the exact table decides on what passes. The block learns which of its lines go. No filter leaves its
+shard, so none has to be small enough to be sent about. The filters support deletion: `ReversibleLineIndex` keeps
+them and the counts up to date as documents come and go, and reads counts only where a filter knows the key.
 """
 
 from __future__ import annotations
 
-import hashlib
 import uuid
 from collections.abc import Iterator
 
@@ -19,14 +20,12 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from ._blocks import Blocks, read_payload
 from ._state import stored
-from ._text import column, text_blocks
+from ._text import column
 
 MIN_CODE_POINTS = 20
 MIN_DOCS = 3
-#: Keys of a shard, and the bytes of all filters up to which they are broadcast. Beyond it every line key is joined.
-SHARD_KEYS = 200_000
-FILTER_BYTES = 32 << 20
 LEAST = -(2**63)
 CELL_BITS = 16
 
@@ -112,32 +111,6 @@ class CuckooFilter:
         return cls(0, np.frombuffer(raw, np.uint16).reshape(-1, cls.SLOTS).copy())
 
 
-class FilterShards:
-    """Cuckoo filters by shard of the key space; None: no filter, every key may be there."""
-
-    def __init__(self, payloads: dict[int, bytes] | None, shards: int):
-        self.payloads, self.shards, self._open = payloads, shards, None
-
-    def __getstate__(self):
-        return {"payloads": self.payloads, "shards": self.shards, "_open": None}
-
-    def contains(self, keys: list[bytes]) -> np.ndarray:
-        if self.payloads is None:
-            return np.ones(len(keys), bool)
-        out = np.zeros(len(keys), bool)
-        if not keys or not self.payloads:
-            return out
-        if self._open is None:
-            self._open = {k: CuckooFilter.from_bytes(v) for k, v in self.payloads.items()}
-        halves = key_halves(keys)
-        shard = shard_of(halves, self.shards)
-        for s in np.unique(shard).tolist():
-            if s in self._open:
-                at = shard == s
-                out[at] = self._open[s].contains(halves[at])
-        return out
-
-
 def key_halves(keys: list[bytes]) -> np.ndarray:
     return np.frombuffer(b"".join(keys), dtype="<u8").reshape(-1, 2)
 
@@ -173,54 +146,87 @@ def _lines(text: str | None) -> list[bytes]:
     return (text or "").encode().split(b"\n")
 
 
-def _cells(keys: list[bytes]) -> pa.Array:
-    return pa.array(cell_of(key_halves(keys)) if keys else [], pa.int64())
+def _block_keys(ids: list[int], texts: list[str | None], min_code_points: int) -> dict[bytes, list[int]]:
+    """The distinct keys of a block's documents: how many of them hold it, and the largest of their ids."""
+    found: dict[bytes, list[int]] = {}
+    for doc, text in zip(ids, texts, strict=True):
+        for key in set(line_keys(_lines(text), min_code_points)) - {None}:
+            if at := found.get(key):
+                at[0] += 1
+                at[1] = max(at[1], doc)
+            else:
+                found[key] = [1, doc]
+    return found
 
 
-def postings(docs: DataFrame, text_col: str, id_col: str, min_code_points: int = MIN_CODE_POINTS) -> DataFrame:
-    """(key, cell, n, m): keys with the documents of one block that hold them, counted, and their largest id."""
-
+def _send_keys(shards: int, text: str, id_: str, min_code_points: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for block in text_blocks(batch, text_col):
-                found: dict[bytes, list[int]] = {}
-                for doc, text in zip(_ids(block, id_col), column(block, text_col).to_pylist(), strict=True):
-                    for key in set(line_keys(_lines(text), min_code_points)) - {None}:
-                        if at := found.get(key):
-                            at[0] += 1
-                            at[1] = max(at[1], doc)
-                        else:
-                            found[key] = [1, doc]
-                keys, held = list(found), list(found.values())
-                yield pa.RecordBatch.from_arrays([pa.array(keys, pa.binary()), _cells(keys), pa.array([x[0] for x in held], pa.int64()), pa.array([x[1] for x in held], pa.int64())], names=["key", "cell", "n", "m"])
-
-    return docs.select(docs[id_col].alias(id_col), docs[text_col].alias(text_col)).mapInArrow(run, "key binary, cell long, n long, m long")
-
-
-def reference_counts(docs: DataFrame, text_col: str = "text", id_col: str = "doc_id", min_code_points: int = MIN_CODE_POINTS) -> DataFrame:
-    """The exact table: key, cell, n_docs (documents that hold the key), max_id (the largest of their ids)."""
-    return postings(docs, text_col, id_col, min_code_points).groupBy("key", "cell").agg(F.sum("n").alias("n_docs"), F.max("m").alias("max_id"))
-
-
-def build_filters(keys: DataFrame, n_keys: int, shard_keys: int = SHARD_KEYS, limit: int = FILTER_BYTES) -> FilterShards:
-    """Cuckoo filters over `key`, one per shard; no filters if all of them together could pass `limit` bytes."""
-    shards = max(1, -(-n_keys // shard_keys))
-    if 5 * n_keys > limit:  # a filter takes two to five bytes a key
-        return FilterShards(None, shards)
-
-    def build(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held: dict[int, list[np.ndarray]] = {}
-        for batch in batches:
-            if batch.num_rows:
-                halves = key_halves(batch.column(0).to_pylist())
+            for block, raw in zip(column(batch, "block").to_pylist(), column(batch, "payload"), strict=True):
+                docs = read_payload(raw.as_buffer())
+                found = _block_keys(_ids(docs, id_), column(docs, text).to_pylist(), min_code_points)
+                if not found:
+                    continue
+                halves, held = key_halves(list(found)), np.array(list(found.values()), np.int64)
                 shard = shard_of(halves, shards)
-                for s in np.unique(shard).tolist():
-                    held.setdefault(s, []).append(halves[shard == s])
-        for s, parts in held.items():
-            yield pa.RecordBatch.from_arrays([pa.array([s]), pa.array([CuckooFilter.of(np.concatenate(parts)).to_bytes()], pa.binary())], names=["shard", "filter"])
+                order = np.argsort(shard, kind="stable")
+                edge = np.flatnonzero(np.concatenate([[True], np.diff(shard[order]) != 0, [True]]))
+                parts = [order[a:b] for a, b in zip(edge[:-1], edge[1:], strict=True)]
+                yield pa.RecordBatch.from_arrays([
+                    pa.array([int(shard[x[0]]) for x in parts], pa.int64()), pa.array([block] * len(parts), pa.int64()),
+                    *(pa.array([f(x) for x in parts], pa.binary()) for f in (lambda x: halves[x].tobytes(), lambda x: held[x, 0].tobytes(), lambda x: held[x, 1].tobytes())),
+                ], names=["shard", "block", "keys", "n", "top"])
+
+    return run
+
+
+class ReferenceCounts:
+    """The exact table of one shard: keys in order, the documents that hold each, and the largest of their ids."""
+
+    def __init__(self, halves: np.ndarray, n: np.ndarray, top: np.ndarray):
+        order = np.lexsort((halves[:, 1], halves[:, 0]))
+        halves = halves[order]
+        start = np.flatnonzero(np.concatenate([[True], (halves[1:] != halves[:-1]).any(axis=1)])) if len(halves) else np.zeros(0, np.int64)
+        self.keys = halves[start]
+        self.n_docs = np.add.reduceat(n[order], start) if len(start) else n
+        self.max_id = np.maximum.reduceat(top[order], start) if len(start) else top
+
+    def at(self, halves: np.ndarray) -> np.ndarray:
+        """The place of each key, or -1."""
+        out = np.full(len(halves), -1)
+        if len(self.keys):
+            place = np.searchsorted(self.keys[:, 0], halves[:, 0])
+            while True:  # keys that share their first half stand together
+                live = place < len(self.keys)
+                live &= np.where(live, self.keys[np.minimum(place, len(self.keys) - 1), 0] == halves[:, 0], False) & (out < 0)
+                if not live.any():
+                    break
+                same = live & (self.keys[np.minimum(place, len(self.keys) - 1), 1] == halves[:, 1])
+                out[same] = place[same]
+                place = place + 1
+        return out
 
-    dealt = keys.select("key", F.expr(f"shiftright(cell * {shards}, {CELL_BITS})").alias("shard")).repartition(shards, "shard")
-    return FilterShards({r["shard"]: bytes(r["filter"]) for r in dealt.select("key").mapInArrow(build, "shard long, filter binary").collect()}, shards)
+
+def _judge(min_docs: int):
+    """A shard: the exact counts of all keys, a filter of those over the threshold, and an answer to every block."""
+
+    def run(table: pa.Table) -> pa.Table:
+        sent = [key_halves([x]) for x in table["keys"].to_pylist()]
+        n, top = (np.concatenate([np.frombuffer(x, np.int64) for x in table[c].to_pylist()]) for c in ("n", "top"))
+        counts = ReferenceCounts(np.concatenate(sent), n, top)
+        known = counts.n_docs >= min_docs
+        known_filter = CuckooFilter.of(counts.keys[known])
+        rows = []
+        for block, halves in zip(table["block"].to_pylist(), sent, strict=True):
+            halves = halves[known_filter.contains(halves)]
+            at = counts.at(halves)
+            at = at[(at >= 0) & known[np.maximum(at, 0)]]
+            if len(at):
+                rows.append((block, counts.keys[at].tobytes(), counts.max_id[at].tobytes()))
+        kinds = (pa.int64(), pa.binary(), pa.binary())
+        return pa.table({c: pa.array([r[i] for r in rows], t) for i, (c, t) in enumerate(zip(("block", "keys", "top"), kinds, strict=True))})
+
+    return run
 
 
 def line_dedup(docs: DataFrame, text_col: str = "text", id_col: str = "doc_id", min_code_points: int = MIN_CODE_POINTS, min_docs: int = MIN_DOCS) -> DataFrame:
@@ -231,50 +237,38 @@ def line_dedup(docs: DataFrame, text_col: str = "text", id_col: str = "doc_id",
     counts as a document; rows that share the largest id all keep the line; a null id is below every other. An empty
     table gives an empty result.
     """
-    refs = stored(reference_counts(docs, text_col, id_col, min_code_points).filter(F.col("n_docs") >= min_docs))
-    filters = docs.sparkSession.sparkContext.broadcast(build_filters(refs, refs.count()))
-
-    def candidates(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for block in text_blocks(batch, text_col):
-                ids, keys = [], []
-                for doc, text in zip(_ids(block, id_col), column(block, text_col).to_pylist(), strict=True):
-                    own = list(set(line_keys(_lines(text), min_code_points)) - {None})
-                    ids += [doc] * len(own)
-                    keys += own
-                hit = pa.array(filters.value.contains(keys))
-                yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()).filter(hit), pa.array(keys, pa.binary()).filter(hit)], names=["id", "key"])
-
-    slim = docs.select(docs[id_col].alias(id_col), docs[text_col].alias(text_col))
-    hits = slim.mapInArrow(candidates, "id long, key binary")
-    exact = refs.select(F.col("key").alias("_key"), "max_id")
-    drops = hits.join(exact, (F.col("key") == F.col("_key")) & (F.col("id") < F.col("max_id"))).groupBy("id").agg(F.collect_set("key").alias("_drops")).withColumnRenamed("id", "_id")
-
-    out = docs.drop("n_lines", "n_dropped", "kept_text", "_id", "_drops")
-    joined = out.join(drops, F.coalesce(out[id_col].cast("long"), F.lit(LEAST)) == F.col("_id"), "left").drop("_id")
+    out = docs.drop("n_lines", "n_dropped", "kept_text")
+    text, id_ = (f"c{out.columns.index(c)}" for c in (text_col, id_col))
+    blocks = Blocks(out.toDF(*(f"c{i}" for i in range(len(out.columns)))), text)
+    shards = min(2**CELL_BITS, 2**blocks.space.range_bits)
+    sent = blocks.rows.mapInArrow(_send_keys(shards, text, id_, min_code_points), "shard long, block long, keys binary, n binary, top binary")
+    answers = sent.groupBy("shard").applyInArrow(_judge(min_docs), "block long, keys binary, top binary")
+    answers = answers.groupBy("block").agg(F.collect_list(F.struct("keys", "top")).alias("known"))
     schema = T.StructType([*out.schema.fields, T.StructField("n_lines", T.LongType()), T.StructField("n_dropped", T.LongType()), T.StructField("kept_text", T.StringType())])
 
     def apply(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for block in text_blocks(batch, text_col):
+            for raw, known in zip(column(batch, "payload"), column(batch, "known").to_pylist(), strict=True):
+                rows = read_payload(raw.as_buffer())
+                last: dict[bytes, int] = {}
+                for part in known or []:
+                    last |= zip((part["keys"][i : i + 16] for i in range(0, len(part["keys"]), 16)), np.frombuffer(part["top"], np.int64).tolist(), strict=True)
                 n_lines, n_dropped, kept = [], [], []
-                for text, drop in zip(column(block, text_col).to_pylist(), column(block, "_drops").to_pylist(), strict=True):
-                    lines = _lines(text)
+                for doc, t in zip(_ids(rows, id_), column(rows, text).to_pylist(), strict=True):
+                    lines = _lines(t)
                     n_lines.append(len(lines))
-                    if drop:
-                        gone = set(drop)
-                        lines = [x for x, k in zip(lines, line_keys(lines, min_code_points), strict=True) if k not in gone]
-                        text = b"\n".join(lines).decode()
+                    if last:
+                        left = [x for x, k in zip(lines, line_keys(lines, min_code_points), strict=True) if k is None or doc >= last.get(k, LEAST)]
+                        if len(left) < len(lines):
+                            lines, t = left, b"\n".join(left).decode()
                     n_dropped.append(n_lines[-1] - len(lines))
-                    kept.append(text or "")
-                own = [block.column(i) for i, n in enumerate(block.schema.names) if n != "_drops"]
-                yield pa.RecordBatch.from_arrays([*own, pa.array(n_lines, pa.int64()), pa.array(n_dropped, pa.int64()), pa.array(kept, pa.string())], names=schema.names)
+                    kept.append(t or "")
+                yield pa.RecordBatch.from_arrays([*rows.columns, pa.array(n_lines, pa.int64()), pa.array(n_dropped, pa.int64()), pa.array(kept, pa.string())], names=schema.names)
 
-    return joined.mapInArrow(apply, schema)
+    return blocks.with_rows(answers, "left").mapInArrow(apply, schema)
 
 
-def kept_digest(text: str | None) -> str:
-    return hashlib.sha256((text or "").encode()).hexdigest()
+FILTERS = "shard long, filter binary, full boolean"
 
 
 class ReversibleLineIndex:
@@ -282,78 +276,93 @@ class ReversibleLineIndex:
 
     The folder holds an append-only log of postings (key, id, +1 or -1) and, per shard, a cuckoo filter of the keys
     in use. A deletion appends the negated postings of the documents, so nothing is ever lost: the counts are exact
-    at each moment, and an index after insert(x) and delete(x) answers as before.
+    at each moment, and an index after insert(x) and delete(x) answers as before. An update counts only the keys it
+    touches, and of those inserted only the ones that a filter already knows; the filters stay where their shard is.
     """
 
     def __init__(self, spark: SparkSession, path: str, shards: int = 8, min_code_points: int = MIN_CODE_POINTS):
         self.spark, self.path, self.shards, self.min_code_points = spark, path, shards, min_code_points
         self.parts: list[str] = []
-        self.filters = FilterShards({}, shards)
+        self.filters = spark.createDataFrame([], FILTERS)
 
-    def _add(self, docs: DataFrame, sign: int) -> None:
-        before = self.counts() if self.parts else None
+    def _append(self, docs: DataFrame, sign: int) -> DataFrame:
+        """Log the documents' postings; returns their distinct keys (key, shard)."""
         part = f"{self.path}/postings-{uuid.uuid4().hex}"
-        keys = docs.select("doc_id", "text").mapInArrow(_doc_keys(self.min_code_points), "key binary, cell long, id long")
+        keys = docs.select("doc_id", "text").mapInArrow(_doc_keys(self.min_code_points, self.shards), "key binary, shard long, id long")
         keys.withColumn("sign", F.lit(sign)).write.parquet(part)
         self.parts.append(part)
-        after = self.counts().filter("n_docs > 0")
-        fresh, gone = (after, before) if sign > 0 else (before, after)
-        changed = fresh.join(gone.filter("n_docs > 0"), "key", "left_anti") if gone is not None else fresh
-        self._refilter(changed.select("key", "cell"), sign)
+        return self.spark.read.parquet(part).select("key", "shard").distinct()
 
     def insert(self, docs: DataFrame) -> None:
-        self._add(docs, 1)
+        before = self.parts[:]
+        touched = stored(self._append(docs, 1))
+        if before:
+            known = self._probe(touched)
+            live = self._count(self.spark.read.parquet(*before).join(known.filter("hit").select("key"), "key", "left_semi"))
+            touched = touched.join(live.select("key"), "key", "left_anti")
+        self._refilter(touched, 1)
 
     def delete(self, docs: DataFrame) -> None:
         """Take out documents that were inserted, with the texts they had."""
-        self._add(docs, -1)
+        touched = stored(self._append(docs, -1))
+        live = self._count(self.spark.read.parquet(*self.parts).join(touched.select("key"), "key", "left_semi"))
+        self._refilter(touched.join(live.select("key"), "key", "left_anti"), -1)
+
+    @staticmethod
+    def _count(log: DataFrame) -> DataFrame:
+        live = log.groupBy("key", "shard", "id").agg(F.sum("sign").alias("n")).filter("n > 0")
+        return live.groupBy("key", "shard").agg(F.sum("n").alias("n_docs"), F.max("id").alias("max_id"))
 
     def counts(self) -> DataFrame:
-        """key, cell, n_docs and max_id over the documents that are in."""
-        log = self.spark.read.parquet(*self.parts)
-        live = log.groupBy("key", "cell", "id").agg(F.sum("sign").alias("n")).filter("n > 0")
-        return live.groupBy("key", "cell").agg(F.sum("n").alias("n_docs"), F.max("id").alias("max_id"))
+        """key, shard, n_docs and max_id over the documents that are in."""
+        return self._count(self.spark.read.parquet(*self.parts))
+
+    def _probe(self, keys: DataFrame) -> DataFrame:
+        """The keys (key, shard), and whether their shard's filter knows them."""
+
+        def probe(left: pa.Table, right: pa.Table) -> pa.Table:
+            keys = left["key"].to_pylist()
+            known = CuckooFilter.from_bytes(right["filter"][0].as_py()).contains(key_halves(keys)) if right.num_rows and keys else np.zeros(len(keys), bool)
+            return pa.table({"key": pa.array(keys, pa.binary()), "hit": pa.array(known)})
+
+        return keys.groupBy("shard").cogroup(self.filters.groupBy("shard")).applyInArrow(probe, "key binary, hit boolean")
 
     def _refilter(self, changed: DataFrame, sign: int) -> None:
-        old, shards = self.filters.payloads, self.shards
-
-        def step(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            held: dict[int, list[np.ndarray]] = {}
-            for batch in batches:
-                if batch.num_rows:
-                    halves = key_halves(batch.column(0).to_pylist())
-                    shard = shard_of(halves, shards)
-                    for s in np.unique(shard).tolist():
-                        held.setdefault(s, []).append(halves[shard == s])
-            for s, parts in held.items():
-                keys = np.concatenate(parts)
-                if sign < 0:
-                    (f := CuckooFilter.from_bytes(old[s])).delete(keys)
-                    payload, full = f.to_bytes(), False
-                else:
-                    f = CuckooFilter.from_bytes(old[s]) if s in old else CuckooFilter(4 * len(keys))
-                    full = not f.insert(keys).all()
-                    payload = f.to_bytes()
-                yield pa.RecordBatch.from_arrays([pa.array([s]), pa.array([payload], pa.binary()), pa.array([full])], names=["shard", "filter", "full"])
-
-        rows = changed.select("key", F.expr(f"shiftright(cell * {shards}, {CELL_BITS})").alias("shard")).repartition(shards, "shard").select("key").mapInArrow(step, "shard long, filter binary, full boolean").collect()
-        if any(r["full"] for r in rows):  # a shard ran out of room: filters anew from the exact table
-            live = self.counts().filter("n_docs > 0")
-            self.filters = build_filters(live, live.count(), limit=2**62)
-            self.shards = self.filters.shards
-        else:
-            self.filters = FilterShards(old | {r["shard"]: bytes(r["filter"]) for r in rows}, shards)
+        """Put the keys into their shards' filters, or take them out; a filter that is full is made anew from the counts."""
+
+        def step(left: pa.Table, right: pa.Table) -> pa.Table:
+            shard = (left if left.num_rows else right)["shard"][0].as_py()
+            keys = key_halves(left["key"].to_pylist())
+            f = CuckooFilter.from_bytes(right["filter"][0].as_py()) if right.num_rows else CuckooFilter(4 * len(keys))
+            full = False
+            if sign < 0:
+                f.delete(keys)
+            else:
+                full = not f.insert(keys).all()
+            return pa.table({"shard": pa.array([shard], pa.int64()), "filter": pa.array([f.to_bytes()], pa.binary()), "full": pa.array([full])})
+
+        self.filters = stored(changed.groupBy("shard").cogroup(self.filters.groupBy("shard")).applyInArrow(step, FILTERS))
+        if not self.filters.filter("full").isEmpty():
+            full = self.counts().join(self.filters.filter("full").select("shard"), "shard", "left_semi")
+            anew = full.select("shard", "key").groupBy("shard").applyInArrow(_build, FILTERS)
+            self.filters = stored(self.filters.filter("NOT full").unionByName(anew))
 
     def may_hold(self, lines: list[str]) -> np.ndarray:
         """For each line, whether the filters let it through; False is certain."""
         keys = line_keys([x.encode() for x in lines], self.min_code_points)
-        at = [i for i, k in enumerate(keys) if k is not None]
-        out = np.zeros(len(lines), bool)
-        out[at] = self.filters.contains([keys[i] for i in at])
-        return out
+        asked = [(k, int(shard_of(key_halves([k]), self.shards)[0])) for k in {*keys} - {None}]
+        if not asked:
+            return np.zeros(len(lines), bool)
+        hits = {bytes(r["key"]) for r in self._probe(self.spark.createDataFrame(asked, "key binary, shard long")).filter("hit").collect()}  # of the given lines
+        return np.array([k in hits for k in keys])
+
+
+def _build(table: pa.Table) -> pa.Table:
+    f = CuckooFilter.of(key_halves(table["key"].to_pylist()))
+    return pa.table({"shard": table["shard"][:1], "filter": pa.array([f.to_bytes()], pa.binary()), "full": pa.array([False])})
 
 
-def _doc_keys(min_code_points: int):
+def _doc_keys(min_code_points: int, shards: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             ids, keys = [], []
@@ -361,6 +370,7 @@ def _doc_keys(min_code_points: int):
                 own = list(set(line_keys(_lines(text), min_code_points)) - {None})
                 ids += [doc] * len(own)
                 keys += own
-            yield pa.RecordBatch.from_arrays([pa.array(keys, pa.binary()), _cells(keys), pa.array(ids, pa.int64())], names=["key", "cell", "id"])
+            shard = shard_of(key_halves(keys), shards) if keys else []
+            yield pa.RecordBatch.from_arrays([pa.array(keys, pa.binary()), pa.array(shard, pa.int64()), pa.array(ids, pa.int64())], names=["key", "shard", "id"])
 
     return run

@@ -130,6 +130,6 @@ def substring_dedup(docs: DataFrame, text_col: str = "text", id_col: str = "doc_
                 digest = [hashlib.sha256(k).hexdigest() for k in kept]
                 yield pa.RecordBatch.from_arrays([ids, pa.array(counts, pa.int64()), pa.array(n_gone[ends] - n_gone[ends - counts], pa.int64()), pa.array(kept, pa.binary()).cast(pa.string()), pa.array(digest, pa.string())], names=["doc_id", "n_words", "n_removed", "kept_text", "kept_sha256"])
 
-    slim = docs.select(docs[id_col].cast("long").alias("id"), docs[text_col].cast("string").alias("text"))
+    slim = docs.select(docs[id_col].cast("long").alias("id"), F.coalesce(docs[text_col].cast("string"), F.lit("")).alias("text"))
     blocks, hits = repeated_windows(slim, search_automata, window)
     return blocks.with_rows(hits, "left").mapInArrow(apply, "doc_id long, n_words long, n_removed long, kept_text string, kept_sha256 string")

@@ -88,6 +88,6 @@ def repeated_passages(docs: DataFrame, text_col: str = "text", id_col: str = "do
                 columns = (own[first], first - (block.ends - block.counts)[d], last + 1 - first, least, block.counts[d])
                 yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in columns], names=["doc_id", "start", "length", "first_doc", "n_words"])
 
-    slim = docs.select(docs[id_col].cast("long").alias("id"), docs[text_col].cast("string").alias("text"))
+    slim = docs.select(docs[id_col].cast("long").alias("id"), F.coalesce(docs[text_col].cast("string"), F.lit("")).alias("text"))
     blocks, hits = repeated_windows(slim, search_suffixes, window)
     return blocks.with_rows(hits).mapInArrow(spans, "doc_id long, start long, length long, first_doc long, n_words long")

@@ -3,7 +3,7 @@ from collections import defaultdict
 
 import numpy as np
 
-from kmerspark.llm.line_dedup import CuckooFilter, FilterShards, ReversibleLineIndex, build_filters, line_dedup
+from kmerspark.llm.line_dedup import CuckooFilter, ReferenceCounts, ReversibleLineIndex, line_dedup
 
 WS = " \t\n\x0b\x0c\r"
 
@@ -41,10 +41,20 @@ def test_against_brute_force(spark):
     assert line_dedup(spark.createDataFrame([], "doc_id long, text string")).count() == 0
 
 
-def test_without_filters_the_result_is_the_same(spark, monkeypatch):
-    import kmerspark.llm.line_dedup as m
+def test_exact_counts_by_key():
+    halves = np.array([[5, 1], [5, 2], [7, 1], [5, 1], [5, 9]], np.uint64)
+    counts = ReferenceCounts(halves, np.array([1, 2, 3, 4, 5]), np.array([10, 20, 30, 5, 50]))
+    assert counts.n_docs[counts.at(halves)].tolist() == [5, 2, 3, 5, 5] and counts.max_id[counts.at(halves)].tolist() == [10, 20, 30, 10, 50]
+    assert counts.at(np.array([[5, 3], [8, 1], [0, 0]], np.uint64)).tolist() == [-1, -1, -1]
+    none = np.zeros((0, 2), np.uint64)
+    assert ReferenceCounts(none, np.zeros(0, int), np.zeros(0, int)).at(halves).tolist() == [-1] * 5
 
-    monkeypatch.setattr(m, "build_filters", lambda keys, n: FilterShards(None, 1))
+
+def test_any_number_of_blocks_and_shards(spark, monkeypatch):
+    import kmerspark.llm._blocks as m
+
+    monkeypatch.setattr(m, "BLOCK_BYTES", 300)
+    monkeypatch.setattr(m, "RANGES_EACH", 16)
     rows = fixture()
     got = line_dedup(spark.createDataFrame(rows, "doc_id long, text string"))
     assert sorted([(r.doc_id, r.n_lines, r.n_dropped, r.kept_text) for r in got.collect()], key=str) == brute(rows)
@@ -61,6 +71,17 @@ def test_cuckoo_filter():
     assert CuckooFilter.from_bytes(f.to_bytes()).contains(keys[10_000:]).all()
 
 
+def test_a_full_filter_is_made_anew(spark, tmp_path):
+    texts = lambda a, b: spark.createDataFrame([(i, f"a line that only document {i} has") for i in range(a, b)], "doc_id long, text string")
+    index = ReversibleLineIndex(spark, str(tmp_path), shards=2)
+    index.insert(texts(0, 4))
+    index.insert(texts(4, 600))
+    assert index.may_hold([f"a line that only document {i} has" for i in range(600)]).all()
+    assert index.may_hold([f"a line that no document {i} has" for i in range(600)]).mean() < 0.01
+    index.delete(texts(0, 600))
+    assert not index.may_hold([f"a line that only document {i} has" for i in range(600)]).any() and index.counts().isEmpty()
+
+
 def test_index_is_reversible(spark, tmp_path):
     a = spark.createDataFrame([(i, f"line that all of them have here\nonly the document {i} has this") for i in range(20)], "doc_id long, text string")
     b = spark.createDataFrame([(i, f"line that all of them have here\nanother of the document {i} here") for i in range(20, 30)], "doc_id long, text string")
@@ -74,8 +95,3 @@ def test_index_is_reversible(spark, tmp_path):
     index.delete(b)
     assert sorted(tuple(r) for r in index.counts().collect()) == before
     assert list(index.may_hold(["Line that all of them have here", "another of the document 25 here", "only the document 3 has this"])) == [True, False, True]
-
-
-def test_filters_are_left_out_beyond_the_bound(spark):
-    keys = spark.createDataFrame([(b"0123456789abcdef", 1)], "key binary, cell long")
-    assert build_filters(keys, 10**9).payloads is None
