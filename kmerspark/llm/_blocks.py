@@ -27,7 +27,7 @@ from ._state import shared_dir, stored
 from ._text import column, give_back, text_blocks
 
 #: Bytes of text of a block, at least and at most; between them a block is BLOCK_SHARE of the input.
-BLOCK_BYTES = 4 << 20
+BLOCK_BYTES = 1 << 20
 MOST_BLOCK_BYTES = 64 << 20
 BLOCK_SHARE = 4096
 #: The hash space has 2^SPARE_BITS cells for each byte of input: one cell in 64 or less is hit by chance.
