@@ -9,13 +9,14 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions.dna import encode_kmer, windows_of
-from ..operators.kmers import as_signed, combined_kmers, exact_counts, explode_kmers, read_blocks
+from ..functions.dna import windows_of
+from ..operators.kmers import SAMPLE, as_signed, combined_kmers, exact_counts, read_blocks
 from ..operators.lookup import lookup
 from ..operators.partitioned import counts_of_bins, part_of, super_kmers
 from ..operators.sketch import PrimeSketch, SketchSpec
 from ..operators.spectrum import histogram
 from ..operators.store import stored
+from ..plans.sizing import parts_for
 from ..sources.reads import write_counts
 
 
@@ -130,11 +131,12 @@ class SuffixOrderCounter(KmerCounter):
 def lcp_boundaries(reads: DataFrame, k: int = 22, stranded: bool = False) -> DataFrame:
     """The same in column functions: a word begins a run where it differs from the one before in suffix order.
 
-    Ordered within hash buckets of the word, so no task holds the whole order.
+    Equal suffixes of a block are one row; ordered within hash buckets, as many as the input asks for, so no task
+    holds the whole order.
     """
-    occ = explode_kmers(reads, k, stranded, with_pos=False).withColumn("bucket", F.pmod(F.xxhash64("kmer"), F.lit(256)))
+    occ = combined_kmers(reads, k, stranded).withColumn("bucket", F.pmod(F.xxhash64("kmer"), F.lit(parts_for(reads, 4 << 20, 64))))
     before = F.lag("kmer").over(Window.partitionBy("bucket").orderBy("kmer"))
-    return occ.withColumn("new", (before.isNull() | (before != F.col("kmer"))).cast("int")).groupBy("kmer").agg(F.sum("new").alias("runs"), F.count("*").alias("cnt"))
+    return occ.withColumn("new", (before.isNull() | (before != F.col("kmer"))).cast("int")).groupBy("kmer").agg(F.sum("new").alias("runs"), F.sum("cnt").alias("cnt"))
 
 
 class BloomGatedCounter(KmerCounter):
@@ -142,13 +144,19 @@ class BloomGatedCounter(KmerCounter):
 
     name, online = "bloom_gated", True
 
-    def __init__(self, k: int = 22, stranded: bool = False, expected_kmers: int = 2_000_000, fpr: float = 0.1):
+    def __init__(self, k: int = 22, stranded: bool = False, expected_kmers: int | None = None, fpr: float = 0.1):
         super().__init__(k, stranded)
-        self.gate_spec = SketchSpec.for_fpr(expected_kmers, fpr, 3, k=k, stranded=stranded, counter_bits=2)
+        self.expected, self.fpr = expected_kmers, fpr
+
+    def gate_spec(self, words: DataFrame) -> SketchSpec:
+        """Three tables of two-bit counters for the distinct words expected, or estimated."""
+        n = self.expected or SAMPLE * words.filter(F.col("kmer") % SAMPLE == 0).agg(F.count_distinct("kmer")).first()[0]
+        return SketchSpec.for_fpr(max(1, n), self.fpr, 3, k=self.k, stranded=self.stranded, counter_bits=2)
 
     def count(self, reads, keep_false: bool = False):
         words = stored(combined_kmers(reads, self.k, self.stranded))
-        gate = PrimeSketch.of_counts(words, self.gate_spec).stored(stored)
+        spec = self.gate_spec(words)
+        gate = (PrimeSketch.dense_of_counts(words, spec) if spec.fits_a_task() else PrimeSketch.of_counts(words, spec)).stored(stored)
         kept = lookup(words, gate).filter(F.col("est") >= 2)
         counts = kept.groupBy("kmer").agg(F.sum("cnt").alias("cnt"))
         return counts if keep_false else counts.filter(F.col("cnt") > 1)
@@ -159,13 +167,14 @@ class PartitionFileCounter(KmerCounter):
 
     name = "disk_partition"
 
-    def __init__(self, k: int = 22, stranded: bool = False, parts: int = 16):
+    def __init__(self, k: int = 22, stranded: bool = False, parts: int | None = None):
         super().__init__(k, stranded)
         self.parts = parts
 
     def files(self, reads):
+        parts = self.parts or parts_for(reads)
         words = combined_kmers(reads, self.k, self.stranded)
-        return stored(words.withColumn("part", part_of(F.col("kmer"), self.k, "hash", self.parts)).repartition(self.parts, "part"))
+        return stored(words.withColumn("part", part_of(F.col("kmer"), self.k, "hash", parts)).repartition(parts, "part"))
 
     def count(self, reads):
         return self.files(reads).groupBy("part", "kmer").agg(F.sum("cnt").alias("cnt")).select("kmer", "cnt")
@@ -176,13 +185,14 @@ class SortedBinCounter(KmerCounter):
 
     name = "disk_bins_sort"
 
-    def __init__(self, k: int = 22, stranded: bool = False, bins: int = 64, min_count: int = 1):
+    def __init__(self, k: int = 22, stranded: bool = False, bins: int | None = None, min_count: int = 1):
         super().__init__(k, stranded)
         self.bins, self.min_count = bins, min_count
 
     def count(self, reads):
-        binned = PartitionFileCounter(self.k, self.stranded, self.bins).files(reads)
-        ordered = binned.repartition(self.bins, "part").sortWithinPartitions("part", "kmer").select("kmer", "cnt")
+        bins = self.bins or parts_for(reads, 16 << 20, 64)
+        binned = PartitionFileCounter(self.k, self.stranded, bins).files(reads)
+        ordered = binned.repartition(bins, "part").sortWithinPartitions("part", "kmer").select("kmer", "cnt")
         return ordered.mapInArrow(run_lengths, "kmer long, cnt long").filter(F.col("cnt") >= self.min_count)
 
 
@@ -191,12 +201,13 @@ class MinimizerBinCounter(KmerCounter):
 
     name = "disk_bins_minimizer"
 
-    def __init__(self, k: int = 22, stranded: bool = False, bins: int = 64):
+    def __init__(self, k: int = 22, stranded: bool = False, bins: int | None = None):
         super().__init__(k, stranded)
         self.bins = bins
 
     def count(self, reads):
-        return counts_of_bins(super_kmers(reads, self.k, self.bins), self.k, self.stranded, self.bins).select("kmer", "cnt")
+        bins = self.bins or parts_for(reads, 16 << 20, 64)
+        return counts_of_bins(super_kmers(reads, self.k, bins), self.k, self.stranded, bins).select("kmer", "cnt")
 
 
 class ContainerCounter(KmerCounter):
@@ -208,18 +219,18 @@ class ContainerCounter(KmerCounter):
 
     name = "frequent_containers"
 
-    def __init__(self, k: int = 22, stranded: bool = False, kind: str = "hash", expected_frequent: int = 500_000):
+    def __init__(self, k: int = 22, stranded: bool = False, kind: str = "hash", expected_frequent: int | None = None, cache_keys: int = 500_000):
         super().__init__(k, stranded)
         if kind not in ("hash", "bloom_sort", "cache"):
             raise ValueError("kind is 'hash', 'bloom_sort' or 'cache'")
-        self.kind, self.expected, self.exact = kind, expected_frequent, kind == "hash"
+        self.kind, self.expected, self.cache_keys, self.exact = kind, expected_frequent, cache_keys, kind == "hash"
 
     def count(self, reads):
         if self.kind == "hash":
             return exact_counts(reads, self.k, self.stranded)
         if self.kind == "bloom_sort":
             return BloomGatedCounter(self.k, self.stranded, self.expected).count(reads, keep_false=True)
-        k, stranded, limit = self.k, self.stranded, self.expected
+        k, stranded, limit = self.k, self.stranded, self.cache_keys
 
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             keys, cnt = np.zeros(0, np.uint64), np.zeros(0, np.int64)
@@ -248,11 +259,12 @@ class SketchCounter(KmerCounter):
 
     name, exact, online, random_access = "prime_sketch", False, True, True
 
-    def __init__(self, k: int = 22, stranded: bool = False, spec: SketchSpec | None = None, expected_kmers: int = 2_000_000, fpr: float = 0.01):
+    def __init__(self, k: int = 22, stranded: bool = False, spec: SketchSpec | None = None, fpr: float = 0.01):
         super().__init__(k, stranded)
-        self.spec = spec or SketchSpec.for_fpr(expected_kmers, fpr, k=k, stranded=stranded)
+        self.spec, self.fpr = spec, fpr
 
     def build(self, reads):
+        self.spec = self.spec or SketchSpec.for_reads(reads, self.fpr, k=self.k, stranded=self.stranded)
         self.reads, self.sketch = reads, PrimeSketch.build(reads, self.spec).stored(stored)
         return self
 
@@ -267,6 +279,3 @@ class SketchCounter(KmerCounter):
 
 COUNTERS = {c.name: c for c in (HashCounter, SpillingHashCounter, SuffixOrderCounter, BloomGatedCounter, PartitionFileCounter, SortedBinCounter, MinimizerBinCounter, ContainerCounter, SketchCounter)}
 
-
-def word_code(word: str, k: int):
-    return encode_kmer(F.lit(word), k)

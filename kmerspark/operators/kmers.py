@@ -70,6 +70,26 @@ def combined_kmers(reads: DataFrame, k: int = 22, stranded: bool = False) -> Dat
     return reads.select("read_id", "seq").mapInArrow(run, "kmer long, cnt long")
 
 
+#: One word in so many, by its code, is counted to estimate how many distinct words there are.
+SAMPLE = 17
+
+
+def estimate_distinct(reads: DataFrame, k: int = 22, stranded: bool = False, sample: int = SAMPLE) -> int:
+    """Distinct words of reads: those whose code is a multiple of `sample` are counted exactly, and scaled up.
+
+    Only they are shuffled. The error is about sqrt(sample / N); a prime `sample` cuts across the codes' bases.
+    """
+    _check_k(k)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for _, raw, ends in read_blocks(batch):
+                code = windows_of(raw, ends, k, stranded)[2]
+                yield pa.RecordBatch.from_arrays([as_signed(np.unique(code[code % np.uint64(sample) == 0]))], names=["kmer"])
+
+    return sample * (reads.select("read_id", "seq").mapInArrow(run, "kmer long").agg(F.count_distinct("kmer")).first()[0] or 0)
+
+
 def hash_kmers(reads: DataFrame, k: int, hash: str = "cyclic", stranded: bool = False) -> DataFrame:
     """(read_id, pos, kmer) with another hash of each window; 'cyclic' takes windows of any length."""
     if hash == "pack2":
@@ -109,4 +129,4 @@ def exact_counts(reads: DataFrame, k: int = 22, stranded: bool = False) -> DataF
     return combined_kmers(reads, k, stranded).groupBy("kmer").agg(F.sum("cnt").alias("cnt"))
 
 
-__all__ = ["MAX_K", "combined_kmers", "exact_counts", "explode_kmers", "hash_kmers", "md5_60", "read_blocks"]
+__all__ = ["MAX_K", "combined_kmers", "estimate_distinct", "exact_counts", "explode_kmers", "hash_kmers", "md5_60", "read_blocks"]

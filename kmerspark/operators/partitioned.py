@@ -6,7 +6,7 @@ the run; parts run side by side, or one after another on a small machine.
 
 from __future__ import annotations
 
-from collections.abc import Callable, Iterator
+from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -14,9 +14,9 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.dna import base_codes, pack_windows, windows_of
-from ..plans.sizing import expected_fpr
 from .kmers import as_signed, combined_kmers, read_blocks
 from .sketch import SketchSpec
+from .store import shared_path
 
 MINIMIZER = 11
 
@@ -89,8 +89,10 @@ def run_parts(reads: DataFrame, path: str, k: int = 22, parts: int = 16, run: st
         counts.write.mode("overwrite").partitionBy("part").parquet(path)
     else:
         words = combined_kmers(reads, k, stranded).withColumn("part", part_of(F.col("kmer"), k, by, parts))
-        for p in range(parts):
-            own = words.filter(F.col("part") == p).groupBy("kmer").agg(F.sum("cnt").alias("cnt"))
+        binned = shared_path(reads.sparkSession)  # one pass over the reads; then each part's own files
+        words.repartition(parts, "part").write.partitionBy("part").parquet(binned)
+        for p in sorted(r["part"] for r in reads.sparkSession.read.parquet(binned).select("part").distinct().collect()):  # a row per part
+            own = reads.sparkSession.read.parquet(f"{binned}/part={p}").groupBy("kmer").agg(F.sum("cnt").alias("cnt"))
             own.write.mode("overwrite").parquet(f"{path}/part={p}")
     return reads.sparkSession.read.parquet(path)
 
@@ -184,10 +186,3 @@ def balanced_bins(weights: dict[int, int], parts: int) -> dict[int, int]:
         at = load.index(min(load))
         out[b], load[at] = at, load[at] + weights[b]
     return out
-
-
-def expected_part_fpr(n_distinct: int, spec: SketchSpec) -> float:
-    return expected_fpr(n_distinct, spec.primes)
-
-
-Store = Callable[[DataFrame], DataFrame]

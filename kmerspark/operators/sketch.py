@@ -15,19 +15,22 @@ from dataclasses import asdict, dataclass, field
 
 import numpy as np
 import pyarrow as pa
+from pyspark import TaskContext
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions.dna import unsigned_mod
 from ..plans.sizing import prime_table_sizes, size_for_fpr
-from .kmers import combined_kmers, md5_60
+from .kmers import combined_kmers, estimate_distinct, md5_60
 
 #: Counters of a dense block.
 BLOCK = 65_536
 #: Bytes of dense tables up to which a probe may broadcast them; beyond it keys travel to the counters.
 BROADCAST_BYTES = 256 << 20
 #: Bytes of a task's own arrays up to which reads are counted in place rather than shuffled.
-DENSE_BYTES = 128 << 20
+DENSE_BYTES = 64 << 20
+#: Tasks whose copies of a block are summed first.
+MERGE = 64
 WIDTHS = (1, 2, 4, 8, 16, 32, 64)
 
 
@@ -55,6 +58,11 @@ class SketchSpec:
         size = size_for_fpr(n, f, tables, exact=True).table_size
         return cls(tuple(prime_table_sizes(max(size, 3 * tables + 5), tables)), **kw)
 
+    @classmethod
+    def for_reads(cls, reads: DataFrame, f: float, tables: int = 4, k: int = 22, stranded: bool = False, **kw) -> SketchSpec:
+        """A sketch in which about a share f of the reads' distinct words will be miscounted; one sampling pass."""
+        return cls.for_fpr(max(1, estimate_distinct(reads, k, stranded)), f, tables, k=k, stranded=stranded, **kw)
+
     @classmethod
     def for_memory(cls, n_bytes: int, tables: int = 4, **kw) -> SketchSpec:
         """The largest sketch whose counters take at most n_bytes."""
@@ -65,12 +73,21 @@ class SketchSpec:
     def cap(self) -> int:
         return min(2**self.counter_bits - 1, 2**63 - 1)
 
+    def fits_a_task(self) -> bool:
+        """Whether a task can hold the tables as arrays of its own."""
+        return self.layout == "primes" and self.counter_bits <= 16 and max(8, self.counter_bits) // 8 * sum(self.primes) <= DENSE_BYTES
+
     @property
     def tables(self) -> int:
         return len(self.primes)
 
     def memory_bytes(self) -> int:
-        """Bytes of all counters; fixed before the first key is counted."""
+        """Bytes of all counters as they are held, in whole bytes each; fixed before the first key is counted."""
+        sizes = self.primes[:1] if self.layout == "single" else self.primes
+        return sum(sizes) * max(8, self.counter_bits) // 8
+
+    def packed_bytes(self) -> int:
+        """Bytes of all counters if those of less than a byte shared bytes."""
         sizes = self.primes[:1] if self.layout == "single" else self.primes
         return sum(-(-h * self.counter_bits // 8) for h in sizes)
 
@@ -125,7 +142,7 @@ class PrimeSketch:
     @classmethod
     def build(cls, reads: DataFrame, spec: SketchSpec) -> PrimeSketch:
         """From reads: dense arrays per task if they are small, else by shuffled words."""
-        if spec.layout == "primes" and spec.counter_bits <= 16 and 4 * sum(spec.primes) <= DENSE_BYTES:
+        if spec.fits_a_task():
             return cls.build_dense(reads, spec)
         return cls.of_counts(combined_kmers(reads, spec.k, spec.stranded).groupBy("kmer").agg(F.sum("cnt").alias("cnt")), spec)
 
@@ -133,32 +150,63 @@ class PrimeSketch:
     def build_dense(cls, reads: DataFrame, spec: SketchSpec) -> PrimeSketch:
         """The same counters from tasks that add into fixed arrays and emit the touched blocks, to be summed.
 
-        No key is shuffled: each task sends at most the sketch's size, whatever it reads.
+        No key is shuffled: each task sends at most the sketch's size, whatever it reads. Arrays have the counters'
+        own width; copies of a block are summed in two rounds, so no task sees more than MERGE, or a MERGEth of all.
         """
 
-        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        def codes(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[np.ndarray, np.ndarray]]:
             from ..functions.dna import windows_of
             from .kmers import read_blocks
 
-            tables = [np.zeros(p, np.uint32) for p in spec.primes]
             for batch in batches:
                 for _, raw, ends in read_blocks(batch):
-                    code, cnt = np.unique(windows_of(raw, ends, spec.k, spec.stranded)[2], return_counts=True)
-                    for table, at in zip(tables, spec.positions(code), strict=True):
-                        np.add.at(table, at, cnt.astype(np.uint32))
+                    yield np.unique(windows_of(raw, ends, spec.k, spec.stranded)[2], return_counts=True)
+
+        return cls._dense(reads.select("read_id", "seq"), codes, spec)
+
+    @classmethod
+    def dense_of_counts(cls, counts: DataFrame, spec: SketchSpec) -> PrimeSketch:
+        """As `build_dense`, from (kmer, cnt); repeated keys add up."""
+
+        def codes(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+            for batch in batches:
+                if batch.num_rows:
+                    yield np.asarray(batch.column(0)).view(np.uint64), np.asarray(batch.column(1))
+
+        return cls._dense(counts.select("kmer", F.col("cnt").cast("long")), codes, spec)
+
+    @classmethod
+    def _dense(cls, rows: DataFrame, codes: Callable, spec: SketchSpec) -> PrimeSketch:
+        width = f"<u{max(8, spec.counter_bits) // 8}"
+
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            tables = [np.zeros(p, width) for p in spec.primes]
+            fresh = np.zeros(max(spec.primes), np.uint64 if spec.counter_bits > 32 else np.uint32)
+            for code, cnt in codes(batches):
+                for table, at in zip(tables, spec.positions(code), strict=True):
+                    own = fresh[: len(table)]
+                    own.fill(0)
+                    np.add.at(own, at, np.minimum(cnt, spec.cap).astype(own.dtype))
+                    room = spec.cap - table.astype(own.dtype)
+                    table += np.minimum(own, room).astype(width)
+            group = TaskContext.get().partitionId() // MERGE
             for i, table in enumerate(tables):
-                np.minimum(table, min(spec.cap, 2**32 - 1), out=table)
                 for b in range(0, len(table), BLOCK):
                     if table[b : b + BLOCK].any():
-                        yield pa.RecordBatch.from_arrays([pa.array([i], pa.int8()), pa.array([b // BLOCK], pa.int32()), pa.array([table[b : b + BLOCK].tobytes()], pa.binary())], names=["table_id", "block", "counters"])
+                        yield pa.RecordBatch.from_arrays([pa.array([i], pa.int8()), pa.array([b // BLOCK], pa.int32()), pa.array([group], pa.int32()), pa.array([table[b : b + BLOCK].tobytes()], pa.binary())], names=["table_id", "block", "group", "counters"])
 
-        def add(key: tuple, table: pa.Table) -> pa.Table:
-            total = np.sum([np.frombuffer(x, np.uint32).astype(np.int64) for x in table["counters"].to_pylist()], axis=0)
-            counters = np.minimum(total, spec.cap).astype(f"<u{max(8, spec.counter_bits) // 8}").tobytes()
-            return pa.table({"table_id": pa.array([key[0].as_py()], pa.int8()), "block": pa.array([key[1].as_py()], pa.int32()), "counters": pa.array([counters], pa.binary())})
-
-        blocks = reads.select("read_id", "seq").mapInArrow(run, "table_id tinyint, block int, counters binary")
-        dense = blocks.groupBy("table_id", "block").applyInArrow(add, "table_id tinyint, block int, counters binary")
+        def add(key: tuple, batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            total = None
+            for batch in batches:
+                for raw in batch.column(batch.schema.get_field_index("counters")).to_pylist():
+                    own = np.frombuffer(raw, width)
+                    total = own.astype(np.uint64) if total is None else np.minimum(total + own, spec.cap)
+            names = ["table_id", "block", *(["group"] if len(key) > 2 else []), "counters"]
+            yield pa.RecordBatch.from_arrays([*(pa.array([k.as_py()], k.type) for k in key), pa.array([total.astype(width).tobytes()], pa.binary())], names=names)
+
+        blocks = rows.mapInArrow(run, "table_id tinyint, block int, group int, counters binary")
+        some = blocks.groupBy("table_id", "block", "group").applyInArrow(add, "table_id tinyint, block int, group int, counters binary")
+        dense = some.groupBy("table_id", "block").applyInArrow(add, "table_id tinyint, block int, counters binary")
         return cls(spec, cells_of(dense, spec), dense=dense)
 
     @classmethod

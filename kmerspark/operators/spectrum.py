@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 
 import numpy as np
@@ -9,7 +10,9 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .kmers import combined_kmers, exact_counts
+from ..plans.sizing import size_for_fpr
+from ..sources.simulate import draw
+from .kmers import combined_kmers, estimate_distinct, exact_counts
 from .lookup import lookup
 from .sketch import PrimeSketch
 
@@ -23,27 +26,39 @@ def abundance_exact(reads: DataFrame, k: int = 22, stranded: bool = False) -> Da
     return histogram(exact_counts(reads, k, stranded))
 
 
-def distinct_kmers(reads: DataFrame, k: int = 22, stranded: bool = False, seen: str = "exact", parts: int = 64, part_bits: int = 1 << 23) -> DataFrame:
+#: Words that a part's filter is made for, and the rate at which it takes a new word for a known one.
+PART_WORDS, LOST = 1_000_000, 0.001
+
+
+def distinct_kmers(reads: DataFrame, k: int = 22, stranded: bool = False, seen: str = "exact", expected: int | None = None, lost: float = LOST) -> DataFrame:
     """Each distinct word of the input once. 'bloom' keeps no keys: a word is passed on when its filter bits are new.
 
-    A word goes to one part, so a part's filter sees all its occurrences; false hits lose a few words.
+    A word goes to one part, so a part's filter sees all its occurrences; a share `lost` of the words, at most, is
+    taken for known. Parts and filters are sized for `expected` distinct words, which are estimated if not given.
     """
     words = combined_kmers(reads, k, stranded).select("kmer")
     if seen == "exact":
         return words.distinct()
+    expected = max(1, expected or estimate_distinct(reads, k, stranded))
+    parts = max(1, -(-expected // PART_WORDS))
+    part_bits = math.ceil(size_for_fpr(1.2 * expected / parts, lost, 3, exact=True).memory) + 64
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        bits = np.zeros(part_bits, bool)
+        part, bits = None, None
         for batch in batches:
-            code = np.unique(np.asarray(batch.column(0)).view(np.uint64))
-            mixed = code * np.uint64(0x9E3779B97F4A7C15)
-            at = [((mixed >> np.uint64(s)) % np.uint64(part_bits)).astype(np.int64) for s in (0, 17, 31)]
-            known = bits[at[0]] & bits[at[1]] & bits[at[2]]
-            for a in at:
-                bits[a] = True
-            yield pa.RecordBatch.from_arrays([pa.array(code[~known].view(np.int64))], names=["kmer"])
-
-    return words.repartition(parts, "kmer").mapInArrow(run, "kmer long")
+            owner, codes = np.asarray(batch.column(0)), np.asarray(batch.column(1)).view(np.uint64)
+            for p in np.unique(owner).tolist():
+                if p != part:
+                    part, bits = p, np.zeros(part_bits, bool)
+                code = np.unique(codes[owner == p])
+                at = [(draw(code, 11, s + 1) % np.uint64(part_bits)).astype(np.int64) for s in range(3)]
+                known = bits[at[0]] & bits[at[1]] & bits[at[2]]
+                for a in at:
+                    bits[a] = True
+                yield pa.RecordBatch.from_arrays([pa.array(code[~known].view(np.int64))], names=["kmer"])
+
+    dealt = words.select(F.pmod(F.xxhash64("kmer"), F.lit(parts)).cast("int").alias("part"), "kmer")
+    return dealt.repartition("part").sortWithinPartitions("part").mapInArrow(run, "kmer long")
 
 
 def abundance_sketch(reads: DataFrame, sketch: PrimeSketch, seen: str = "exact", strategy: str = "auto") -> DataFrame:

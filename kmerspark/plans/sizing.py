@@ -124,10 +124,10 @@ def sizing_grid(spark: SparkSession, n: float, memories: list[int], tables: list
     return m.join(z, F.col("memory") > F.col("tables")).select("memory", "tables", fpr.alias("fpr"))
 
 
-def estimate_distinct(occurrences: DataFrame, rsd: float = 0.01, exact: bool = False, column: str = "kmer") -> int:
-    """Distinct keys: HyperLogLog with bounded memory, or exact."""
-    how = F.count_distinct(column) if exact else F.approx_count_distinct(column, rsd)
-    return int(occurrences.agg(how).first()[0])
+def parts_for(df: DataFrame, bytes_each: int = 64 << 20, least: int = 16, most: int = 100_000) -> int:
+    """Into how many parts to deal a table's words: by the bytes that the engine expects it to have."""
+    size = int(str(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
+    return max(least, min(most, -(-size // bytes_each)))
 
 
 def as_rows(spark: SparkSession, sizes: dict[str, Size]) -> DataFrame:

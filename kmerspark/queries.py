@@ -1,7 +1,7 @@
 """Registered queries of the sketch engine, each with its SQL where SQL can state it.
 
-All run over whole tables. Sizes of sketches are fixed numbers here, so that the SQL can name the same primes; a
-user sizes a sketch from the data (SketchSpec.for_fpr).
+All run over whole tables. Sketches named after an error rate are sized from the data for it (`for_reads`), and their
+SQL finds the same primes from the same estimate. The others have a fixed size, and no rate is claimed of them.
 """
 
 from __future__ import annotations
@@ -17,7 +17,7 @@ from .functions import dna, udf
 from .operators import accuracy as acc
 from .operators import graph, spectrum, variants
 from .operators import partitioned as par
-from .operators.kmers import exact_counts, explode_kmers, hash_kmers, md5_60
+from .operators.kmers import SAMPLE, estimate_distinct, exact_counts, explode_kmers, hash_kmers, md5_60
 from .operators.lookup import lookup, with_overflow
 from .operators.normalize import normalize_batch, normalize_batches, normalize_sequential
 from .operators.sketch import PrimeSketch, SketchSpec
@@ -30,8 +30,10 @@ from .sources import reads as R
 from .streaming import online
 
 K = 22
-#: Counters per table of the queries' sketches: about 1, 5, 10 and 20 percent of a million words miscounted.
-SIZES = {"f01": 3_250_000, "f05": 1_950_000, "f10": 1_500_000, "f20": 1_120_000}
+#: Counters per table of the sketches of fixed size, large and small.
+SIZES = {"f10": 1_500_000, "f20": 1_120_000}
+#: The error rates that others are sized for.
+RATE = {"f01": 0.01, "f05": 0.05, "f20": 0.2}
 Query = Callable[[SparkSession, str], DataFrame]
 QUERIES: dict[str, Query] = {}
 SQL: dict[str, str] = {}
@@ -110,6 +112,20 @@ def est_sql(keys: str, name: str = "f10", out: str = "est") -> str:
     return f"{out} AS (SELECT k.*, least({', '.join(f'coalesce(t{i}.cnt, 0)' for i in range(4))}) AS est FROM {keys} k {joins})"
 
 
+def sized_sql(f: float, counts: str = "counts", tables: int = 4, cap: int = 255) -> str:
+    """The estimate of distinct words, the primes for error rate f, and the counters of a sketch of these sizes."""
+    size = f"""sized AS (SELECT greatest({SAMPLE} * count(*), 1) AS n_estimate, greatest(floor(-greatest({SAMPLE} * count(*), 1) / ln(1 - pow({f}::DOUBLE, 1.0::DOUBLE / {tables}))), {3 * tables + 5})::BIGINT AS h FROM {counts} WHERE kmer % {SAMPLE} = 0),
+candidates AS (SELECT unnest(range(greatest(h - 600, 2), h + 1)) AS c FROM sized),
+primes AS (SELECT c, row_number() OVER (ORDER BY c DESC) - 1 AS i FROM candidates WHERE len(list_filter(range(2, floor(sqrt(c))::BIGINT + 1), lambda x: c % x = 0)) = 0)"""
+    cells = (f"t{i} AS (SELECT kmer % (SELECT c FROM primes WHERE i = {i}) AS cell, least(sum(cnt), {cap})::BIGINT AS cnt FROM {counts} GROUP BY 1)" for i in range(tables))
+    return ",\n".join([size, *cells])
+
+
+def sized_est_sql(keys: str, tables: int = 4, out: str = "est") -> str:
+    joins = " ".join(f"LEFT JOIN t{i} ON t{i}.cell = k.kmer % (SELECT c FROM primes WHERE i = {i})" for i in range(tables))
+    return f"{out} AS (SELECT k.*, least({', '.join(f'coalesce(t{i}.cnt, 0)' for i in range(tables))}) AS est FROM {keys} k {joins})"
+
+
 SKETCHED = f"{BASE},\n{cells_sql()},\n{est_sql('counts')}"
 
 # -- kernel ---------------------------------------------------------------------------------------------------------
@@ -320,7 +336,10 @@ def distinct_hll(spark, d):
     return explode_kmers(docs(spark, d), K, with_pos=False).agg(F.approx_count_distinct("kmer", 0.02).alias("n"))
 
 
-@query()
+H0 = prime_table_sizes(SIZES["f10"], 1)[0]
+
+
+@query(f"{BASE} SELECT round(-{H0} * ln(1 - count(DISTINCT kmer % {H0}) / {H0}))::BIGINT AS estimate, count(*) AS n FROM counts")
 def distinct_from_load(spark, d):
     """Distinct words from the load of one table, beside the exact number."""
     counts = words(spark, d)
@@ -330,7 +349,7 @@ def distinct_from_load(spark, d):
     return got.join(counts.agg(F.count("*").alias("n")).withColumn("_j", F.lit(1)), "_j").drop("_j")
 
 
-@query("SELECT 50e9 AS n, round(446.3390622924751::DOUBLE, 3) AS gib, round(446.3390622924751::DOUBLE / 16, 3) AS part_gib")
+@query("WITH m AS (SELECT 50e9::DOUBLE AS n, -50e9 * ln(0.01) / pow(ln(2), 2) / 1073741824 AS gib) SELECT n, round(gib, 3) AS gib, round(gib / 16, 3) AS part_gib FROM m")
 def partitioned_memory(spark, d):
     m = sizing.partitioned_memory(50e9, 0.01, 16)
     return spark.createDataFrame([(50e9, round(m["memory"] / 2**30, 3), round(m["part_memory"] / 2**30, 3))], "n double, gib double, part_gib double")
@@ -357,21 +376,40 @@ def abundance_exact(spark, d):
 def _abundance(name: str) -> None:
     def run(spark, d):
         reads = docs(spark, d)
-        return spectrum.abundance_sketch(reads, PrimeSketch.build(reads, spec(name)))
+        return spectrum.abundance_sketch(reads, PrimeSketch.build(reads, SketchSpec.for_reads(reads, RATE[name], k=K)))
 
     run.__name__ = f"abundance_sketch_{name}"
-    query(f"{BASE},\n{cells_sql(name)},\n{est_sql('counts', name)} {HIST.format(c='est', t='est')}")(run)
+    query(f"{BASE},\n{sized_sql(RATE[name])},\n{sized_est_sql('counts')} {HIST.format(c='est', t='est')}")(run)
 
 
 for _name in ("f01", "f05", "f20"):
     _abundance(_name)
 
 
+def _rates(name: str) -> str:
+    return f"""(WITH x AS ({BASE},\n{sized_sql(RATE[name])},\n{sized_est_sql('counts')} SELECT (SELECT n_estimate FROM sized) AS n_estimate, (SELECT max(c) FROM primes) AS largest, count(*) AS n_distinct, count_if(est <> least(cnt, 255)) / count(*) AS rate FROM est)
+SELECT {RATE[name]}::DOUBLE AS target, n_estimate, largest, n_distinct, round(rate, 6) AS rate, abs(rate - {RATE[name]}) < 0.01 AS met FROM x)"""
+
+
+@query(" UNION ALL ".join(map(_rates, RATE)))
+def sized_rates(spark, d):
+    """Sketches sized from an estimate of the distinct words: the rate that was asked for beside the measured one."""
+    reads = docs(spark, d)
+    counts, n = stored(words(spark, d)), estimate_distinct(reads, K)
+    out = None
+    for f in RATE.values():
+        own = SketchSpec.for_fpr(n, f, k=K)
+        found = acc.accuracy(acc.compare(counts, PrimeSketch.of_counts(counts, own)))
+        row = found.select(F.lit(f).alias("target"), F.lit(n).cast("long").alias("n_estimate"), F.lit(own.primes[0]).cast("long").alias("largest"), F.col("n").alias("n_distinct"), F.col("fpr").alias("rate"), (F.abs(F.col("fpr") - f) < 0.01).alias("met"))
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
 @query()
 def abundance_sketch_bloom(spark, d):
     """First sight of a word decided by filters per part instead of kept keys."""
     reads = docs(spark, d)
-    return spectrum.abundance_sketch(reads, PrimeSketch.build(reads, spec("f01")), seen="bloom")
+    return spectrum.abundance_sketch(reads, PrimeSketch.build(reads, SketchSpec.for_reads(reads, 0.01, k=K)), seen="bloom")
 
 
 @query(f"""{BASE}, h AS ({HIST.format(c='cnt', t='counts')})
@@ -445,10 +483,10 @@ def miscount_by_abundance(spark, d):
     return acc.accuracy(acc.compare(counts, PrimeSketch.of_counts(counts, spec())), "truth")
 
 
-@query(f"{BASE},\n{BENCH_WORDS},\n{cells_sql('f20')},\n{est_sql('q', 'f20')} SELECT count(*) AS n, round(count_if(e.est > 0) / count(*), 6) AS fpr_absent FROM est e LEFT JOIN counts c ON c.kmer = e.kmer WHERE c.kmer IS NULL")
+@query(f"{BASE},\n{BENCH_WORDS},\n{sized_sql(0.2)},\n{sized_est_sql('q')} SELECT count(*) AS n, round(count_if(e.est > 0) / count(*), 6) AS fpr_absent FROM est e LEFT JOIN counts c ON c.kmer = e.kmer WHERE c.kmer IS NULL")
 def fpr_absent(spark, d):
     counts = stored(words(spark, d))
-    return acc.absent_fpr(passages(spark, d), counts, PrimeSketch.of_counts(counts, spec("f20")))
+    return acc.absent_fpr(passages(spark, d), counts, PrimeSketch.of_counts(counts, SketchSpec.for_reads(docs(spark, d), 0.2, k=K)))
 
 
 @query(f"""{SKETCHED}, e AS (SELECT cnt AS a, count(*) AS n FROM counts GROUP BY 1), s AS (SELECT est AS a, count(*) AS n FROM est GROUP BY 1)
@@ -465,7 +503,7 @@ def miscount_quantiles(spark, d):
     return acc.miscount_quantiles(acc.compare(counts, PrimeSketch.of_counts(counts, spec())))
 
 
-@query()
+@query(f"{BASE}, m AS (SELECT avg(cnt) AS mu, stddev_pop(cnt) AS sd FROM counts) SELECT count(*) AS n, round(count_if(cnt = 1) / count(*), 6) AS unique_share, round(avg(pow((cnt - mu) / sd, 3)), 3) AS skewness FROM counts, m")
 def skew_indicators(spark, d):
     return acc.skew(words(spark, d))
 
@@ -480,12 +518,12 @@ def _slots(counts: DataFrame) -> DataFrame:
     return counts.groupBy((F.col("kmer") % 97).cast("int").alias("slot")).agg(F.count("*").alias("n_distinct"), F.sum("cnt").alias("n_words"), F.sum(F.col("cnt") * (F.col("kmer") % 1_000_003)).alias("fold"))
 
 
-def _counter(name: str, make, where: str = "", sql: bool = True) -> None:
+def _counter(name: str, make, where: str = "", sql: bool | str = True) -> None:
     def run(spark, d):
         return _slots(make().build(docs(spark, d)).counts)
 
     run.__name__ = name
-    query(f"{BASE} {PARTS.format(c='kmer', where=where)}" if sql else None)(run)
+    query(sql if isinstance(sql, str) else f"{BASE} {PARTS.format(c='kmer', where=where)}" if sql else None)(run)
 
 
 _counter("count_hash", lambda: C.HashCounter(K))
@@ -496,8 +534,8 @@ _counter("count_partition_files", lambda: C.PartitionFileCounter(K))
 _counter("count_bins_sort", lambda: C.SortedBinCounter(K))
 _counter("count_bins_minimizer", lambda: C.MinimizerBinCounter(K))
 _counter("count_containers_hash", lambda: C.ContainerCounter(K))
-_counter("count_containers_bloom", lambda: C.ContainerCounter(K, kind="bloom_sort"), sql=False)
-_counter("count_containers_cache", lambda: C.ContainerCounter(K, kind="cache", expected_frequent=50_000), sql=False)
+_counter("count_containers_bloom", lambda: C.ContainerCounter(K, kind="bloom_sort"), sql=f"{BASE},\n{sized_sql(0.1, tables=3, cap=3)},\n{sized_est_sql('counts', 3)} {PARTS.format(c='kmer', where='').replace('FROM counts', 'FROM est WHERE est >= 2')}")
+_counter("count_containers_cache", lambda: C.ContainerCounter(K, kind="cache", cache_keys=50_000), sql=False)
 
 
 @query(f"{BASE} {PARTS.format(c='kmer', where='')}")
@@ -521,17 +559,29 @@ def container_errors(spark, d):
     """Words that two inexact containers report wrongly or miss."""
     reads, truth, out = docs(spark, d), stored(words(spark, d)), None
     for kind in ("bloom_sort", "cache"):
-        row = C.ContainerCounter(K, kind=kind, expected_frequent=50_000).build(reads).errors(truth).select(F.lit(kind).alias("kind"), "*")
+        row = C.ContainerCounter(K, kind=kind, cache_keys=50_000).build(reads).errors(truth).select(F.lit(kind).alias("kind"), "*")
         out = row if out is None else out.unionByName(row)
     return out
 
 
-@query(f"{BASE},\n{BENCH_WORDS} SELECT count(*) AS n, count_if(c.kmer IS NOT NULL)::BIGINT AS n_present FROM q LEFT JOIN counts c ON q.kmer = c.kmer")
+MEMBERS = (0.05, 0.3)
+
+
+def _members(f: float) -> str:
+    return f"""(WITH x AS ({BASE},\n{BENCH_WORDS},\n{sized_sql(f, tables=3, cap=1)},\n{sized_est_sql('q', 3)} SELECT {f}::DOUBLE AS rate, count(*) AS n, count_if(c.kmer IS NOT NULL)::BIGINT AS n_present, count_if(e.est > 0)::BIGINT AS n_found FROM est e LEFT JOIN counts c ON c.kmer = e.kmer) SELECT * FROM x)"""
+
+
+@query(" UNION ALL ".join(map(_members, MEMBERS)))
 def bloom_membership(spark, d):
-    """A plain Bloom filter large enough to be exact here."""
-    counts = words(spark, d)
-    member = variants.bloom_filter(counts, 1_240_000 * 8, 1e-4, 6)
-    return lookup(passages(spark, d), member).agg(F.count("*").alias("n"), F.count_if(F.col("est") > 0).alias("n_present"))
+    """Plain Bloom filters for two rates: of the words asked, those present, and those that the filter lets through."""
+    counts, n = stored(words(spark, d)), estimate_distinct(docs(spark, d), K)
+    asked = stored(passages(spark, d).join(counts.select(F.col("kmer").alias("_k")), F.col("kmer") == F.col("_k"), "left"))
+    out = None
+    for f in MEMBERS:
+        found = lookup(asked, variants.bloom_filter(counts, n, f, 3))
+        row = found.agg(F.count("*").alias("n"), F.count("_k").alias("n_present"), F.count_if(F.col("est") > 0).alias("n_found")).select(F.lit(f).alias("rate"), "*")
+        out = row if out is None else out.unionByName(row)
+    return out
 
 
 @query()
@@ -728,7 +778,8 @@ def parts_one_after_another(spark, d):
 @query()
 def neighbors(spark, d):
     """Neighbours of the benchmark's words that the documents hold, by side."""
-    sketch = PrimeSketch.build(docs(spark, d), spec("f01"))
+    reads = docs(spark, d)
+    sketch = PrimeSketch.build(reads, SketchSpec.for_reads(reads, 0.01, k=K))
     return graph.neighbors(passages(spark, d), sketch).groupBy("side").agg(F.count("*").alias("n"), F.sum("est").alias("total"))
 
 
@@ -968,11 +1019,11 @@ def flagship(spark: SparkSession, d: str) -> DataFrame:
     reads = docs(spark, d)
     counts = stored(exact_counts(reads, K))
     exact = spectrum.histogram(counts).withColumnRenamed("n_kmers", "n_exact")
-    sketched = spectrum.histogram(lookup(counts, PrimeSketch.of_counts(counts, spec("f01"))), "est").withColumnRenamed("n_kmers", "n_sketch")
+    sketched = spectrum.histogram(lookup(counts, PrimeSketch.of_counts(counts, SketchSpec.for_reads(reads, 0.01, k=K))), "est").withColumnRenamed("n_kmers", "n_sketch")
     return exact.join(sketched, "abundance", "full").select("abundance", F.coalesce("n_exact", F.lit(0)).alias("n_exact"), F.coalesce("n_sketch", F.lit(0)).alias("n_sketch"))
 
 
-@query(f"{BASE},\n{cells_sql('f01')},\n{est_sql('counts', 'f01')}, e AS (SELECT cnt AS a, count(*) AS n FROM counts GROUP BY 1), s AS (SELECT est AS a, count(*) AS n FROM est GROUP BY 1) SELECT coalesce(e.a, s.a)::BIGINT AS abundance, coalesce(e.n, 0) AS n_exact, coalesce(s.n, 0) AS n_sketch FROM e FULL JOIN s ON e.a = s.a")
+@query(f"{BASE},\n{sized_sql(0.01)},\n{sized_est_sql('counts')}, e AS (SELECT cnt AS a, count(*) AS n FROM counts GROUP BY 1), s AS (SELECT est AS a, count(*) AS n FROM est GROUP BY 1) SELECT coalesce(e.a, s.a)::BIGINT AS abundance, coalesce(e.n, 0) AS n_exact, coalesce(s.n, 0) AS n_sketch FROM e FULL JOIN s ON e.a = s.a")
 def histograms(spark, d):
     return flagship(spark, d)
 
