@@ -27,14 +27,15 @@ from ._state import shared_dir, stored
 from ._text import column, give_back, text_blocks
 
 #: Bytes of text of a block, at least and at most; between them a block is BLOCK_SHARE of the input.
-BLOCK_BYTES = 1 << 20
+BLOCK_BYTES = 2 << 20
 MOST_BLOCK_BYTES = 64 << 20
 BLOCK_SHARE = 4096
-#: The hash space has 2^SPARE_BITS cells for each byte of input: one cell in 64 or less is hit by chance.
-SPARE_BITS = 4
+#: The hash space has 2^SPARE_BITS to twice as many cells for each byte of input: of texts of five letters a word, one
+#: cell in 24 or less is hit by chance.
+SPARE_BITS = 2
 #: Bytes of input for each range of the hash space; each partition of a shuffle has RANGES_EACH at least.
 RANGE_BYTES = 16 << 20
-RANGES_EACH = 2
+RANGES_EACH = 1
 #: Buckets of the table of blocks, at most (the engine's own bound is 100,000).
 MOST_BUCKETS = 50_000
 
@@ -76,16 +77,26 @@ def sort_places(values: np.ndarray, bits: int) -> tuple[np.ndarray, np.ndarray]:
 
 
 def encode_gaps(values: np.ndarray) -> bytes:
-    """Ascending numbers below 2^32 as 16-bit gaps, with wide gaps aside."""
+    """Ascending numbers below 2^32 as gaps of two bytes, with wide gaps aside; of as many as it takes, if many are wide.
+
+    The bytes of a gap stand apart by rank, so that the high ones compress.
+    """
     gaps = np.diff(values.astype(np.int64), prepend=0)
     wide = gaps >= 0xFFFF
-    return np.uint32(wide.sum()).tobytes() + gaps[wide].astype("<u4").tobytes() + np.where(wide, 0xFFFF, gaps).astype("<u2").tobytes()
+    n = int(wide.sum())
+    if 8 * n <= len(gaps):
+        return b"\0" + np.uint32(n).tobytes() + gaps[wide].astype("<u4").tobytes() + np.where(wide, 0xFFFF, gaps).astype("<u2").tobytes()
+    width = (int(gaps.max()).bit_length() + 7) // 8
+    return bytes([width]) + b"".join((gaps >> 8 * i).astype(np.uint8).tobytes() for i in range(width))
 
 
 def decode_gaps(raw: bytes) -> np.ndarray:
-    n = int(np.frombuffer(raw, "<u4", 1)[0])
-    gaps = np.frombuffer(raw, "<u2", offset=4 + 4 * n).astype(np.int64)
-    gaps[gaps == 0xFFFF] = np.frombuffer(raw, "<u4", n, 4)
+    if raw[0]:
+        planes = np.frombuffer(raw, np.uint8, offset=1).reshape(raw[0], -1)
+        return np.cumsum(sum(p.astype(np.int64) << 8 * i for i, p in enumerate(planes)))
+    n = int(np.frombuffer(raw, "<u4", 1, 1)[0])
+    gaps = np.frombuffer(raw, "<u2", offset=5 + 4 * n).astype(np.int64)
+    gaps[gaps == 0xFFFF] = np.frombuffer(raw, "<u4", n, 5)
     return np.cumsum(gaps)
 
 
