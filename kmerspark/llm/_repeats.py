@@ -6,6 +6,8 @@
    same minimiser (least gram hash of the window), which is the same wherever the window stands. A run is a slice of
    words around its anchor; equal slices of a block are one.
 3. Slices with the same anchor meet; an operator finds, for each window, the least and the largest id that hold it.
+   An anchor with many distinct slices is not searched in one task: its windows are cut once more, by their second
+   least gram hash, and so on; equal windows still meet.
 4. What was found goes back to the blocks, where documents are read again.
 
 Hot passages cost one slice a block, and their holders are reduced before each shuffle.
@@ -26,6 +28,8 @@ from ._state import stored
 from ._text import Rolling, Words, column, mix64
 
 WINDOW = 50
+#: Distinct slices of one anchor that are searched together, and how often a larger group is cut again.
+HOT_SLICES, LEVELS = 256, 4
 #: Slices that a task searches at a time, whole anchors.
 CHUNK_SLICES = 4_096
 NONE_LO, NONE_HI = np.iinfo(np.int64).max, np.iinfo(np.int64).min
@@ -149,6 +153,55 @@ def _search(find: Search, window: int):
     return run
 
 
+PART = "k1 long, k2 long, offset int, n int, s1 long, s2 long, anchor long, at int, slice string, lo long, hi long"
+
+
+def _refine(window: int, level: int):
+    """Cut slices by the next least gram hash of their windows: where the parts stand (key, offset, n, part), and the parts."""
+    n = window // 2
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            places, parts = [], {}
+            for k1, k2, anchor, at, text, lo, hi in zip(*(column(batch, c).to_pylist() for c in ("k1", "k2", "anchor", "at", "slice", "lo", "hi")), strict=True):
+                spelled = text.split(" ")
+                hashed = Words(pa.array([text])).hashes()
+                grams = Rolling(hashed).windows(n)
+                inside = np.lib.stride_tricks.sliding_window_view(grams, window - n + 1)
+                where = np.argsort(inside, axis=1, kind="stable")[:, level] + np.arange(len(inside))
+                edge = np.flatnonzero(np.concatenate([[True], np.diff(where) != 0, [True]]))
+                first, last = edge[:-1], edge[1:] - 1
+                runs = (Rolling(x).runs(first, last + window).view(np.int64).tolist() for x in (hashed, mix64(hashed ^ np.uint64(0x2545F4914F6CDD1D))))
+                keys = mix64(grams[where[first]] ^ np.uint64(anchor % 2**64)).view(np.int64).tolist()
+                for f, e, s1, s2, key in zip(first.tolist(), last.tolist(), *runs, keys, strict=True):
+                    places.append((k1, k2, f, e - f + 1, s1, s2))
+                    held = parts.setdefault((s1, s2, key), [at - f, " ".join(spelled[f : e + window]), lo, hi])
+                    held[2], held[3] = min(held[2], lo), max(held[3], hi)
+            rows = [(*p, None, None, None, None, None) for p in places] + [(None, None, None, None, *k, *v) for k, v in parts.items()]
+            kinds = [{"long": pa.int64(), "int": pa.int32(), "string": pa.string()}[x.split()[1]] for x in PART.split(", ")]
+            yield pa.RecordBatch.from_arrays([pa.array([r[i] for r in rows], t) for i, t in enumerate(kinds)], names=[x.split()[0] for x in PART.split(", ")])
+
+    return run
+
+
+def _found(slices: DataFrame, hot: DataFrame, find: Search, window: int, level: int = 1) -> DataFrame:
+    """k1, k2, los, his of distinct slices (key, anchor, at, slice, lo, hi); `hot` has the anchors of too many."""
+    some = level <= LEVELS and not hot.isEmpty()
+    cold = slices.join(hot, "anchor", "left_anti") if some else slices
+    searched = cold.repartition("anchor").sortWithinPartitions("anchor").mapInArrow(_search(find, window), "k1 long, k2 long, los array<long>, his array<long>")
+    if not some:
+        return searched
+    cut = stored(slices.join(hot, "anchor", "left_semi").mapInArrow(_refine(window, level), PART))
+    parts = cut.filter("slice IS NOT NULL").groupBy(F.col("s1").alias("k1"), F.col("s2").alias("k2"), "anchor").agg(F.min("lo").alias("lo"), F.max("hi").alias("hi"), F.first("slice").alias("slice"), F.first("at").alias("at"))
+    parts = stored(parts)
+    more = stored(parts.groupBy("anchor").agg(F.count("*").alias("n")).filter(F.col("n") > HOT_SLICES).select("anchor"))
+    own = _found(parts, more, find, window, level + 1).select(F.col("k1").alias("s1"), F.col("k2").alias("s2"), "los", "his")
+    rows = cut.filter("slice IS NULL").select("k1", "k2", "offset", "n", "s1", "s2").join(own, ["s1", "s2"])
+    rows = rows.groupBy("k1", "k2").agg(F.sort_array(F.collect_list(F.struct("offset", "n", "los", "his"))).alias("x"))
+    whole = lambda c: F.flatten(F.transform("x", lambda x: F.when(F.size(x[c]) == 1, F.array_repeat(x[c][0], x["n"])).otherwise(x[c]))).alias(c)
+    return searched.unionByName(rows.select("k1", "k2", whole("los"), whole("his")))
+
+
 def repeated_windows(docs: DataFrame, find: Search, window: int = WINDOW) -> tuple[Blocks, DataFrame]:
     """The blocks of `docs` (id, text), and for each block with windows that another id holds too its hits.
 
@@ -161,11 +214,10 @@ def repeated_windows(docs: DataFrame, find: Search, window: int = WINDOW) -> tup
     slices = found.filter("slice IS NOT NULL")
     key = ["k1", "k2"]
     held = stored(slices.groupBy(*key, "anchor").agg(F.min("lo").alias("lo"), F.max("hi").alias("hi")))
-    several = held.groupBy("anchor").agg(F.min("lo").alias("least"), F.max("hi").alias("most")).filter("least < most").select("anchor")
+    several = stored(held.groupBy("anchor").agg(F.count("*").alias("n"), F.min("lo").alias("least"), F.max("hi").alias("most")).filter("least < most").select("anchor", "n"))
     busy = held.join(several, "anchor").select(*key, "anchor", "lo", "hi")
     texts = slices.select(*key, "slice", "at").join(busy.select(*key), key, "left_semi").groupBy(*key).agg(F.first("slice").alias("slice"), F.first("at").alias("at"))
-    groups = texts.join(busy, key).repartition("anchor").sortWithinPartitions("anchor")
-    results = groups.mapInArrow(_search(find, window), "k1 long, k2 long, los array<long>, his array<long>")
+    results = _found(texts.join(busy, key), several.filter(F.col("n") > HOT_SLICES).select("anchor"), find, window)
     places = found.filter("slice IS NULL").select(*key, "block", "id", "start", "n")
     hits = places.join(results, key).filter(F.exists("los", lambda x: x < F.col("id")) | F.exists("his", lambda x: x > F.col("id")))
     return blocks, hits.groupBy("block").agg(F.collect_list(F.struct("start", "n", "los", "his")).alias("hits"))

@@ -84,6 +84,34 @@ def test_against_brute_force(spark, seed):
     assert sorted(tuple(r) for r in repeated_passages(docs).collect()) == brute_spans(rows)
 
 
+def near_copies():
+    """One anchor with many distinct slices: copies of one passage, each with edits of its own and some shared ones."""
+    rng = random.Random(5)
+    base = [f"p{i}" for i in range(90)]
+    rows = []
+    for d in range(60):
+        own = list(base)
+        for _ in range(rng.randint(0, 2)):
+            own[rng.randrange(90)] = rng.choice(["x", "y", f"z{d}"])
+        rows.append((d, " ".join(own[rng.randint(0, 20) :])))
+    rng.shuffle(rows)
+    return rows
+
+
+def test_hot_anchors_are_cut_again(spark, monkeypatch):
+    import kmerspark.llm._repeats as m
+
+    cuts = []
+    refine = m._refine
+    monkeypatch.setattr(m, "HOT_SLICES", 3)
+    monkeypatch.setattr(m, "_refine", lambda w, level: cuts.append(level) or refine(w, level))
+    rows = near_copies()
+    docs = spark.createDataFrame(rows, "doc_id long, text string").repartition(4)
+    assert sorted(((r.doc_id, r.n_words, r.n_removed, r.kept_sha256) for r in substring_dedup(docs).collect()), key=str) == brute_dedup(rows)
+    assert cuts == [1, 2, 3, 4]
+    assert sorted(tuple(r) for r in repeated_passages(docs).collect()) == brute_spans(rows)
+
+
 def test_empty(spark):
     none = spark.createDataFrame([], "doc_id long, text string")
     assert substring_dedup(none).count() == 0 and repeated_passages(none).count() == 0
