@@ -2,18 +2,21 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..baselines.counters import COUNTERS
 from ..baselines.trimmers import qtrim_error_sum, qtrim_tail
 from ..operators import accuracy as acc
-from ..operators.graph import assembly_proxy
+from ..operators.graph import assembly_proxy, n50, unitigs
 from ..operators.kmers import exact_counts, explode_kmers
 from ..operators.lookup import lookup
 from ..operators.normalize import normalize_batch, normalize_batches, normalize_sequential
 from ..operators.sketch import PrimeSketch, SketchSpec
-from ..operators.store import stored
+from ..operators.spectrum import abundance_sketch
+from ..operators.store import shared_path, stored
 from ..operators.trim import error_profile, trim_iterative, trim_reads
 from ..sources.reads import from_conversations, from_documents, from_pages, genome_of, text_of, with_arrival
 from ..sources.simulate import genome_string, random_kmers, simulate_reads
@@ -43,42 +46,75 @@ def deep_reads(spark: SparkSession, sf_dir: str, coverage: int = 50) -> DataFram
     return stored(simulate_reads(spark, small_genome(spark, sf_dir), coverage, 0.01, "rising"))
 
 
-def growing_subsets(spark: SparkSession, sf_dir: str, counters: tuple[str, ...] = ()) -> DataFrame:
-    """Five growing subsets of the documents, the last with all: words, distinct words, and bytes of each structure.
-
-    Time is taken by bench.py; `counters` adds the number of distinct words that each of these counters finds.
-    """
+def subsets(spark: SparkSession, sf_dir: str) -> Iterator[tuple[int, DataFrame]]:
+    """The reads of one to five fifths of the documents."""
     rows = document_reads(spark, sf_dir).withColumn("fifth", F.pmod(text_of(F.col("read_id")), F.lit(5)))
-    out = None
     for i in range(1, 6):
-        own = rows.filter(F.col("fifth") < i)
-        counts = exact_counts(own, K)
-        found = counts.agg(F.count("*").alias("n_distinct"), F.sum("cnt").alias("n_words")).select(F.lit(i).alias("subset"), "n_words", "n_distinct", (F.col("n_distinct") * 16).alias("exact_bytes"))
+        yield i, rows.filter(F.col("fifth") < i).drop("fifth")
+
+
+def growing_subsets(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Words of five growing subsets, and the bytes of an exact table and of sketches at three error rates."""
+    out = None
+    for i, own in subsets(spark, sf_dir):
+        found = exact_counts(own, K).agg(F.count("*").alias("n_distinct"), F.sum("cnt").alias("n_words")).select(F.lit(i).alias("subset"), "n_words", "n_distinct", (F.col("n_distinct") * 16).alias("exact_bytes"))
         for f in RATES:
             found = found.withColumn(f"sketch_bytes_{int(100 * f):02d}", F.ceil(F.col("n_distinct") * size_for_fpr(1, f).memory))
-        for name in counters:
-            found = found.withColumn(f"n_{name}", F.lit(COUNTERS[name](K).build(own).counts.count()))
         out = found if out is None else out.unionByName(found)
     return out
 
 
-def five_sets(spark: SparkSession, sf_dir: str, equal: int = 60_000) -> dict[str, DataFrame]:
-    """Counts of five read sets; the first four with as many distinct words, chosen by a hash of the word."""
+def counters_on_subsets(spark: SparkSession, sf_dir: str, names: tuple[str, ...] = ()) -> DataFrame:
+    """subset, counter, n_distinct, n_words, seconds, bytes_held, bytes_on_disk of counters over growing subsets.
+
+    Seconds are from reads at rest to the structure and its counts. A structure holds its counters (sketch), 16
+    bytes a word (tables) or 8 bytes an occurrence (suffixes); on disk it is what it writes by itself. By default all
+    counters, and sketches for three error rates, whose words are those of their histogram.
+    """
+    from .costs import bytes_of, timed
+
+    rows = []
+    for i, own in subsets(spark, sf_dir):
+        reads = stored(own.select("read_id", "seq"))
+        for name in names or [n for n in COUNTERS if n != "prime_sketch"]:
+            path = shared_path(spark)
+
+            def count(name=name, path=path):
+                COUNTERS[name](K).build(reads).counts.write.parquet(path)
+                return spark.read.parquet(path).agg(F.count("*"), F.coalesce(F.sum("cnt"), F.lit(0))).first()
+
+            seconds, (n, total) = timed(count)
+            rows.append((i, name, n, total, seconds, 8 * total if name == "exact_suffix" else 16 * n, bytes_of(spark, path)))
+        for f in () if names else RATES:
+            path = shared_path(spark)
+
+            def sketch(f=f, path=path):
+                own = PrimeSketch.build(reads, SketchSpec.for_reads(reads, f, k=K))
+                own.save(path, "gzip")
+                loaded = PrimeSketch.load(spark, path)
+                found = abundance_sketch(reads, loaded).agg(F.sum("n_kmers"), F.sum(F.col("abundance") * F.col("n_kmers"))).first()
+                return own.spec.memory_bytes(), found
+
+            seconds, (held, (n, total)) = timed(sketch)
+            rows.append((i, f"prime_sketch_{int(100 * f):02d}", n, total, seconds, held, bytes_of(spark, path)))
+    return spark.createDataFrame(rows, "subset int, counter string, n_distinct long, n_words long, seconds double, bytes_held long, bytes_on_disk long")
+
+
+def five_sets(spark: SparkSession, sf_dir: str) -> dict[str, DataFrame]:
+    """Counts of five read sets; the first five with as many distinct words as the smallest has, chosen by a hash of the word."""
     genome = genome_string(document_genome(spark, sf_dir), GENOME_BASES)
     deep = deep_reads(spark, sf_dir)
     sets = {
         "documents": document_reads(spark, sf_dir),
-        "random": random_kmers(spark, equal, K),
         "simulated_error_3pct": simulate_reads(spark, genome, 3, 0.03),
         "simulated_error_1pct": simulate_reads(spark, genome, 3, 0.01),
         "simulated_no_error": simulate_reads(spark, genome, 3, 0.0),
-        "deep": deep,
     }
-    counts = {name: exact_counts(reads, K) for name, reads in sets.items()}
-    for name in counts:
-        if name != "deep":
-            counts[name] = counts[name].orderBy(F.xxhash64("kmer"), "kmer").limit(equal)
-    return {name: stored(c) for name, c in counts.items()}
+    counts = {name: stored(exact_counts(reads, K)) for name, reads in sets.items()}
+    equal = min(c.count() for c in counts.values())
+    counts["random"] = stored(exact_counts(random_kmers(spark, equal + equal // 1000 + 10, K), K))
+    alike = {name: stored(c.orderBy(F.xxhash64("kmer"), "kmer").limit(equal)) for name, c in counts.items()}
+    return alike | {"deep": stored(exact_counts(deep, K))}
 
 
 def document_genome(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -115,7 +151,7 @@ def trimming_rounds(spark: SparkSession, sf_dir: str, rounds: int = 6, f: float
 def trimming_comparison(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Erroneous words removed and true words lost by each trimmer, at several stringencies, and by none."""
     reads = deep_reads(spark, sf_dir)
-    truth = stored(explode_kmers(genome_of(table(spark, sf_dir, "benchmark")).agg(F.concat_ws("", F.transform(F.sort_array(F.collect_list(F.struct("contig_id", "seq"))), lambda s: s["seq"])).alias("seq")).withColumn("read_id", F.lit(0).cast("long")), K).select("kmer").distinct())
+    truth = stored(true_words(spark, sf_dir))
     before = stored(explode_kmers(reads, K).select("kmer").distinct())
     counts = stored(exact_counts(reads, K))
     n = counts.count()
@@ -138,16 +174,30 @@ def trimming_comparison(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out
 
 
+def whole_genome(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """contig_id and seq of the benchmark passages end to end: the genome that deep reads come from, held as one string."""
+    return spark.createDataFrame([(0, small_genome(spark, sf_dir))], "contig_id long, seq string")
+
+
+def true_words(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The distinct words of the genome that deep reads come from."""
+    return explode_kmers(whole_genome(spark, sf_dir).select(F.col("contig_id").alias("read_id"), "seq"), K).select("kmer").distinct()
+
+
 def normalization_sweep(spark: SparkSession, sf_dir: str, coverage: int = 20, rates=(1e-4, 0.05, 0.2, 0.5, 0.8, 0.95, 0.999)) -> DataFrame:
-    """Reads kept, true words kept and completeness after normalization, at seven sketch sizes."""
-    genome = genome_of(table(spark, sf_dir, "benchmark"))
-    whole = genome.agg(F.concat_ws("", F.transform(F.sort_array(F.collect_list(F.struct("contig_id", "seq"))), lambda s: s["seq"])).alias("seq")).withColumn("contig_id", F.lit(0).cast("long"))
+    """Reads kept, true and erroneous words kept, completeness and unitigs after normalization, at seven sketch sizes."""
+    whole = whole_genome(spark, sf_dir)
+    truth = stored(true_words(spark, sf_dir))
     reads = deep_reads(spark, sf_dir).select("read_id", "source", "seq")
-    n_reads, n = reads.count(), exact_counts(reads, K).count()
+    before = stored(explode_kmers(reads, K).select("kmer").distinct())
+    n_reads, n = reads.count(), before.count()
     out = None
     for f in rates:
         kept = stored(normalize_sequential(reads, SketchSpec.for_fpr(n, f), coverage))
+        pieces = stored(unitigs(kept, K, stored, 3))
+        words = acc.retention(before, explode_kmers(kept, K).select("kmer").distinct(), truth).first()
         row = assembly_proxy(kept, whole, K).withColumn("n_kept", F.lit(kept.count())).select(F.lit(f).alias("full_fpr"), "n_kept", F.round(1 - F.col("n_kept") / n_reads, 6).alias("dropped"), "recovered", "chimeric")
+        row = row.withColumns({"true_kept": F.lit(words["true_kept"]), "errors_kept": F.lit(words["error_after"]), "n_unitigs": F.lit(pieces.count()), "n50": F.lit(n50(pieces))})
         out = row if out is None else out.unionByName(row)
     return out
 
@@ -187,3 +237,40 @@ def retrieval_sets(spark: SparkSession, sf_dir: str) -> DataFrame:
         row = lookup(queries, sketch).agg(F.count("*").alias("n_queries"), F.count_if(F.col("est") > 0).alias("n_found"), F.sum("est").alias("total")).select(F.lit(i).alias("subset"), "*")
         out = row if out is None else out.unionByName(row)
     return out
+
+
+def retrieval_costs(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The same random look-ups in three structures of the five growing subsets, with seconds to load and to ask.
+
+    All three lie on disk: a sketch's blocks, a table of counts that is hashed for the look-up, and a sorted index.
+    """
+    from ..operators.index import SortedIndex
+    from .costs import timed
+
+    queries = stored(explode_kmers(genome_of(table(spark, sf_dir, "benchmark")).select(F.col("contig_id").alias("read_id"), "seq"), K).select("kmer").distinct())
+    n, rows = queries.count(), []
+    for i, reads in subsets(spark, sf_dir):
+        counts, path = stored(exact_counts(reads, K)), shared_path(spark)
+        PrimeSketch.of_counts(counts, SketchSpec.for_memory(16 << 20, k=K)).save(f"{path}/sketch")
+        counts.write.parquet(f"{path}/hash")
+        SortedIndex.save(counts, f"{path}/sorted")
+
+        def load_sketch(path=path):
+            sketch = PrimeSketch.load(spark, f"{path}/sketch")
+            sketch.arrays()
+            return lambda: lookup(queries, sketch)
+
+        def load_hash(path=path):
+            known = spark.read.parquet(f"{path}/hash")
+            known.count()
+            return lambda: queries.join(known.hint("shuffle_hash"), "kmer", "left").select("kmer", F.coalesce("cnt", F.lit(0)).alias("est"))
+
+        def load_sorted(path=path):
+            index = SortedIndex(spark, f"{path}/sorted")
+            return lambda: index.lookup(queries)
+
+        for name, load in (("prime_sketch", load_sketch), ("exact_hash", load_hash), ("sorted_index", load_sorted)):
+            loaded, ask = timed(load)
+            asked, (found, total) = timed(lambda ask=ask: ask().agg(F.count_if(F.col("est") > 0), F.sum("est")).first())
+            rows.append((name, i, n, found, total, loaded, asked))
+    return spark.createDataFrame(rows, "structure string, subset int, n_queries long, n_found long, total long, load_seconds double, query_seconds double")

@@ -877,7 +877,7 @@ def retrieval_sets(spark, d):
 @query()
 def scaling_slope(spark, d):
     """Distinct words against words over the growing subsets: slope and R squared."""
-    return acc.linear_fit(W.growing_subsets(spark, d), "n_words", "n_distinct")
+    return acc.linear_fit(W.growing_subsets(spark, d), "n_words", "n_distinct").select(F.round("slope", 9).alias("slope"), F.round("r2", 9).alias("r2"))
 
 
 @query()

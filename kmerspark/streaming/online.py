@@ -157,6 +157,11 @@ def windowed_counts(events: DataFrame, window: str = "10 minutes", slide: str |
     return out.select(F.col("w.start").alias("w_start"), F.col("w.end").alias("w_end"), by, "n")
 
 
-def dedup_stream(stream: DataFrame, watermark: str = "10 minutes") -> DataFrame:
-    """Rows of one read_id within the watermark once."""
-    return stream.withWatermark("ts", watermark).dropDuplicatesWithinWatermark(["read_id"])
+def dedup_stream(stream: DataFrame, watermark: str = "10 minutes", keys: list[str] | None = None) -> DataFrame:
+    """Rows of one read_id (or of the given keys) within the watermark once."""
+    return stream.withWatermark("ts", watermark).dropDuplicatesWithinWatermark(keys or ["read_id"])
+
+
+def dropped_late(progress: list) -> int:
+    """Rows that a stream's stateful operators have dropped as later than the watermark, over all its batches."""
+    return sum(s["numRowsDroppedByWatermark"] for p in progress for s in p["stateOperators"])
