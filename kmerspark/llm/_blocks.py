@@ -100,6 +100,26 @@ def decode_gaps(raw: bytes) -> np.ndarray:
     return np.cumsum(gaps)
 
 
+def encode_counts(count: np.ndarray) -> bytes:
+    """Counts of which most are 1: a bit for each, a byte for those above, four for those from 255 on."""
+    many = count > 1
+    if not many.any():
+        return b""
+    above = count[many]
+    return np.packbits(many).tobytes() + np.minimum(above, 255).astype(np.uint8).tobytes() + np.minimum(above[above >= 255], 2**32 - 1).astype("<u4").tobytes()
+
+
+def decode_more(raw: bytes, n: int) -> np.ndarray:
+    """How far each of n counts is above 1."""
+    out = np.zeros(n, np.int64)
+    if raw:
+        many = np.flatnonzero(np.unpackbits(np.frombuffer(raw, np.uint8, -(-n // 8)), count=n))
+        above = np.frombuffer(raw, np.uint8, len(many), -(-n // 8)).astype(np.int64)
+        above[above == 255] = np.frombuffer(raw, "<u4", offset=-(-n // 8) + len(many))
+        out[many] = above - 1
+    return out
+
+
 def _write(limit: int, text: str = "text"):
     def packed(parts: list[pa.RecordBatch], block: int) -> pa.RecordBatch:
         sink = pa.BufferOutputStream()
@@ -168,9 +188,7 @@ def cell_rows(space: Space, block: int, items: np.ndarray) -> pa.RecordBatch:
     rows, a = [], 0
     for r, b in enumerate(edges.tolist()):
         if b > a:
-            many = np.flatnonzero(count[a:b] > 1)
-            more = many.astype("<u4").tobytes() + np.minimum(count[a:b][many], 2**32 - 1).astype("<u4").tobytes()
-            rows.append((r, block, b - a, encode_gaps(cells[a:b]), more))
+            rows.append((r, block, b - a, encode_gaps(cells[a:b]), encode_counts(count[a:b])))
         a = b
     kinds = (pa.int32(), pa.int64(), pa.int32(), pa.binary(), pa.binary())
     return pa.RecordBatch.from_arrays([pa.array([x[i] for x in rows], t) for i, t in enumerate(kinds)], names=[x.split()[0] for x in CELLS.split(", ")])
@@ -190,9 +208,7 @@ def _add_up(level: int | None, bits: int):
         ends = np.cumsum(n)
         count = np.ones(int(ends[-1]), np.int64)
         for end, size, raw in zip(ends.tolist(), n.tolist(), table["more"].to_pylist(), strict=True):
-            if raw:
-                many = np.frombuffer(raw, "<u4").reshape(2, -1)
-                count[end - size + many[0].astype(np.int64)] = many[1]
+            count[end - size : end] += decode_more(raw, size)
         cells, order = sort_places(np.concatenate([decode_gaps(x) for x in table["cells"].to_pylist()]).astype(np.uint64), bits)
         start = np.flatnonzero(np.concatenate([[True], cells[1:] != cells[:-1]]))
         total = np.add.reduceat(count[order], start)

@@ -56,6 +56,11 @@ def test_a_space_for_any_size():
     assert Space.of(10**14, 100_000).bits >= 48
 
 
+def test_counts_round_trip():
+    for count in ([1] * 9, [1, 2, 1, 254, 255, 256, 10**6, 1], [3], [1, 300]):
+        assert (1 + m.decode_more(m.encode_counts(np.array(count)), len(count))).tolist() == count
+
+
 def test_sorting_keeps_places():
     x = np.random.default_rng(0).integers(0, 50, 1000).astype(np.uint64)
     for bits in (6, 60):
