@@ -29,7 +29,7 @@ from ._text import Rolling, Words, column, mix64
 
 WINDOW = 50
 #: Distinct slices of one anchor that are searched together, and how often a larger group is cut again.
-HOT_SLICES, LEVELS = 256, 4
+HOT_SLICES, LEVELS = 2_048, 4
 #: Slices that a task searches at a time, whole anchors.
 CHUNK_SLICES = 4_096
 NONE_LO, NONE_HI = np.iinfo(np.int64).max, np.iinfo(np.int64).min
@@ -187,6 +187,8 @@ def _refine(window: int, level: int):
 def _found(slices: DataFrame, hot: DataFrame, find: Search, window: int, level: int = 1) -> DataFrame:
     """k1, k2, los, his of distinct slices (key, anchor, at, slice, lo, hi); `hot` has the anchors of too many."""
     some = level <= LEVELS and not hot.isEmpty()
+    if some and level == 1:  # parts of later levels are stored already
+        slices = stored(slices)
     cold = slices.join(hot, "anchor", "left_anti") if some else slices
     searched = cold.repartition("anchor").sortWithinPartitions("anchor").mapInArrow(_search(find, window), "k1 long, k2 long, los array<long>, his array<long>")
     if not some:
