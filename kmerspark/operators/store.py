@@ -20,9 +20,22 @@ def shared_dir(spark: SparkSession) -> str:
     return where
 
 
+#: What this process has written to the shared folder and not yet cleared.
+WRITTEN: list[str] = []
+
+
+def clear_stored(spark: SparkSession) -> None:
+    """Delete the intermediate tables of this process. Results that are still to be read must not rest on them."""
+    for path in WRITTEN:
+        at = spark._jvm.org.apache.hadoop.fs.Path(path)
+        at.getFileSystem(spark._jsc.hadoopConfiguration()).delete(at, True)
+    WRITTEN.clear()
+
+
 def shared_path(spark: SparkSession) -> str:
     """A new path in the shared folder."""
-    return f"{shared_dir(spark)}/kmerspark-{uuid.uuid4().hex}"
+    WRITTEN.append(f"{shared_dir(spark)}/kmerspark-{uuid.uuid4().hex}")
+    return WRITTEN[-1]
 
 
 def stored(df: DataFrame) -> DataFrame:
