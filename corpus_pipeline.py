@@ -2,11 +2,14 @@
 
 from __future__ import annotations
 
+import functools
+from collections.abc import Callable
+
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from kmerspark.llm._state import stored
+from kmerspark.llm._state import broadcast_if_small, stored
 from kmerspark.llm.line_dedup import line_dedup
 from kmerspark.llm.mixing import mix_sources, word_count
 from kmerspark.llm.ngram_join import ngram_components
@@ -17,6 +20,22 @@ from kmerspark.llm.toxicity import THRESHOLD, fit, score_documents
 ORACLE_SQL = None
 
 
+COLUMNS = {"doc_id", "text", "lang", "source", "n_chars"}
+Stage = Callable[[SparkSession, DataFrame, str], DataFrame]
+
+
+def keeps_columns(stage: Stage) -> Stage:
+    """Columns that documents have besides COLUMNS go through a stage under names that nothing in it uses."""
+
+    @functools.wraps(stage)
+    def run(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+        away = {c: f"_kept_{i}" if c not in COLUMNS else c for i, c in enumerate(docs.columns)}
+        return stage(spark, docs.toDF(*away.values()), sf_dir).toDF(*docs.columns)
+
+    return run
+
+
+@keeps_columns
 def toxicity(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the models find toxic go."""
     labels = spark.read.parquet(f"{sf_dir}/labels.parquet")
@@ -24,22 +43,25 @@ def toxicity(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     return score_documents(docs, fit(docs, learnt)).filter(F.col("score") < THRESHOLD).select(*docs.columns)
 
 
+@keeps_columns
 def line_deduplication(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Lines that several documents share stay in one of them."""
     out = line_dedup(docs).withColumn("text", F.col("kept_text")).withColumn("n_chars", F.length("kept_text").cast("long"))
     return out.select(*docs.columns)
 
 
+@keeps_columns
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Of each group of near copies the document with the smallest id stays. Rows without an id all stay."""
-    groups = ngram_components(docs).filter("doc_id IS NOT NULL AND doc_id <> component_id").select("doc_id").distinct()
-    kept = docs.join(groups, "doc_id", "left_anti").select(*docs.columns)
+    groups = stored(ngram_components(docs).filter("doc_id IS NOT NULL AND doc_id <> component_id").select("doc_id").distinct())
+    kept = docs.join(broadcast_if_small(groups), "doc_id", "left_anti").select(*docs.columns)
     again = stored(docs.filter("doc_id IS NOT NULL").groupBy("doc_id").count().filter("count > 1").select("doc_id"))
     if again.isEmpty():
         return kept
     return kept.join(again, "doc_id", "left_anti").select(*docs.columns).unionByName(kept.join(again, "doc_id", "left_semi").dropDuplicates(["doc_id"]).select(*docs.columns))
 
 
+@keeps_columns
 def source_mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents as often as the mix takes them; those it leaves out, and those without words, go."""
     times = mix_sources(docs).filter("taken > 0").select("doc_id", F.col("source").alias("_source"), F.col("size").alias("_size"), F.expr("taken div size").alias("_times"))

@@ -61,3 +61,14 @@ def test_the_mix_holds_for_rows_without_an_id(spark):
     for r in P.source_mix(spark, docs, "").collect():
         got[r.source] = got.get(r.source, 0) + len(r.text.split())
     assert got == {s: w for s, w in want.items() if w}
+
+
+def test_columns_that_stages_use_themselves(spark):
+    extra = ["score", "n_lines", "kept_text", "_copy", "_times", "_size", "_words", "id", "block", "payload", "taken", "component_id"]
+    rows = [(i, f"the text number {i} has a line of its own\nand one that all of them share here", "en", f"s{i % 2}", 70, *(f"{c}{i}" for c in extra)) for i in range(6)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long, " + ", ".join(f"{c} string" for c in extra))
+    for name, stage in pipeline.STAGES[:-1]:
+        docs = stored(stage(spark, docs, SF))
+        assert docs.columns[5:] == extra, name
+        assert all(r[c] == f"{c}{r.doc_id}" for r in docs.collect() for c in extra), name
+    assert pipeline.STAGES[-1][1](spark, docs, SF).count() >= docs.count() > 0
