@@ -20,6 +20,7 @@ from .plans import workloads as W
 from .plans.sizing import prime_table_sizes
 from .queries import BASE, BENCH_WORDS, K, QUERIES, RC, SIZES, SKETCHED, SQL, code_sql, counts_sql, dna_sql, docs, occ_sql, passages, query, reads_sql, sized_est_sql, sized_sql, spec, words
 from .sources import reads as R
+from .sources.generated import ReadsFromGenome
 from .streaming.online import OnlineCounter
 
 
@@ -72,6 +73,14 @@ def simulated_reads(spark, d):
     return reads.select("read_id", "seq", F.col("n_errors").cast("long").alias("n_errors"), quality.alias("quality"))
 
 
+@query(f"{DEEP} SELECT read_id, substring(g, start + 1, 100) AS seq FROM starts")
+def python_data_source(spark, d):
+    """Reads without errors from a data source written in Python, at the places that the simulation draws."""
+    genome = W.small_genome(spark, d)
+    spark.dataSource.register(ReadsFromGenome)
+    return spark.read.format("reads_from_genome").option("genome", genome).option("reads", 50 * len(genome) // 100).load()
+
+
 register("spectrum_coverage", f"""{DEEP_COUNTS}, h AS (SELECT cnt AS a, count(*) AS n FROM counts GROUP BY 1), near AS (SELECT a, n, lead(n) OVER (ORDER BY a) AS after FROM h WHERE a < 1000),
 v AS (SELECT coalesce(min(a) FILTER (after > n), max(a)) AS valley FROM near), p AS (SELECT arg_max(a, (n, -a)) AS peak FROM near, v WHERE a >= valley)
 SELECT valley::BIGINT AS valley, peak::BIGINT AS peak, (SELECT sum(a * n) FROM h, v WHERE a >= valley)::DOUBLE / greatest(1, peak) AS genome_size FROM v, p""")

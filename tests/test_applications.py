@@ -1,4 +1,5 @@
 import random
+import time
 from collections import Counter
 
 import numpy as np
@@ -13,7 +14,7 @@ from kmerspark.operators.kmers import exact_counts, explode_kmers
 from kmerspark.operators.normalize import normalize_batches, normalize_sequential
 from kmerspark.operators.sketch import PrimeSketch, SketchSpec
 from kmerspark.operators.spectrum import distinct_kmers, valley_and_peak
-from kmerspark.operators.store import stored
+from kmerspark.operators.store import publish, stored
 from kmerspark.operators.trim import filter_reads, trim_iterative, trim_reads
 from kmerspark.sources import reads as R
 from kmerspark.sources.simulate import random_kmers, simulate_reads
@@ -235,3 +236,33 @@ def test_reads_of_long_texts_keep_to_their_text(spark):
     assert len(set(ids)) == 10 and {3_000_000, 3_990_000, 4_000_000, 4_990_000} <= set(ids)
     with pytest.raises(Exception, match="no read id"):
         R.from_documents(docs.filter("doc_id = 1").withColumn("doc_id", F.lit(2**40))).collect()
+
+
+def test_reads_at_a_rate(spark, tmp_path):
+    from kmerspark.sources.generated import reads_at_rate
+
+    genome = "ACGTTGCA" * 40
+    run = reads_at_rate(spark, genome, 50, 30).select("read_id", "seq").writeStream.option("checkpointLocation", str(tmp_path / "c")).start(str(tmp_path / "o"), format="parquet")
+    try:
+        while not run.lastProgress or run.lastProgress.batchId < 1:
+            assert run.isActive, run.exception()
+            time.sleep(0.2)
+    finally:
+        run.stop()
+    got = spark.read.parquet(str(tmp_path / "o")).collect()
+    assert len(got) >= 50 and all(r.seq in genome and len(r.seq) == 30 for r in got)
+
+
+def test_a_half_written_commit_is_not_seen(spark, tmp_path):
+    sketch = online.VersionedSketch(spark, str(tmp_path / "v"), SketchSpec((101, 103), k=5))
+    words = spark.createDataFrame([(1, 2), (5, 1)], "kmer long, cnt long")
+    assert sketch.update(words, 0)
+    (tmp_path / "v" / "commits" / ".0123").write_text("v1-ha")
+    assert sketch.version() == 0 and sketch.current().cells.count() == 4
+    assert not sketch.update(words, 0) and sketch.update(words, 1) and sketch.current().cells.agg({"cnt": "max"}).first()[0] == 4
+
+
+def test_publish_takes_a_path_once(spark, tmp_path):
+    path = str(tmp_path / "p" / "0001")
+    assert publish(spark, path, "one") and not publish(spark, path, "two")
+    assert open(path).read() == "one" and sorted(f.name for f in (tmp_path / "p").iterdir() if not f.name.endswith(".crc")) == ["0001"]

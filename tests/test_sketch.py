@@ -146,3 +146,28 @@ def test_empty(spark):
     assert sketch.cells.count() == 0 and sketch.load_fpr() == 0
     assert histogram(exact_counts(none, 4)).count() == 0 and abundance_sketch(none, sketch).count() == 0
     assert est(lookup(spark.createDataFrame([(3,)], "kmer long"), sketch)) == {3: 0}
+
+
+def test_dense_copies_of_many_tasks_are_summed_in_rounds(spark, monkeypatch):
+    """Two hundred tasks and more: no group holds more than MERGE copies, and the counters are those of the whole."""
+    import kmerspark.operators.sketch as m
+
+    df = spark.createDataFrame([(i, "x", "ACGTTGCAACGGTTACGT"[i % 7 :]) for i in range(3000)], "read_id long, source string, seq string").repartition(230)
+    for bits in (1, 2, 8, 16):
+        own = SketchSpec((31, 37, 41), k=5, counter_bits=bits)
+        got = sorted(tuple(r) for r in PrimeSketch.build_dense(df, own).cells.collect())
+        want = sorted(tuple(r) for r in PrimeSketch.of_counts(exact_counts(df, 5), own).cells.collect())
+        assert got == want and m.MERGE < 230
+        again = sorted(tuple(r) for r in PrimeSketch.dense_of_counts(exact_counts(df, 5), own).cells.collect())
+        assert again == want
+
+
+def test_the_estimate_of_distinct_words(spark):
+    from kmerspark.operators.kmers import estimate_distinct
+    from kmerspark.sources.simulate import random_kmers
+
+    reads = random_kmers(spark, 40_000, 22)
+    assert abs(estimate_distinct(reads) - 40_000) < 0.1 * 40_000
+    spec = SketchSpec.for_reads(reads, 0.05)
+    counts = exact_counts(reads)
+    assert abs(acc.accuracy(acc.compare(counts, PrimeSketch.of_counts(counts, spec))).first()["fpr"] - 0.05) < 0.02
