@@ -88,11 +88,12 @@ def runs_of(block: Block, hit: np.ndarray, window: int) -> tuple[np.ndarray, np.
     return first, last, anchor[first].astype(np.int64)
 
 
-FOUND = "k1 long, k2 long, block long, id long, start int, n int, anchor long, at int, slice string, lo long, hi long"
+FOUND = "k1 long, k2 long, block long, start int, n int, id long, anchor long, at int, lo long, hi long"
 
 
 def _slices(window: int, space):
-    """Two kinds of rows: where slices stand (key, block, id, start, n), and slices (key, anchor, at, slice, lo, hi)."""
+    """Two kinds of rows: where slices stand (key, block, start, n, id), and a block's distinct slices, each where it
+    stands first (key, block, start, n, anchor, at, lo, hi)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -108,23 +109,39 @@ def _slices(window: int, space):
                 new = np.concatenate([[True], (np.diff(k1[order]) != 0) | (np.diff(k2[order]) != 0)])
                 head = order[new]  # of each distinct slice, the place with the least id
                 tail = order[np.append(np.flatnonzero(new)[1:], len(order)) - 1]
-                spaced = memoryview(block.words.spaced())
-                begin = block.words.bounds.astype(np.int64) + np.arange(len(block.words.bounds))
-                text = [bytes(spaced[a : b - 1]) for a, b in zip(begin[first[head]].tolist(), begin[end[head]].tolist(), strict=True)]
                 m, k = len(first), len(head)
-                both = lambda a, b, t: pa.concat_arrays([pa.nulls(m, t) if a is None else pa.array(a, t), pa.nulls(k, t) if b is None else pa.array(b, t)])
+                twice = lambda x, t: pa.array(np.concatenate([x, x[head]]), t)
                 long, short = pa.int64(), pa.int32()
                 yield pa.RecordBatch.from_arrays([
-                    pa.array(np.concatenate([k1, k1[head]]).view(np.int64)), pa.array(np.concatenate([k2, k2[head]]).view(np.int64)),
-                    both(np.full(m, name), None, long), both(own, None, long), both(first, None, short), both(last - first + 1, None, short),
-                    both(None, block.grams[anchor[head]].view(np.int64), long), both(None, (anchor - first)[head], short),
-                    pa.concat_arrays([pa.nulls(m, pa.binary()), pa.array(text, pa.binary())]).cast(pa.string()),
-                    both(None, own[head], long), both(None, own[tail], long),
+                    twice(k1.view(np.int64), long), twice(k2.view(np.int64), long), pa.array(np.full(m + k, name), long), twice(first, short), twice(last - first + 1, short),
+                    pa.concat_arrays([pa.array(own, long), pa.nulls(k, long)]),
+                    *(pa.concat_arrays([pa.nulls(m, t), pa.array(x, t)]) for x, t in ((block.grams[anchor[head]].view(np.int64), long), ((anchor - first)[head], short), (own[head], long), (own[tail], long))),
                 ], names=[x.split()[0] for x in FOUND.split(", ")])
 
     return run
 
 
+SLICES = "k1 long, k2 long, anchor long, at int, slice string, lo long, hi long"
+
+
+def _spell(window: int):
+    """The words of the slices that a block was chosen to give."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for raw, wanted in zip(column(batch, "payload"), column(batch, "wanted"), strict=True):
+                words = Words(column(read_payload(raw.as_buffer()), "text"))
+                begin = words.bounds.astype(np.int64) + np.arange(len(words.bounds))
+                start, n = (np.asarray(wanted.values.field(c)) for c in ("start", "n"))
+                a, b = begin[start], begin[start + n + window - 1] - 1
+                sizes = b - a
+                text = words.spaced()[np.arange(sizes.sum()) + np.repeat(a - (np.cumsum(sizes) - sizes), sizes)]
+                spelled = pa.Array.from_buffers(pa.string(), len(a), [None, pa.py_buffer(np.concatenate([[0], np.cumsum(sizes)]).astype(np.int32)), pa.py_buffer(text)])
+                yield pa.RecordBatch.from_arrays([spelled if c == "slice" else wanted.values.field(c) for c in (x.split()[0] for x in SLICES.split(", "))], names=[x.split()[0] for x in SLICES.split(", ")])
+
+    return run
+
+
 def _search(find: Search, window: int):
     """Rows are sorted by anchor; whole anchors are searched together, about CHUNK_SLICES slices at a time."""
     names = ("k1", "k2", "at", "slice", "lo", "hi")
@@ -213,14 +230,14 @@ def repeated_windows(docs: DataFrame, find: Search, window: int = WINDOW) -> tup
     blocks = Blocks(docs)
     answers = blocks.counted(lambda batch: Block(batch, window).items())
     found = stored(blocks.with_rows(by_block(answers)).mapInArrow(_slices(window, blocks.space), FOUND))
-    slices = found.filter("slice IS NOT NULL")
     key = ["k1", "k2"]
-    held = stored(slices.groupBy(*key, "anchor").agg(F.min("lo").alias("lo"), F.max("hi").alias("hi")))
-    several = stored(held.groupBy("anchor").agg(F.count("*").alias("n"), F.min("lo").alias("least"), F.max("hi").alias("most")).filter("least < most").select("anchor", "n"))
-    busy = held.join(several, "anchor").select(*key, "anchor", "lo", "hi")
-    texts = slices.select(*key, "slice", "at").join(busy.select(*key), key, "left_semi").groupBy(*key).agg(F.first("slice").alias("slice"), F.first("at").alias("at"))
-    results = _found(texts.join(busy, key), several.filter(F.col("n") > HOT_SLICES).select("anchor"), find, window)
-    places = found.filter("slice IS NULL").select(*key, "block", "id", "start", "n")
+    held = found.filter("id IS NULL").groupBy(*key, "anchor").agg(F.min("lo").alias("lo"), F.max("hi").alias("hi"), F.min(F.struct("block", "start", "n", "at")).alias("r"))
+    held = stored(held.select(*key, "anchor", "lo", "hi", "r.block", "r.start", "r.n", "r.at"))
+    several = stored(held.groupBy("anchor").agg(F.count("*").alias("n"), F.min("lo").alias("least"), F.max("hi").alias("most")).filter("least < most").select("anchor", F.col("n").alias("n_slices")))
+    wanted = held.join(several, "anchor").groupBy("block").agg(F.collect_list(F.struct(*key, "anchor", "at", "lo", "hi", "start", "n")).alias("wanted"))
+    slices = blocks.with_rows(wanted).mapInArrow(_spell(window), SLICES)
+    results = _found(slices, several.filter(F.col("n_slices") > HOT_SLICES).select("anchor"), find, window)
+    places = found.filter("id IS NOT NULL").select(*key, "block", "id", "start", "n")
     hits = places.join(results, key).filter(F.exists("los", lambda x: x < F.col("id")) | F.exists("his", lambda x: x > F.col("id")))
     return blocks, hits.groupBy("block").agg(F.collect_list(F.struct("start", "n", "los", "his")).alias("hits"))
 
