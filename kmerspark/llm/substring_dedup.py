@@ -21,8 +21,8 @@ from ._blocks import read_payload
 from ._repeats import NONE_HI, NONE_LO, WINDOW, covered, holders, repeated_windows
 from ._text import Words, column
 
-#: Passages of one automaton; an anchor with more has several, and its passages stream through each.
-SHARD_PASSAGES = 4_096
+#: Passages of one automaton; a search of more has several, and all its passages stream through each.
+SHARD_PASSAGES = 16_384
 
 
 class SuffixAutomaton:
@@ -33,63 +33,76 @@ class SuffixAutomaton:
         self.link, self.length = [-1], [0]
         self.lo, self.hi = [NONE_LO], [NONE_HI]
 
-    def _state(self, length: int, moves: dict[bytes, int], link: int) -> int:
-        self.next.append(moves)
-        self.length.append(length)
-        self.link.append(link)
-        self.lo.append(NONE_LO)
-        self.hi.append(NONE_HI)
-        return len(self.next) - 1
-
-    def _split(self, p: int, word: bytes, q: int) -> int:
-        """The state for the longest match of p and the word, apart from the longer strings of q."""
-        if self.length[p] + 1 == self.length[q]:
-            return q
-        twin = self._state(self.length[p] + 1, dict(self.next[q]), self.link[q])
-        self.link[q] = twin
-        while p >= 0 and self.next[p].get(word) == q:
-            self.next[p][word] = twin
-            p = self.link[p]
-        return twin
-
     def add(self, words: list[bytes], lo: int, hi: int) -> None:
         """Take up a passage that ids from lo to hi hold."""
+        moves, link, length, los, his = self.next, self.link, self.length, self.lo, self.hi
         last = 0
         for w in words:
-            q = self.next[last].get(w)
-            if q is not None:
-                last = self._split(last, w, q)
+            p, q = last, moves[last].get(w)
+            if q is None:  # a new state for the words so far
+                last = len(moves)
+                moves.append({})
+                length.append(length[p] + 1)
+                link.append(0)
+                los.append(lo)
+                his.append(hi)
+                while p >= 0 and (q := moves[p].setdefault(w, last)) == last:
+                    p = link[p]
+                if p < 0:
+                    continue
+                cur = last
             else:
-                p, cur = last, self._state(self.length[last] + 1, {}, 0)
-                while p >= 0 and w not in self.next[p]:
-                    self.next[p][w] = cur
-                    p = self.link[p]
-                if p >= 0:
-                    self.link[cur] = self._split(p, w, self.next[p][w])
-                last = cur
-            self.lo[last], self.hi[last] = min(self.lo[last], lo), max(self.hi[last], hi)
+                cur = None
+            if length[p] + 1 < length[q]:  # q's shorter strings get a state of their own
+                twin = len(moves)
+                moves.append(moves[q].copy())
+                length.append(length[p] + 1)
+                link.append(link[q])
+                los.append(NONE_LO)
+                his.append(NONE_HI)
+                link[q] = twin
+                while p >= 0 and moves[p].get(w) == q:
+                    moves[p][w] = twin
+                    p = link[p]
+                q = twin
+            if cur is None:
+                last = q
+                if lo < los[q]:
+                    los[q] = lo
+                if hi > his[q]:
+                    his[q] = hi
+            else:
+                link[cur] = q
 
     def close(self) -> SuffixAutomaton:
         """Hand ids on from longer strings to their suffixes."""
-        for v in sorted(range(1, len(self.next)), key=self.length.__getitem__, reverse=True):
-            u = self.link[v]
-            self.lo[u], self.hi[u] = min(self.lo[u], self.lo[v]), max(self.hi[u], self.hi[v])
+        link, los, his = self.link, self.lo, self.hi
+        for v in np.argsort(-np.array(self.length), kind="stable").tolist():
+            u = link[v]
+            if u > 0:  # the empty string at the root holds nothing of use
+                if los[v] < los[u]:
+                    los[u] = los[v]
+                if his[v] > his[u]:
+                    his[u] = his[v]
         return self
 
-    def statistics(self, words: list[bytes], window: int) -> Iterator[tuple[int, int, int]]:
+    def statistics(self, words: list[bytes], window: int) -> list[tuple[int, int, int]]:
         """For each window of the passage that occurs: its start, and the least and largest id that hold it."""
-        v, n = 0, 0
-        for i, w in enumerate(words):
-            while v > 0 and w not in self.next[v]:
-                v = self.link[v]
-                n = self.length[v]
-            if w in self.next[v]:
-                v, n = self.next[v][w], n + 1
-            while self.length[self.link[v]] >= window if v else False:
-                v = self.link[v]
-                n = self.length[v]
+        moves, link, length, los, his = self.next, self.link, self.length, self.lo, self.hi
+        v, n, out = 0, 0, []
+        for i, w in enumerate(words, 1):
+            q = moves[v].get(w)
+            while q is None and v > 0:
+                v = link[v]
+                n = length[v]
+                q = moves[v].get(w)
+            if q is not None:
+                v, n = q, n + 1
             if n >= window:
-                yield i - window + 1, self.lo[v], self.hi[v]
+                while length[u := link[v]] >= window:
+                    v, n = u, length[u]
+                out.append((i - window, los[v], his[v]))
+        return out
 
 
 def search_automata(passages: list[list[bytes]], at: list[int], lo: list[int], hi: list[int], window: int) -> list[tuple[np.ndarray, np.ndarray]]:
@@ -101,8 +114,9 @@ def search_automata(passages: list[list[bytes]], at: list[int], lo: list[int], h
             shard.add(p, x, y)
         shard.close()
         for p, (los, his) in zip(passages, out, strict=True):
-            for start, x, y in shard.statistics(p, window):
-                los[start], his[start] = min(los[start], x), max(his[start], y)
+            if found := shard.statistics(p, window):
+                start, low, high = np.array(found).T
+                los[start], his[start] = np.minimum(los[start], low), np.maximum(his[start], high)
     return out
 
 
