@@ -134,7 +134,7 @@ def test_graph(spark):
 
 def test_first_sight_by_filters(spark, deep):
     n = distinct_kmers(deep, 22).count()
-    assert 0.99 * n <= distinct_kmers(deep, 22, seen="bloom", parts=4).count() <= n
+    assert 0.99 * n <= distinct_kmers(deep, 22, seen="bloom", expected=n).count() <= n
     hist = exact_counts(deep, 22).groupBy(F.col("cnt").alias("abundance")).agg(F.count("*").alias("n_kmers"))
     at = valley_and_peak(hist)
     assert 2 <= at["valley"] < at["peak"] and 12 <= at["peak"] <= 30
