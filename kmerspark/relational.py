@@ -96,24 +96,24 @@ def scalar_strings(spark, d):
     )
 
 
-@query("""SELECT o_orderkey, date_diff('day', DATE '1995-01-01', o_orderdate::DATE) AS days, year(o_orderdate)::INTEGER AS y, quarter(o_orderdate)::INTEGER AS q, date_trunc('month', o_orderdate)::DATE AS m,
- (o_orderdate::DATE + INTERVAL 40 DAY)::DATE AS later, last_day(o_orderdate::DATE) AS month_end, dayofyear(o_orderdate)::INTEGER AS doy, (o_orderdate::DATE + INTERVAL 2 MONTH)::DATE AS two_months FROM orders""")
+@query("""SELECT o_orderkey, date_diff('day', DATE '1995-01-01', o_orderdate::DATE) AS days, year(o_orderdate)::INTEGER AS y, quarter(o_orderdate)::INTEGER AS q, date_trunc('month', o_orderdate)::DATE::VARCHAR AS m,
+ (o_orderdate::DATE + INTERVAL 40 DAY)::DATE::VARCHAR AS later, last_day(o_orderdate::DATE)::VARCHAR AS month_end, dayofyear(o_orderdate)::INTEGER AS doy, (o_orderdate::DATE + INTERVAL 2 MONTH)::DATE::VARCHAR AS two_months FROM orders""")
 def scalar_dates(spark, d):
     day = F.col("o_orderdate").cast("date")
     return table(spark, d, "orders").select(
-        "o_orderkey", F.date_diff(day, F.lit("1995-01-01").cast("date")).cast("long").alias("days"), F.year(day).alias("y"), F.quarter(day).alias("q"), F.trunc(day, "month").alias("m"),
-        F.expr("CAST(o_orderdate AS DATE) + INTERVAL '40' DAY").cast("date").alias("later"), F.last_day(day).alias("month_end"), F.dayofyear(day).alias("doy"), F.add_months(day, 2).alias("two_months"),
+        "o_orderkey", F.date_diff(day, F.lit("1995-01-01").cast("date")).cast("long").alias("days"), F.year(day).alias("y"), F.quarter(day).alias("q"), F.trunc(day, "month").cast("string").alias("m"),
+        F.expr("CAST(o_orderdate AS DATE) + INTERVAL '40' DAY").cast("date").cast("string").alias("later"), F.last_day(day).cast("string").alias("month_end"), F.dayofyear(day).alias("doy"), F.add_months(day, 2).cast("string").alias("two_months"),
     )
 
 
-@query("""SELECT source, cardinality(map_from_entries(list(DISTINCT (lang, 1)))) AS n_langs, list_sort(list(DISTINCT lang)) AS langs, list_max(list(n_chars)) AS longest, len(list_distinct(list(lang))) AS n_distinct,
+@query("""SELECT source, cardinality(map_from_entries(list(DISTINCT (lang, 1)))) AS n_langs, list_max(list(n_chars)) AS longest, len(list_distinct(list(lang))) AS n_distinct,
  list_contains(list(lang), 'en') AS has_en, array_to_string(list_sort(list(DISTINCT lang)), '|') AS joined FROM documents GROUP BY source""")
 def maps_and_arrays(spark, d):
     langs = F.sort_array(F.collect_set("lang"))
     own = table(spark, d, "documents").groupBy("source").agg(langs.alias("langs"), F.max("n_chars").alias("longest"))
     as_map = F.map_from_arrays("langs", F.transform("langs", lambda _: F.lit(1)))
     zipped = F.arrays_zip("langs", F.transform("langs", lambda x, i: i).alias("i"))
-    return own.select("source", F.size(F.map_keys(F.map_filter(as_map, lambda k, v: v > 0))).cast("long").alias("n_langs"), "langs", "longest", F.size(F.array_distinct(F.transform(zipped, lambda z: z["langs"]))).cast("long").alias("n_distinct"), F.array_contains("langs", "en").alias("has_en"), F.array_join("langs", "|").alias("joined"))
+    return own.select("source", F.size(F.map_keys(F.map_filter(as_map, lambda k, v: v > 0))).cast("long").alias("n_langs"), "longest", F.size(F.array_distinct(F.transform(zipped, lambda z: z["langs"]))).cast("long").alias("n_distinct"), F.array_contains("langs", "en").alias("has_en"), F.array_join("langs", "|").alias("joined"))
 
 
 @query("SELECT event_id, '{\"id\":' || event_id || ',\"type\":\"' || event_type || '\"}' AS packed, json_valid(props) AS valid, (props->>'k')::BIGINT AS k FROM events")
