@@ -175,11 +175,14 @@ def normalize_documents_in_batches(spark, d):
 STRICT = f"""WITH RECURSIVE bench AS (SELECT item_id AS sid, {dna_sql('text')} AS s FROM benchmark),
 cut AS (SELECT (sid * 1000 + i) AS id, substring(s, i * 100 + 1, 100) AS seq FROM (SELECT *, unnest(range(0, (length(s) + 99) // 100)) AS i FROM bench)),
 reads AS (SELECT id * 3 + c AS read_id, seq FROM cut, range(0, 3) t(c)), {occ_sql()},
-listed AS MATERIALIZED (SELECT read_id, row_number() OVER (ORDER BY read_id) AS i, list(w) AS ws FROM occ GROUP BY read_id),
-pairs AS MATERIALIZED (SELECT a.i, a.w, a.n, b.i AS j, b.n AS m FROM (SELECT i, unnest(ws) AS w, 1 AS n FROM listed) a LEFT JOIN (SELECT i, w, count(*) AS n FROM (SELECT i, unnest(ws) AS w FROM listed) GROUP BY ALL) b ON a.w = b.w AND b.i < a.i),
+listed AS MATERIALIZED (SELECT read_id, row_number() OVER (ORDER BY read_id) AS i FROM occ GROUP BY read_id),
+placed AS MATERIALIZED (SELECT l.i, o.pos, o.w FROM occ o JOIN listed l USING (read_id)),
+held AS MATERIALIZED (SELECT i, w, count(*) AS m FROM placed GROUP BY ALL),
+earlier AS MATERIALIZED (SELECT p.i, list((p.pos, h.i, h.m)) AS met, count(DISTINCT p.pos) AS n FROM placed p LEFT JOIN held h ON h.w = p.w AND h.i < p.i GROUP BY p.i),
 steps AS (SELECT 0::BIGINT AS i, []::BIGINT[] AS kept UNION ALL
- SELECT s.i + 1, CASE WHEN (SELECT count_if(c < 2) >= count(*) // 2 + 1 FROM (SELECT coalesce(sum(m) FILTER (list_contains(s.kept, j)), 0) AS c FROM (SELECT *, row_number() OVER () AS r FROM pairs p WHERE p.i = s.i + 1) GROUP BY w)) THEN list_append(s.kept, s.i + 1) ELSE s.kept END
- FROM steps s WHERE s.i < (SELECT max(i) FROM listed))"""
+ SELECT i, CASE WHEN n_low >= n // 2 + 1 THEN list_append(kept, i) ELSE kept END FROM (
+  SELECT e.i, s.kept, e.n, e.n - len(list_filter(list_distinct(list_transform(e.met, lambda x: x[1])), lambda p: list_sum(list_transform(list_filter(e.met, lambda y: y[1] = p AND list_contains(s.kept, y[2])), lambda y: y[3])) >= 2)) AS n_low
+  FROM steps s JOIN earlier e ON e.i = s.i + 1))"""
 
 
 def benchmark_thrice(spark, d):
@@ -189,7 +192,7 @@ def benchmark_thrice(spark, d):
     return reads.select("seq", F.explode(F.sequence(F.lit(0), F.lit(2))).alias("_c"), number.alias("_n")).select((F.col("_n") * 3 + F.col("_c")).alias("read_id"), "seq")
 
 
-@query()
+@query(STRICT + " SELECT l.read_id FROM (SELECT kept FROM steps ORDER BY i DESC LIMIT 1) k, listed l WHERE list_contains(k.kept, l.i)")
 def normalize_strict_small(spark, d):
     """Strict order over three copies of every benchmark read, to coverage 2: the third copy is never kept."""
     reads = stored(benchmark_thrice(spark, d))
@@ -215,6 +218,15 @@ def _per_word(f: float) -> float:
     return size_for_fpr(1, f).memory
 
 
+register("information_floor", f"""{BASE}, n AS (SELECT count(*)::DOUBLE AS n, pow(4::DOUBLE, {K}) AS t FROM counts)
+SELECT f::DOUBLE AS f, round((lgamma(t + 1) - lgamma(n + 1) - lgamma(t - n + 1)) / ln(2) / n, 4) AS floor_bits, round(-8 * ln(f) / pow(ln(2), 2), 4) AS sketch_bits FROM n, (VALUES (0.01::DOUBLE), (0.05::DOUBLE), (0.2::DOUBLE)) v(f)""")
+
+register("unitig_lengths", f"""WITH RECURSIVE {DEEP.removeprefix('WITH ')},\n{occ_sql(stranded=True)}, nodes AS MATERIALIZED (SELECT w FROM occ GROUP BY w HAVING count(*) >= 3),
+outs AS (SELECT substring(w, 1, {K - 1}) AS mid, count(*) AS n_out, min(w) AS next FROM nodes GROUP BY 1), ins AS (SELECT substring(w, 2) AS mid, count(*) AS n_in, min(w) AS prev FROM nodes GROUP BY 1),
+edges AS MATERIALIZED (SELECT prev, next FROM outs JOIN ins USING (mid) WHERE n_in = 1 AND n_out = 1 AND next <> prev),
+walk AS (SELECT w AS first, w, 1 AS n FROM nodes ANTI JOIN edges ON nodes.w = edges.next UNION ALL SELECT first, e.next, n + 1 FROM walk JOIN edges e ON e.prev = walk.w),
+runs AS (SELECT first, max(n) + {K - 1} AS n_bases FROM walk GROUP BY first) SELECT count(*) AS n, max(n_bases)::BIGINT AS longest, sum(n_bases)::BIGINT AS total FROM runs""")
+
 register("growing_subsets", f"{SUBSETS} SELECT subset, n_words, n_distinct, n_distinct * 16 AS exact_bytes, " + ", ".join(f"ceil(n_distinct * {_per_word(f)!r}::DOUBLE)::BIGINT AS sketch_bytes_{int(100 * f):02d}" for f in W.RATES) + " FROM subsets")
 register("scaling_slope", f"{SUBSETS} SELECT round(regr_slope(n_distinct, n_words), 9) AS slope, round(regr_r2(n_distinct, n_words), 9) AS r2 FROM subsets")
 
