@@ -5,6 +5,8 @@ The simulation draws from counters through whole-number mixes, so SQL makes the
 
 from __future__ import annotations
 
+import re
+
 from pyspark.sql import functions as F
 
 from .operators import spectrum
@@ -123,6 +125,32 @@ _SIZE = exactly_sized_sql(0.8).split(",\nt0 AS")[0]
 register("trim_rounds", rounds_sql(DEEP_COUNTS, 6, f"{_SIZE},\n", _P) + "\n" + "\nUNION ALL ".join(round_log_sql(r) for r in range(1, 7)))
 
 
+def _named(text: str, tag: str) -> str:
+    """The tables of one round and of its sizing, under names of their own."""
+    return re.sub(r"\b(sized|candidates|primes|reads0|reads1|occ1|counts1|est1|cut1|t\d_1)\b", rf"\1{tag}", text)
+
+
+def _left_sql(name: str, rows: str) -> str:
+    """A trimmer's row: bases removed, and the true and erroneous words that are left."""
+    return f"""SELECT '{name}' AS trimmer, round(100 * (1 - (SELECT sum(length(seq)) FROM {rows}) / (SELECT sum(length(seq)) FROM reads)), 4) AS bases_removed, nb.t AS true_before, nb.e AS error_before, na.t AS true_after, na.e AS error_after,
+ round(na.t / nb.t, 6) AS true_kept, round(1 - na.e / nb.e, 6) AS error_removed FROM nb, (SELECT count(truth.w) AS t, count(*) - count(truth.w) AS e FROM (SELECT DISTINCT w FROM ({occ_sql(reads=rows, name='x').removeprefix('x AS (').removesuffix(')')})) a LEFT JOIN truth ON truth.w = a.w) na"""
+
+
+_QUALITY = f"""l AS (SELECT * FROM (VALUES (1, 50000), (2, 10000), (3, 1000)) v(l, ppm)),
+steps AS (SELECT l, read_id, pos + 1 AS i, sum(ppm - round_even(1000000 * pow(10, -q / 10.0::DOUBLE), 0)::BIGINT) OVER (PARTITION BY l, read_id ORDER BY pos) AS s FROM sim, l UNION ALL SELECT l, read_id, 0, 0 FROM reads, l),
+lows AS (SELECT *, min(s) OVER (PARTITION BY l, read_id ORDER BY i) AS low FROM steps), firsts AS (SELECT l, read_id, s, min(i) AS i FROM steps GROUP BY ALL),
+ends AS (SELECT a.l, a.read_id, a.i AS e, f.i AS b, a.s - a.low AS gain, max(a.s - a.low) OVER (PARTITION BY a.l, a.read_id) AS top FROM lows a JOIN firsts f ON f.l = a.l AND f.read_id = a.read_id AND f.s = a.low),
+best AS MATERIALIZED (SELECT l, read_id, min((b, -e)) AS x FROM ends WHERE gain = top AND top > 0 GROUP BY ALL),
+""" + ",\n".join(f"sum{i} AS (SELECT read_id, substring(seq, x[1] + 1, -x[2] - x[1]) AS seq FROM best JOIN reads USING (read_id) WHERE l = {i} AND -x[2] - x[1] >= {K})" for i in (1, 2, 3)) + ",\n" + ",\n".join(
+    f"tail{q} AS (SELECT read_id, substring(seq, 1, n) AS seq FROM (SELECT read_id, max(pos) + 1 AS n FROM sim WHERE q >= {q} GROUP BY 1) JOIN reads USING (read_id) WHERE n >= {K})" for q in (10, 20, 30))
+_TRIMMED = {"none": "reads", "sketch_f01": "reads1_one", "sketch_f80": "reads1", "sketch_six_rounds": "reads6", "error_sum_0.05": "sum1", "error_sum_0.01": "sum2", "error_sum_0.001": "sum3", "tail_10": "tail10", "tail_20": "tail20", "tail_30": "tail30"}
+_SIZE01 = exactly_sized_sql(0.01).split(",\nt0 AS")[0]
+register("trim_comparison", rounds_sql(DEEP_COUNTS, 6, f"{_SIZE},\n", _P) + _named(rounds_sql("", 1, f"{_SIZE01},\n", _P), "_one") + f""",
+{_QUALITY}, truth AS MATERIALIZED (SELECT DISTINCT least(f, {RC.format('f')}) AS w FROM (SELECT substring(g, i + 1, {K}) AS f FROM genome, range(0, length(g) - {K - 1}) t(i))),
+nb AS (SELECT count(truth.w) AS t, count(*) - count(truth.w) AS e FROM (SELECT DISTINCT w FROM occ) a LEFT JOIN truth ON truth.w = a.w)
+""" + "\nUNION ALL ".join(_left_sql(n, t) for n, t in _TRIMMED.items()))
+
+
 @query(rounds_sql(f"WITH {reads_sql()}", 2, "", [str(p) for p in prime_table_sizes(SIZES["f10"], 4)]) + "\n" + "\nUNION ALL ".join(round_log_sql(r) for r in (1, 2)))
 def trim_rounds_documents(spark, d):
     """Two rounds over the documents, with a sketch of fixed size."""
