@@ -14,7 +14,7 @@ from dataclasses import dataclass, field
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
@@ -171,9 +171,11 @@ def fit(docs: DataFrame, labels: DataFrame, text_col: str = "text", id_col: str
     texts = docs.select(docs[id_col].cast("long").alias("id"), docs[text_col].cast("string").alias("text"))
     train = texts.join(F.broadcast(picked), "id").withColumn("fold", F.pmod(F.xxhash64(F.lit(SEED + 1), "id"), F.lit(FOLDS)).cast("int"))
     train = stored(train.repartition(24))
-    sizes = train.groupBy("id", "y").agg(F.sum(F.octet_length("text")).alias("n"))  # 2 * max_train rows
-    before = F.sum("n").over(Window.partitionBy("y").orderBy(F.xxhash64(F.lit(SEED), "id"), "id").rowsBetween(Window.unboundedPreceding, -1))
-    train = train.join(F.broadcast(sizes.withColumn("before", before).filter(F.coalesce("before", F.lit(0)) < MAX_TRAIN_BYTES).select("id")), "id")
+    sizes = train.groupBy("id", "y").agg(F.sum(F.octet_length("text")).alias("n")).select("id", "y", "n", F.xxhash64(F.lit(SEED), "id").alias("h")).toPandas()  # 2 * max_train rows of four numbers
+    sizes = sizes.sort_values(["y", "h", "id"])
+    beyond = sizes[sizes.groupby("y").n.cumsum() - sizes.n >= MAX_TRAIN_BYTES]
+    if len(beyond):
+        train = train.filter(~F.col("id").isin(beyond.id.tolist()))
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:

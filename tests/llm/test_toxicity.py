@@ -92,3 +92,15 @@ def test_odd_rows(spark):
     assert len(got) == 5 and all(0 <= r.score <= 1 for r in got)
     none = fit(docs, labels.filter("false"))
     assert [r for r in score_documents(docs.filter("false"), none).collect()] == []
+
+
+def test_the_sample_is_bounded_by_bytes(spark, monkeypatch):
+    import kmerspark.llm.toxicity as m
+
+    docs = spark.createDataFrame([(i, ("scum " if i % 2 else "good ") * 50) for i in range(40)], "doc_id long, text string")
+    labels = docs.selectExpr("doc_id", "cast(doc_id % 2 as int) AS toxic")
+    whole = fit(docs, labels)
+    monkeypatch.setattr(m, "MAX_TRAIN_BYTES", 1000)  # four documents of each class
+    few = fit(docs, labels)
+    assert len(few.grams) == len(whole.grams) > 0
+    assert [r.score > 0.5 for r in score_documents(docs, few).orderBy("doc_id").collect()] == [bool(i % 2) for i in range(40)]
