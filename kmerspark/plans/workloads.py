@@ -33,8 +33,19 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+#: Bytes of a table for each core, below which its rows are dealt to all cores before anything is made of them.
+DEAL_BYTES = 64 << 20
+
+
+def spread(df: DataFrame, by: str) -> DataFrame:
+    """A small table in a file or two would keep one core busy; it is dealt out. A large one is read where it lies."""
+    cores = df.sparkSession.sparkContext.defaultParallelism
+    size = int(str(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
+    return df.repartition(cores, by) if size < DEAL_BYTES * cores else df
+
+
 def document_reads(spark: SparkSession, sf_dir: str, **kw) -> DataFrame:
-    return from_documents(table(spark, sf_dir, "documents").select("doc_id", "text", "source"), **kw)
+    return from_documents(spread(table(spark, sf_dir, "documents").select("doc_id", "text", "source"), "doc_id"), **kw)
 
 
 def small_genome(spark: SparkSession, sf_dir: str) -> str:
