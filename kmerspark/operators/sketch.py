@@ -195,18 +195,9 @@ class PrimeSketch:
                     if table[b : b + BLOCK].any():
                         yield pa.RecordBatch.from_arrays([pa.array([i], pa.int8()), pa.array([b // BLOCK], pa.int32()), pa.array([group], pa.int32()), pa.array([table[b : b + BLOCK].tobytes()], pa.binary())], names=["table_id", "block", "group", "counters"])
 
-        def add(key: tuple, batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            total = None
-            for batch in batches:
-                for raw in batch.column(batch.schema.get_field_index("counters")).to_pylist():
-                    own = np.frombuffer(raw, width)
-                    total = own.astype(np.uint64) if total is None else np.minimum(total + own, spec.cap)
-            names = ["table_id", "block", *(["group"] if len(key) > 2 else []), "counters"]
-            yield pa.RecordBatch.from_arrays([*(pa.array([k.as_py()], k.type) for k in key), pa.array([total.astype(width).tobytes()], pa.binary())], names=names)
-
         blocks = rows.mapInArrow(run, "table_id tinyint, block int, group int, counters binary")
-        some = blocks.groupBy("table_id", "block", "group").applyInArrow(add, "table_id tinyint, block int, group int, counters binary")
-        dense = some.groupBy("table_id", "block").applyInArrow(add, "table_id tinyint, block int, counters binary")
+        some = blocks.groupBy("table_id", "block", "group").applyInArrow(_add_blocks(spec), "table_id tinyint, block int, group int, counters binary")
+        dense = some.groupBy("table_id", "block").applyInArrow(_add_blocks(spec), "table_id tinyint, block int, counters binary")
         return cls(spec, cells_of(dense, spec), dense=dense)
 
     @classmethod
@@ -222,10 +213,17 @@ class PrimeSketch:
         return self.merge(PrimeSketch.of_counts(counts, self.spec))
 
     def merge(self, *others: PrimeSketch) -> PrimeSketch:
+        """The sketch of all that was counted in any; dense ones are added block by block."""
+        if any(o.spec != self.spec for o in others):
+            raise ValueError("sketches of different specs can't be merged")
+        if all(s.dense is not None for s in (self, *others)):
+            blocks = self.dense
+            for o in others:
+                blocks = blocks.unionByName(o.dense)
+            dense = blocks.groupBy("table_id", "block").applyInArrow(_add_blocks(self.spec), "table_id tinyint, block int, counters binary")
+            return PrimeSketch(self.spec, cells_of(dense, self.spec), dense=dense)
         cells = self.cells
         for o in others:
-            if o.spec != self.spec:
-                raise ValueError("sketches of different specs can't be merged")
             cells = cells.unionByName(o.cells)
         return PrimeSketch(self.spec, cells.groupBy("table_id", "cell").agg(F.least(F.sum("cnt"), F.lit(self.spec.cap)).alias("cnt")))
 
@@ -319,6 +317,22 @@ class PrimeSketch:
             a[at] = min(int(a[at[0]]) + 1, self.spec.cap)
 
 
+def _add_blocks(spec: SketchSpec) -> Callable:
+    """Saturating sum of copies of a block, for groups by (table_id, block) and what else is in the key."""
+    width = f"<u{max(8, spec.counter_bits) // 8}"
+
+    def add(key: tuple, batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        total = None
+        for batch in batches:
+            for raw in batch.column(batch.schema.get_field_index("counters")).to_pylist():
+                own = np.frombuffer(raw, width)
+                total = own.astype(np.uint64) if total is None else np.minimum(total + own, spec.cap)
+        names = ["table_id", "block", *(["group"] if len(key) > 2 else []), "counters"]
+        yield pa.RecordBatch.from_arrays([*(pa.array([k.as_py()], k.type) for k in key), pa.array([total.astype(width).tobytes()], pa.binary())], names=names)
+
+    return add
+
+
 def cells_of(blocks: DataFrame, spec: SketchSpec) -> DataFrame:
     """table_id, cell, cnt of the counters in use in dense blocks."""
     width = max(8, spec.counter_bits) // 8
