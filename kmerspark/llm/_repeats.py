@@ -6,6 +6,7 @@
    same minimiser (least gram hash of the window), which is the same wherever the window stands. A run is a slice of
    words around its anchor; equal slices of a block are one.
 3. Slices with the same anchor meet; an operator finds, for each window, the least and the largest id that hold it.
+   An anchor with one distinct slice has nobody to meet, and is searched where its block is, beside its neighbours.
    An anchor with many distinct slices is not searched in one task: its windows are cut once more, by their second
    least gram hash, and so on; equal windows still meet.
 4. What was found goes back to the blocks, where documents are read again.
@@ -35,8 +36,9 @@ CHUNK_SLICES = 4_096
 NONE_LO, NONE_HI = np.iinfo(np.int64).max, np.iinfo(np.int64).min
 
 #: For slices of whole anchors: words of each, place of the anchor in each, least and largest id of their holders,
-#: and the window's length; gives the least and largest id that hold each window of each slice.
-Search = Callable[[list[list[bytes]], list[int], list[int], list[int], int], list[tuple[np.ndarray, np.ndarray]]]
+#: the window's length, and where each begins if they are all from one run of words, in order; gives the least and
+#: largest id that hold each window of each slice.
+Search = Callable[[list[list[bytes]], list[int], list[int], list[int], int, list[int] | None], list[tuple[np.ndarray, np.ndarray]]]
 
 
 class Block:
@@ -122,22 +124,50 @@ def _slices(window: int, space):
 
 
 SLICES = "k1 long, k2 long, anchor long, at int, slice string, lo long, hi long"
+FOUND_IDS = "k1 long, k2 long, los array<long>, his array<long>"
 
 
-def _spell(window: int):
-    """The words of the slices that a block was chosen to give."""
+def _ids(k1: pa.Array, k2: pa.Array, found: list[tuple[np.ndarray, np.ndarray]]) -> list[pa.Array]:
+    """The columns of FOUND_IDS; ids that are the same in all windows of a slice stand once."""
+    kind = pa.list_(pa.int64())
+    out = []
+    for side in (0, 1):
+        short = [x[:1] if (x == x[0]).all() else x for x in (f[side] for f in found)]
+        sizes = np.concatenate([[0], np.cumsum([len(x) for x in short])]).astype(np.int32)
+        out.append(pa.ListArray.from_arrays(sizes, pa.array(np.concatenate(short) if short else [], pa.int64())).cast(kind))
+    return [k1, k2, *out]
+
+
+def _spell(find: Search, window: int):
+    """Two kinds of rows, of the slices that a block was chosen to give: slices that others meet, spelled out, and what
+    was found of those that are alone with their anchor."""
+    names = [x.split()[0] for x in f"{SLICES}, los, his".split(", ")]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for raw, wanted in zip(column(batch, "payload"), column(batch, "wanted"), strict=True):
                 words = Words(column(read_payload(raw.as_buffer()), "text"))
                 begin = words.bounds.astype(np.int64) + np.arange(len(words.bounds))
-                start, n = (np.asarray(wanted.values.field(c)) for c in ("start", "n"))
+                rows = pa.RecordBatch.from_struct_array(wanted.values)
+                rows = rows.take(pa.array(np.argsort(np.asarray(rows.column(rows.schema.get_field_index("start"))), kind="stable")))
+                alone = column(rows, "n_slices").to_numpy() == 1
+                spaced = words.spaced()
+                met = rows.filter(pa.array(~alone))
+                start, n = (np.asarray(column(met, c)) for c in ("start", "n"))
                 a, b = begin[start], begin[start + n + window - 1] - 1
                 sizes = b - a
-                text = words.spaced()[np.arange(sizes.sum()) + np.repeat(a - (np.cumsum(sizes) - sizes), sizes)]
+                text = spaced[np.arange(sizes.sum()) + np.repeat(a - (np.cumsum(sizes) - sizes), sizes)]
                 spelled = pa.Array.from_buffers(pa.string(), len(a), [None, pa.py_buffer(np.concatenate([[0], np.cumsum(sizes)]).astype(np.int32)), pa.py_buffer(text)])
-                yield pa.RecordBatch.from_arrays([spelled if c == "slice" else wanted.values.field(c) for c in (x.split()[0] for x in SLICES.split(", "))], names=[x.split()[0] for x in SLICES.split(", ")])
+                none = pa.nulls(len(a), pa.list_(pa.int64()))
+                yield pa.RecordBatch.from_arrays([*(spelled if c == "slice" else column(met, c) for c in names[:7]), none, none], names=names)
+                own, whole = rows.filter(pa.array(alone)), memoryview(spaced)
+                for at in range(0, own.num_rows, CHUNK_SLICES):
+                    part = own.slice(at, CHUNK_SLICES)
+                    start, n = (np.asarray(column(part, c)) for c in ("start", "n"))
+                    passages = [bytes(whole[x:y]).split(b" ") for x, y in zip(begin[start].tolist(), (begin[start + n + window - 1] - 1).tolist(), strict=True)]
+                    found = find(passages, *(column(part, c).to_pylist() for c in ("at", "lo", "hi")), window, start.tolist())
+                    k1, k2, los, his = _ids(column(part, "k1"), column(part, "k2"), found)
+                    yield pa.RecordBatch.from_arrays([k1, k2, *(pa.nulls(part.num_rows, t) for t in (pa.int64(), pa.int32(), pa.string(), pa.int64(), pa.int64())), los, his], names=names)
 
     return run
 
@@ -151,11 +181,8 @@ def _search(find: Search, window: int):
 
         def flush() -> pa.RecordBatch:
             k1, k2, at, text, lo, hi = (list(x) for x in zip(*held, strict=True))
-            found = find([t.encode().split(b" ") for t in text], at, lo, hi, window)
-            short = [(x[:1] if (x == x[0]).all() else x) for f in found for x in f]
-            kind = pa.list_(pa.int64())
-            listed = lambda xs: pa.ListArray.from_arrays(np.concatenate([[0], np.cumsum([len(x) for x in xs])]).astype(np.int32), pa.array(np.concatenate(xs))).cast(kind)
-            return pa.RecordBatch.from_arrays([pa.array(k1), pa.array(k2), listed(short[::2]), listed(short[1::2])], names=["k1", "k2", "los", "his"])
+            found = find([t.encode().split(b" ") for t in text], at, lo, hi, window, None)
+            return pa.RecordBatch.from_arrays(_ids(pa.array(k1, pa.int64()), pa.array(k2, pa.int64()), found), names=["k1", "k2", "los", "his"])
 
         for batch in batches:
             for own, *row in zip(*(column(batch, c).to_pylist() for c in ("anchor", *names)), strict=True):
@@ -204,10 +231,8 @@ def _refine(window: int, level: int):
 def _found(slices: DataFrame, hot: DataFrame, find: Search, window: int, level: int = 1) -> DataFrame:
     """k1, k2, los, his of distinct slices (key, anchor, at, slice, lo, hi); `hot` has the anchors of too many."""
     some = level <= LEVELS and not hot.isEmpty()
-    if some and level == 1:  # parts of later levels are stored already
-        slices = stored(slices)
     cold = slices.join(hot, "anchor", "left_anti") if some else slices
-    searched = cold.repartition("anchor").sortWithinPartitions("anchor").mapInArrow(_search(find, window), "k1 long, k2 long, los array<long>, his array<long>")
+    searched = cold.repartition("anchor").sortWithinPartitions("anchor").mapInArrow(_search(find, window), FOUND_IDS)
     if not some:
         return searched
     cut = stored(slices.join(hot, "anchor", "left_semi").mapInArrow(_refine(window, level), PART))
@@ -234,9 +259,11 @@ def repeated_windows(docs: DataFrame, find: Search, window: int = WINDOW) -> tup
     held = found.filter("id IS NULL").groupBy(*key, "anchor").agg(F.min("lo").alias("lo"), F.max("hi").alias("hi"), F.min(F.struct("block", "start", "n", "at")).alias("r"))
     held = stored(held.select(*key, "anchor", "lo", "hi", "r.block", "r.start", "r.n", "r.at"))
     several = stored(held.groupBy("anchor").agg(F.count("*").alias("n"), F.min("lo").alias("least"), F.max("hi").alias("most")).filter("least < most").select("anchor", F.col("n").alias("n_slices")))
-    wanted = held.join(several, "anchor").groupBy("block").agg(F.collect_list(F.struct(*key, "anchor", "at", "lo", "hi", "start", "n")).alias("wanted"))
-    slices = blocks.with_rows(wanted).mapInArrow(_spell(window), SLICES)
-    results = _found(slices, several.filter(F.col("n_slices") > HOT_SLICES).select("anchor"), find, window)
+    wanted = held.join(several, "anchor").groupBy("block").agg(F.collect_list(F.struct(*key, "anchor", "at", "lo", "hi", "start", "n", "n_slices")).alias("wanted"))
+    spelled = stored(blocks.with_rows(wanted).mapInArrow(_spell(find, window), f"{SLICES}, los array<long>, his array<long>"))
+    slices = spelled.filter("slice IS NOT NULL").drop("los", "his")
+    alone = spelled.filter("slice IS NULL").select(*key, "los", "his")
+    results = alone.unionByName(_found(slices, several.filter(F.col("n_slices") > HOT_SLICES).select("anchor"), find, window))
     places = found.filter("id IS NOT NULL").select(*key, "block", "id", "start", "n")
     hits = places.join(results, key).filter(F.exists("los", lambda x: x < F.col("id")) | F.exists("his", lambda x: x > F.col("id")))
     return blocks, hits.groupBy("block").agg(F.collect_list(F.struct("start", "n", "los", "his")).alias("hits"))

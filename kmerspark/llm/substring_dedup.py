@@ -33,11 +33,11 @@ class SuffixAutomaton:
         self.link, self.length = [-1], [0]
         self.lo, self.hi = [NONE_LO], [NONE_HI]
 
-    def add(self, words: list[bytes], lo: int, hi: int) -> None:
-        """Take up a passage that ids from lo to hi hold."""
+    def add(self, words: list[bytes], lows: list[int], highs: list[int]) -> None:
+        """Take up a passage; for each word the least and largest id that hold what ends there."""
         moves, link, length, los, his = self.next, self.link, self.length, self.lo, self.hi
         last = 0
-        for w in words:
+        for w, lo, hi in zip(words, lows, highs, strict=True):
             p, q = last, moves[last].get(w)
             if q is None:  # a new state for the words so far
                 last = len(moves)
@@ -105,18 +105,43 @@ class SuffixAutomaton:
         return out
 
 
-def search_automata(passages: list[list[bytes]], at: list[int], lo: list[int], hi: list[int], window: int) -> list[tuple[np.ndarray, np.ndarray]]:
-    """The least and largest id that hold each window of each passage."""
-    out = [(np.full(len(p) - window + 1, NONE_LO), np.full(len(p) - window + 1, NONE_HI)) for p in passages]
-    for a in range(0, len(passages), SHARD_PASSAGES):
+def search_automata(passages: list[list[bytes]], at: list[int], lo: list[int], hi: list[int], window: int, starts: list[int] | None = None) -> list[tuple[np.ndarray, np.ndarray]]:
+    """The least and largest id that hold each window of each passage.
+
+    Passages of one run of words (`starts`) that overlap are taken as one, each window with the ids of its passage.
+    """
+    sizes = [len(p) - window + 1 for p in passages]
+    runs: list[tuple[list[bytes], list[int], list[int], list[tuple[int, int]]]] = []  # words, ids by word, (passage, its place)
+    until = None
+    for i, (p, x, y) in enumerate(zip(passages, lo, hi, strict=True)):
+        own = sizes[i]
+        if starts is not None and until is not None and until - window < starts[i] < until:
+            words, lows, highs, held = runs[-1]
+            shift = starts[i] - (until - len(words))
+            words += p[until - starts[i] :]
+            lows += [NONE_LO] * (len(words) - len(lows))
+            highs += [NONE_HI] * (len(words) - len(highs))
+        else:
+            words, lows, highs, held, shift = list(p), [NONE_LO] * len(p), [NONE_HI] * len(p), [], 0
+            runs.append((words, lows, highs, held))
+        lows[shift + window - 1 : shift + window - 1 + own] = [x] * own
+        highs[shift + window - 1 : shift + window - 1 + own] = [y] * own
+        held.append((i, shift))
+        until = starts[i] + len(p) if starts is not None else None
+    found = [(np.full(len(r[0]), NONE_LO), np.full(len(r[0]), NONE_HI)) for r in runs]
+    for a in range(0, len(runs), SHARD_PASSAGES):
         shard = SuffixAutomaton()
-        for p, x, y in zip(passages[a : a + SHARD_PASSAGES], lo[a:], hi[a:], strict=False):
-            shard.add(p, x, y)
+        for words, lows, highs, _ in runs[a : a + SHARD_PASSAGES]:
+            shard.add(words, lows, highs)
         shard.close()
-        for p, (los, his) in zip(passages, out, strict=True):
-            if found := shard.statistics(p, window):
-                start, low, high = np.array(found).T
+        for (words, *_), (los, his) in zip(runs, found, strict=True):
+            if hits := shard.statistics(words, window):
+                start, low, high = np.array(hits).T
                 los[start], his[start] = np.minimum(los[start], low), np.maximum(his[start], high)
+    out: list = [None] * len(passages)
+    for (_, _, _, held), (los, his) in zip(runs, found, strict=True):
+        for i, shift in held:
+            out[i] = los[shift : shift + sizes[i]], his[shift : shift + sizes[i]]
     return out
 
 

@@ -37,7 +37,7 @@ def _order(parts: list[list[bytes]]) -> tuple[np.ndarray, np.ndarray]:
     return np.array(order), np.array([0, *common])
 
 
-def search_suffixes(passages: list[list[bytes]], at: list[int], lo: list[int], hi: list[int], window: int) -> list[tuple[np.ndarray, np.ndarray]]:
+def search_suffixes(passages: list[list[bytes]], at: list[int], lo: list[int], hi: list[int], window: int, starts: list[int] | None = None) -> list[tuple[np.ndarray, np.ndarray]]:
     """The least and largest id that hold each window of each passage."""
     m = len(passages)
     begin, size = np.array(at), np.array([len(p) for p in passages])

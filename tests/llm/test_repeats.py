@@ -144,9 +144,30 @@ def test_both_searches_agree_with_sets(monkeypatch):
                 assert his.tolist() == [max(holds[tuple(p[s : s + w])]) for s in range(len(p) - w + 1)]
 
 
+def test_overlapping_passages_of_one_run():
+    """Windows keep the ids of their own passage, wherever the passages are joined, and equal ones share theirs."""
+    rng = random.Random(4)
+    run = [b"w%d" % rng.randrange(400) for _ in range(300)]
+    run[200:230] = run[20:50]
+    w = 8
+    cuts = [(0, 20), (13, 30), (23, 50), (43, 52), (60, 90), (83, 120), (150, 170), (163, 200), (193, 240), (240, 300)]
+    starts = [a for a, _ in cuts]
+    slices = [run[a:b] for a, b in cuts]
+    lo = [rng.randint(0, 50) for _ in cuts]
+    hi = [x + rng.randint(0, 9) for x in lo]
+    holds = defaultdict(list)
+    for p, x, y in zip(slices, lo, hi, strict=True):
+        for s in range(len(p) - w + 1):
+            holds[tuple(p[s : s + w])] += [x, y]
+    for search in (search_automata,):
+        for p, (los, his) in zip(slices, search(slices, [0] * len(cuts), lo, hi, w, starts), strict=True):
+            assert los.tolist() == [min(holds[tuple(p[s : s + w])]) for s in range(len(p) - w + 1)]
+            assert his.tolist() == [max(holds[tuple(p[s : s + w])]) for s in range(len(p) - w + 1)]
+
+
 def test_automaton_has_every_substring():
     a = SuffixAutomaton()
-    a.add([b"a", b"b", b"a", b"b", b"c"], 3, 3)
-    a.add([b"b", b"a", b"b", b"d"], 1, 1)
+    a.add([b"a", b"b", b"a", b"b", b"c"], [3] * 5, [3] * 5)
+    a.add([b"b", b"a", b"b", b"d"], [1] * 4, [1] * 4)
     a.close()
     assert list(a.statistics([b"b", b"a", b"b", b"c", b"z", b"a", b"b", b"d"], 3)) == [(0, 1, 3), (1, 3, 3), (5, 1, 1)]
