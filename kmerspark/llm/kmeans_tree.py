@@ -27,7 +27,7 @@ SAMPLE_ROWS = 20_000
 BRANCHES = 8
 LEAF_ROWS = 64
 CALIBRATION_QUERIES = 400
-RECALL = 0.95
+RECALL = 0.97
 #: Rows of a leaf that one task holds; queries stream past them.
 PART_ROWS = 16_384
 SEED = 42
