@@ -171,3 +171,18 @@ def test_the_estimate_of_distinct_words(spark):
     spec = SketchSpec.for_reads(reads, 0.05)
     counts = exact_counts(reads)
     assert abs(acc.accuracy(acc.compare(counts, PrimeSketch.of_counts(counts, spec))).first()["fpr"] - 0.05) < 0.02
+
+
+def test_stored_leaves_no_shuffle_and_discard_deletes(spark):
+    from pathlib import Path
+
+    from kmerspark.operators import store
+
+    manager = spark.sparkContext._jvm.org.apache.spark.SparkEnv.get().blockManager().diskBlockManager()
+    files = lambda: {f.getName() for f in spark.sparkContext._jvm.scala.jdk.javaapi.CollectionConverters.asJava(manager.getAllFiles()) if f.getName().startswith("shuffle_")}
+    before = files()
+    table = store.stored(spark.range(1000).groupBy((F.col("id") % 7).alias("k")).count())
+    assert not files() - before
+    assert table.count() == 7 and Path(table._stored_at).exists()
+    store.discard(table, spark.range(3))
+    assert not Path(table._stored_at).exists() and table._stored_at not in store.WRITTEN
