@@ -4,7 +4,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from kmerspark.operators import accuracy as acc
-from kmerspark.operators.kmers import exact_counts, explode_kmers
+from kmerspark.operators.kmers import counts_by_source, exact_counts, explode_kmers
 from kmerspark.operators.lookup import lookup, with_overflow
 from kmerspark.operators.partitioned import part_report, partitioned_counts, run_parts, sharded_estimates
 from kmerspark.operators.sketch import PrimeSketch, SketchSpec
@@ -186,3 +186,25 @@ def test_stored_leaves_no_shuffle_and_discard_deletes(spark):
     assert table.count() == 7 and Path(table._stored_at).exists()
     store.discard(table, spark.range(3))
     assert not Path(table._stored_at).exists() and table._stored_at not in store.WRITTEN
+
+
+def test_few_keys_are_looked_up_without_all_counters(spark, monkeypatch):
+    """Beyond the broadcast bound, a few keys ask for their own counters only: the plan has no row per word and table."""
+    reads, spec = reads_frame(spark), SketchSpec((7, 5), k=4)
+    monkeypatch.setattr(choose, "__defaults__", (None, 1))
+    monkeypatch.setattr(SketchSpec, "fits_a_task", lambda self: False)
+    sketch = PrimeSketch.build(reads, spec)
+    monkeypatch.setattr(PrimeSketch, "arrays", lambda self: pytest.fail("the tables went to the driver"))
+    keys = spark.createDataFrame([(x,) for x in (0, 27, 85, 108, 176, 177, 192, 250)], "kmer long")
+    found = lookup(keys, sketch)
+    plan = found._jdf.queryExecution().optimizedPlan().toString()
+    assert "MapInArrow" in plan and "sum(cnt" in plan and plan.count("Generate") == 1  # the keys' own
+    assert est(found) == est(lookup(keys, sketch, "cells"))
+
+
+def test_words_by_source_need_no_join(spark):
+    reads = spark.createDataFrame([(1, "a", "ACGTACGT"), (2, None, "ACGTAC"), (3, "b", "TTTTNACGT"), (4, "a", "ACGTA")], "read_id long, source string, seq string")
+    found = counts_by_source(reads, 4)
+    assert "Join" not in found._jdf.queryExecution().optimizedPlan().toString()
+    want = explode_kmers(reads, 4).join(reads, "read_id").groupBy("source", "kmer").agg(F.count("*").alias("cnt"))
+    assert sorted(map(str, found.collect())) == sorted(map(str, want.collect()))
