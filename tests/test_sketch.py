@@ -1,11 +1,13 @@
 import math
 
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
 from kmerspark.operators import accuracy as acc
 from kmerspark.operators.kmers import counts_by_source, exact_counts, explode_kmers
 from kmerspark.operators.lookup import lookup, with_overflow
+from kmerspark.operators import packed
 from kmerspark.operators.partitioned import part_report, partitioned_counts, run_parts, sharded_estimates
 from kmerspark.operators.sketch import PrimeSketch, SketchSpec
 from kmerspark.operators.spectrum import abundance_sketch, histogram
@@ -208,3 +210,20 @@ def test_words_by_source_need_no_join(spark):
     assert "Join" not in found._jdf.queryExecution().optimizedPlan().toString()
     want = explode_kmers(reads, 4).join(reads, "read_id").groupBy("source", "kmer").agg(F.count("*").alias("cnt"))
     assert sorted(map(str, found.collect())) == sorted(map(str, want.collect()))
+
+
+def test_packed_numbers_come_back():
+    codes, cnt = np.array([0, 5, 2**63, 2**64 - 1], np.uint64), np.array([1, 254, 255, 2**40])
+    assert packed.mixed(packed.mixed(codes, 64), 64, packed.UNDO).tolist() == codes.tolist()
+    assert packed.decode_sorted(packed.encode_sorted(codes)).tolist() == codes.tolist()
+    assert packed.decode_counts(packed.encode_counts(cnt), 4).tolist() == cnt.tolist()
+
+
+def test_histogram_of_a_large_sketch_goes_by_parts(spark, monkeypatch):
+    reads = reads_frame(spark)
+    sketch = PrimeSketch.build(reads, SketchSpec((7, 5), k=4))
+    want = sorted(abundance_sketch(reads, sketch).collect())
+    monkeypatch.setattr(choose, "__defaults__", (None, 1))
+    own = abundance_sketch(reads, sketch)
+    assert "Generate" not in own._jdf.queryExecution().optimizedPlan().toString()  # no row per word and table
+    assert sorted(own.collect()) == want
