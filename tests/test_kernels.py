@@ -107,3 +107,20 @@ def test_balanced_bins():
     bins = balanced_bins({1: 10, 2: 9, 3: 5, 4: 5, 5: 1}, 2)
     loads = [sum(w for b, w in {1: 10, 2: 9, 3: 5, 4: 5, 5: 1}.items() if bins[b] == p) for p in (0, 1)]
     assert sorted(loads) == [15, 15]
+
+
+def test_reads_are_cut_from_bytes_as_from_columns(spark):
+    from kmerspark.functions.dna import project_text
+    from kmerspark.sources.reads import cut_reads, cut_texts
+
+    every = ["".join(chr(c) for c in range(a, min(a + 997, 0x11000)) if not 0xD800 <= c < 0xE000 and c) for a in range(0, 0x11000, 997)]
+    rows = [(1, None, "x"), (2, "", "x"), (3, "Ação! K", None), (None, "acgt" * 30, "y"), (-4, "İK" + "Z" * 210, "y"), (5, "a" * 200, "z"), *((10 + i, t, "e") for i, t in enumerate(every))]
+    df = spark.createDataFrame(rows, "doc_id long, text string, source string")
+    key = lambda d: sorted(map(repr, d.collect()))
+    for junk in ("drop", "N"):
+        for size in (100, 7):
+            want = cut_reads(df, "doc_id", project_text(F.col("text"), junk), F.col("source"), read_len=size)
+            found = cut_texts(df, "doc_id", F.col("text"), F.col("source"), junk, read_len=size)
+            assert key(found) == key(want) and found.count() > 10
+            assert "MapInArrow" in found._jdf.queryExecution().toString()
+    assert key(cut_texts(df, "doc_id", F.col("text"), stride=50)) == key(cut_reads(df, "doc_id", project_text(F.col("text")), stride=50))
