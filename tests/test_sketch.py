@@ -227,3 +227,80 @@ def test_histogram_of_a_large_sketch_goes_by_parts(spark, monkeypatch):
     own = abundance_sketch(reads, sketch)
     assert "Generate" not in own._jdf.queryExecution().optimizedPlan().toString()  # no row per word and table
     assert sorted(own.collect()) == want
+
+
+def _plan(df):
+    return df._jdf.queryExecution().optimizedPlan().toString()
+
+
+def test_xxhash64_as_the_engine_has_it(spark):
+    from kmerspark.functions.dna import xxhash64_of
+
+    values = [0, 1, -1, 2**43 + 12345, -(2**63), 2**63 - 1]
+    df = spark.createDataFrame([(i, v) for i, v in enumerate(values)], "i int, v long").orderBy("i")
+    rows = df.select(F.xxhash64("v"), F.xxhash64("v", F.lit(0)), F.xxhash64("v", F.lit(3))).collect()
+    own = np.array(values, np.int64)
+    assert [tuple(r) for r in rows] == list(zip(*(xxhash64_of(own, n).tolist() for n in (None, 0, 3)), strict=True))
+
+
+def test_counts_travel_packed(spark, monkeypatch):
+    """Exact counts send no row per word, in one pass or several, and stay right for long words and large counts."""
+    rows = spark.range(40).selectExpr("id AS read_id", "'x' AS source", "concat(repeat('A', 20 + id), 'CGTTGCA', repeat('ACGT', 10)) AS seq")
+    for k, stranded in ((5, False), (22, False), (32, True)):
+        want = sorted(map(tuple, explode_kmers(rows, k, stranded).groupBy("kmer").agg(F.count("*")).collect()))
+        found = exact_counts(rows, k, stranded)
+        assert sorted(map(tuple, found.collect())) == want
+        assert "FlatMapGroupsInArrow" in _plan(found) and "Aggregate" not in _plan(found)
+        for limit in (1 << 40, 0):
+            monkeypatch.setattr(packed, "ONE_PASS_BYTES", limit)
+            words = packed.PackedWords(rows, k, stranded)
+            assert sorted(map(tuple, words.counts().collect())) == want
+            words.discard()
+
+
+def test_single_array_is_probed_in_tasks(spark):
+    reads = reads_frame(spark)
+    counts = exact_counts(reads, 4)
+    spec = SketchSpec((1009,) * 3, k=4, layout="single")
+    dense, cells = PrimeSketch.build(reads, spec), PrimeSketch.of_counts(counts, spec)
+    assert dense.dense is not None and {tuple(r) for r in dense.cells.collect()} == {tuple(r) for r in cells.cells.collect()}
+    found = lookup(counts, dense, "broadcast")
+    assert "Join" not in _plan(found) and est(found) == est(lookup(counts, cells, "cells"))
+
+
+def test_overflow_of_distinct_words_is_not_shuffled(spark):
+    df = spark.createDataFrame([(1, "A" * 304), (2, "ACGTTGCA")], "read_id long, seq string")
+    full = with_overflow(PrimeSketch.build(df, SketchSpec((1009, 1013), k=5)), packed.PackedWords(df, 5).counts(), distinct=True)
+    assert {tuple(r) for r in full.overflow.collect()} == {(0, 300)} and "Aggregate" not in _plan(full.overflow)
+
+
+def test_sharded_words_as_sharded_estimates(spark, monkeypatch):
+    from kmerspark.operators import partitioned
+
+    reads = from_documents(spark.read.parquet("/root/testdata/sf0.001/documents.parquet"))
+    counts = stored(exact_counts(reads, 22))
+    spec = SketchSpec((2003, 1999), k=22)
+    want = {tuple(r) for r in sharded_estimates(reads, counts, spec, 4).collect()}
+    for limit in (64 << 20, 1000):
+        monkeypatch.setattr(partitioned, "HELD_BYTES", limit)
+        found = partitioned.sharded_words(packed.PackedWords(reads, 22), spec, 4)
+        assert {(r.part, r.kmer, r.est) for r in found.collect()} == want and "Join" not in _plan(found)
+
+
+def test_first_sight_by_filters_and_gate_by_parts(spark, monkeypatch):
+    from kmerspark.baselines.counters import BloomGatedCounter
+    from kmerspark.operators import sketch as module
+    from kmerspark.plans import strategy
+
+    reads = from_documents(spark.read.parquet("/root/testdata/sf0.001/documents.parquet").filter("doc_id < 60"))
+    key = lambda d: sorted(map(tuple, d.collect()))
+    gated = key(BloomGatedCounter(22).count(reads, keep_false=True))
+    spec = SketchSpec.for_reads(reads, 0.2)
+    exact = {r.abundance: r.n_kmers for r in abundance_sketch(reads, PrimeSketch.build(reads, spec)).collect()}
+    monkeypatch.setattr(module, "DENSE_BYTES", 10)
+    monkeypatch.setattr(strategy.choose, "__defaults__", (None, 10))
+    assert key(BloomGatedCounter(22).count(reads, keep_false=True)) == gated
+    found = abundance_sketch(reads, PrimeSketch.build(reads, spec), seen="bloom")
+    assert "FlatMapGroupsInArrow" not in _plan(found) and "Generate" not in _plan(found)
+    n = {r.abundance: r.n_kmers for r in found.collect()}
+    assert all(n.get(a, 0) <= m for a, m in exact.items()) and 0.998 * sum(exact.values()) <= sum(n.values())
