@@ -10,8 +10,9 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.dna import windows_of
-from .kmers import combined_kmers, explode_kmers, read_blocks
+from .kmers import explode_kmers, read_blocks
 from .lookup import broadcast_tables, lookup
+from .packed import END, PackedWords
 from .sketch import PrimeSketch, SketchSpec, probe_arrays
 
 
@@ -62,6 +63,10 @@ def trim_reads(reads: DataFrame, sketch: PrimeSketch, cutoff: int = 2, cut: str
     'last_base' takes off from the base that completes the word on; 'kmer_start' from the word's first base on.
     Reads without a valid word are dropped unless keep_short.
     """
+    from ..plans.strategy import choose
+
+    if choose(sketch.spec).strategy == "broadcast" and not keep_short:
+        return _trim_in_place(reads, sketch, cutoff, cut)
     k = sketch.spec.k
     stats = window_counts(reads, sketch, cutoff)
     at = F.col("first_low") + (k - 1 if cut == "last_base" else 0)
@@ -73,6 +78,31 @@ def trim_reads(reads: DataFrame, sketch: PrimeSketch, cutoff: int = 2, cut: str
     return out.filter(kept).select(*reads.columns)
 
 
+def _trim_in_place(reads: DataFrame, sketch: PrimeSketch, cutoff: int, cut: str) -> DataFrame:
+    """`trim_reads` where the reads are: nothing is joined to them."""
+    spec, shared = sketch.spec, broadcast_tables(sketch)
+    k, more = spec.k, spec.k - 1 if cut == "last_base" else 0
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for rows, raw, ends in read_blocks(batch):
+                read, pos, code = windows_of(raw, ends, spec.k, spec.stranded)
+                low = probe_arrays(shared.value, spec, code) < cutoff
+                length = np.diff(ends, prepend=0)
+                end = length - more
+                np.minimum.at(end, read[low], pos[low])
+                end += more
+                keep = (end >= k) & (np.bincount(read, minlength=len(ends)) > 0)
+                at = np.arange(len(raw)) - np.repeat(ends - length, length)
+                data = raw[at < np.repeat(np.where(keep, end, 0), length)]
+                offsets = np.concatenate([[0], np.cumsum(end[keep])]).astype(np.int32)
+                seq = pa.StringArray.from_buffers(len(offsets) - 1, pa.py_buffer(offsets), pa.py_buffer(data))
+                rows = rows.filter(pa.array(keep))
+                yield pa.RecordBatch.from_arrays([seq if n == "seq" else rows.column(i) for i, n in enumerate(rows.schema.names)], names=rows.schema.names)
+
+    return reads.filter("read_id IS NOT NULL").mapInArrow(run, reads.schema)
+
+
 def filter_reads(reads: DataFrame, sketch: PrimeSketch, cutoff: int = 2, mode: str = "any") -> DataFrame:
     """Reads without any ('any') or with not only ('all') words below the cut-off."""
     stats = window_counts(reads, sketch, cutoff)
@@ -89,23 +119,35 @@ def trim_iterative(reads: DataFrame, spec: SketchSpec, store: Callable[[DataFram
     spark, log = reads.sparkSession, []
     total = reads.agg(F.sum(F.length("seq"))).first()[0] or 0
     bases = total
+    words = PackedWords(reads, spec.k, spec.stranded, ends_too=True)
     for i in range(1, rounds + 1):
-        counts = store(combined_kmers(reads, spec.k, spec.stranded).groupBy("kmer").agg(F.sum("cnt").alias("cnt")))
-        sketch = PrimeSketch.of_counts(counts, spec).stored(store)
-        wrong = lookup(counts, sketch).agg(F.count_if(F.col("est") != F.least("cnt", F.lit(spec.cap))) / F.count("*")).first()[0]
+        counts = words.counts().withColumn("cnt", F.col("cnt").bitwiseAND(F.lit(END - 1)))
+        sketch = (PrimeSketch.build(reads, spec) if spec.fits_a_task() else PrimeSketch.of_counts(counts, spec)).stored(store)
+        wrong = _share_wrong(words, counts, sketch)
         reads = store(trim_reads(reads, sketch, cutoff))
+        words.discard()
+        words = PackedWords(reads, spec.k, spec.stranded, ends_too=True)
         left = reads.agg(F.sum(F.length("seq"))).first()[0] or 0
-        log.append((i, round(wrong or 0.0, 6), round(100 * (bases - left) / max(1, total), 6), *words_left(reads, spec)))
+        log.append((i, round(wrong or 0.0, 6), round(100 * (bases - left) / max(1, total), 6), *words_left(words)))
         removed, bases = bases - left, left
         if until is not None and removed <= until * total:
             break
+    words.discard()
     return reads, spark.createDataFrame(log, "round int, fpr double, bases_removed double, n_distinct long, n_unique long, n_unique_3p long")
 
 
-def words_left(reads: DataFrame, spec: SketchSpec) -> tuple[int, int, int]:
-    """Distinct words, words that occur once, and those of them that end a read."""
-    occ = explode_kmers(reads, spec.k, spec.stranded)
-    last = reads.select(F.col("read_id").alias("_r"), (F.length("seq") - spec.k).alias("_last"))
-    ends = occ.join(last, F.col("read_id") == F.col("_r")).groupBy("kmer").agg(F.count("*").alias("cnt"), F.count_if(F.col("pos") == F.col("_last")).alias("at_end"))
-    r = ends.agg(F.count("*"), F.count_if(F.col("cnt") == 1), F.count_if((F.col("cnt") == 1) & (F.col("at_end") == 1))).first()
-    return tuple(int(x or 0) for x in r)
+def words_left(words: PackedWords) -> tuple[int, int, int]:
+    """Distinct words, words that occur once, and those of them that end a read, of words with ends_too."""
+    return words.sums(lambda _, cnt: (len(cnt), np.count_nonzero(cnt & (END - 1) == 1), np.count_nonzero(cnt == END + 1)), 3)
+
+
+def _share_wrong(words: PackedWords, counts: DataFrame, sketch: PrimeSketch) -> float | None:
+    """The share of words whose count in the sketch is not theirs."""
+    from ..plans.strategy import choose
+
+    spec = sketch.spec
+    if choose(spec).strategy != "broadcast":
+        return lookup(counts, sketch).agg(F.count_if(F.col("est") != F.least("cnt", F.lit(spec.cap))) / F.count("*")).first()[0]
+    shared = broadcast_tables(sketch)
+    n, wrong = words.sums(lambda code, cnt: (len(code), np.count_nonzero(probe_arrays(shared.value, spec, code) != np.minimum(cnt & (END - 1), spec.cap))), 2)
+    return wrong / n if n else None

@@ -266,3 +266,19 @@ def test_publish_takes_a_path_once(spark, tmp_path):
     path = str(tmp_path / "p" / "0001")
     assert publish(spark, path, "one") and not publish(spark, path, "two")
     assert open(path).read() == "one" and sorted(f.name for f in (tmp_path / "p").iterdir() if not f.name.endswith(".crc")) == ["0001"]
+
+
+def test_trimming_joins_nothing(spark):
+    """Reads are trimmed where they are, and the words left are told without a row per word and read."""
+    from kmerspark.operators.packed import PackedWords
+    from kmerspark.operators.sketch import PrimeSketch, SketchSpec
+    from kmerspark.operators.trim import trim_reads, words_left
+
+    rows = [(1, "s", "ACGTTGCAAC"), (2, "s", "ACGTTGCATT"), (3, "s", "AC"), (4, "s", ""), (5, "s", "NNNNNNN"), (None, "s", "ACGTTGCAAC")]
+    reads = spark.createDataFrame(rows, "read_id long, source string, seq string")
+    for cut, want in (("last_base", {(1, "s", "ACGTTGCAAC"), (2, "s", "ACGTTGCA")}), ("kmer_start", {(1, "s", "ACGTTGCAAC"), (2, "s", "ACGTT")})):
+        left = trim_reads(reads, PrimeSketch.build(reads, SketchSpec((100003, 99991), k=4)), 2, cut)
+        assert {tuple(r) for r in left.collect()} == want
+        assert "Join" not in left._jdf.queryExecution().optimizedPlan().toString()
+    few = spark.createDataFrame([(1, "s", "AAAACG"), (2, "s", "AAAA")], "read_id long, source string, seq string")
+    assert words_left(PackedWords(few, 4, True, ends_too=True)) == (3, 2, 1)
