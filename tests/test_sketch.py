@@ -304,3 +304,15 @@ def test_first_sight_by_filters_and_gate_by_parts(spark, monkeypatch):
     assert "FlatMapGroupsInArrow" not in _plan(found) and "Generate" not in _plan(found)
     n = {r.abundance: r.n_kmers for r in found.collect()}
     assert all(n.get(a, 0) <= m for a, m in exact.items()) and 0.998 * sum(exact.values()) <= sum(n.values())
+
+
+def test_few_keys_are_looked_up_where_reads_are(spark, monkeypatch):
+    """The look-up of a few keys reads the reads themselves: one pass through Python, not one for the words and one for the sums."""
+    from kmerspark.operators import sketch as module
+
+    monkeypatch.setattr(module, "DENSE_BYTES", 1)
+    reads, spec = reads_frame(spark), SketchSpec((7, 5), k=4)
+    sketch, counts = PrimeSketch.build(reads, spec), stored(exact_counts(reads, 4))
+    found = lookup(counts.select("kmer"), sketch, "few")
+    assert est(found) == est(lookup(counts.select("kmer"), PrimeSketch.of_counts(counts, spec), "few")) == {0: 1, 27: 5, 85: 3, 108: 7, 176: 1, 177: 4, 192: 8}
+    assert _plan(found).count("MapInArrow") == 1
