@@ -212,6 +212,22 @@ def test_words_by_source_need_no_join(spark):
     assert sorted(map(str, found.collect())) == sorted(map(str, want.collect()))
 
 
+def test_a_rollup_sends_numbers_and_not_words(spark, monkeypatch):
+    rows = [(1, "de/a", "ACGTACGT"), (2, None, "ACGTAC"), (3, "fr/a", "TTTTNACGT"), (4, "de/b", "ACGTAGGC"), (5, "de/a", "ACGTA"), (6, "fr", "GGGGG"), (7, "it/x", "AC")]
+    reads = spark.createDataFrame(rows, "read_id long, source string, seq string").repartition(3)
+    words = {}
+    for r in explode_kmers(reads, 4).join(reads, "read_id").collect():
+        lang, source = [*(r.source or "").split("/"), None][:2] if r.source else (None, None)
+        for key in ((0, lang, source), (1, lang, None), (2, None, None)):
+            words.setdefault(key, []).append(r.kmer)
+    want = sorted(str((k[1], k[2], len(w), len(set(w)))) for k, w in words.items())
+    for passes in (1, 3):
+        monkeypatch.setattr(packed, "ONE_PASS_BYTES", 1 << 40 if passes == 1 else 0)
+        found = packed.rollup_by_source(reads, 4)
+        assert "kmer" not in found._jdf.queryExecution().optimizedPlan().toString()
+        assert sorted(str(tuple(r)) for r in found.collect()) == want
+
+
 def test_packed_numbers_come_back():
     codes, cnt = np.array([0, 5, 2**63, 2**64 - 1], np.uint64), np.array([1, 254, 255, 2**40])
     assert packed.mixed(packed.mixed(codes, 64), 64, packed.UNDO).tolist() == codes.tolist()
